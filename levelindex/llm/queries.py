@@ -5,6 +5,18 @@ from __future__ import annotations
 from levelindex.llm.common import table
 
 
+def op1_mil_quality(spark, sf_dir):
+    from levelindex.llm.mil_quality import quality_scores
+
+    return quality_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op2_crf_toxicity(spark, sf_dir):
+    from levelindex.llm.crf_toxicity import toxicity_scores
+
+    return toxicity_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op3_hmm_lm(spark, sf_dir):
     from levelindex.llm.hmm_lm import hmm_scores
 
@@ -17,6 +29,6 @@ def op7_token_counts(spark, sf_dir):
     return token_counts(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op3_hmm_lm, op7_token_counts)}
+QUERIES = {f.__name__: f for f in (op1_mil_quality, op2_crf_toxicity, op3_hmm_lm, op7_token_counts)}
 
 ORACLE_SQL: dict[str, str] = {}
