@@ -46,7 +46,7 @@ class CrfSettings:
     rate: float = 0.25
     decay: float = 1e-6
     train_runs: int = 4000
-    least_surprise: float = 20.0
+    least_surprise: float = 4.0
     least_ratio: float = 15.0
     seed: int = 5
 
@@ -154,11 +154,12 @@ def token_labels(texts: list[bytes], toxic: list[int], settings: CrfSettings) ->
     if not n0 or not n1:
         return set()
     signs = set()
+    least = settings.least_surprise + np.log(len(counts[1]) + 1)  # so that few features pass by chance
     for f, c1 in counts[1].items():
         c0 = counts[0][f]
         both = c1 + c0
         surprise = c1 * np.log(c1 * len(toxic) / (both * n1)) + (c0 * np.log(c0 * len(toxic) / (both * n0)) if c0 else 0)
-        if surprise >= settings.least_surprise and c1 * n0 >= settings.least_ratio * (c0 + 0.5) * n1:
+        if surprise >= least and c1 * n0 >= settings.least_ratio * (c0 + 0.5) * n1:
             signs.add(f)
     return signs
 

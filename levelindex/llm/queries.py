@@ -24,6 +24,12 @@ def op3_hmm_lm(spark, sf_dir):
     return hmm_scores(table(spark, sf_dir, "documents"))
 
 
+def op4_decontaminate(spark, sf_dir):
+    from levelindex.llm.decontaminate import leaks
+
+    return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op5_multi_index_hash(spark, sf_dir):
     from levelindex.llm.multi_index_hash import nearest
 
@@ -42,6 +48,12 @@ def op7_token_counts(spark, sf_dir):
     return token_counts(table(spark, sf_dir, "documents"))
 
 
+def op8_suffix_dedup(spark, sf_dir):
+    from levelindex.llm.suffix_dedup import repeated_bytes
+
+    return repeated_bytes(table(spark, sf_dir, "documents"))
+
+
 def op9_pfair_mix(spark, sf_dir):
     from levelindex.llm.pfair_mix import mix
 
@@ -54,6 +66,6 @@ def op10_simhash_gray(spark, sf_dir):
     return near_duplicates(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_mil_quality, op2_crf_toxicity, op3_hmm_lm, op5_multi_index_hash, op6_html_main_text, op7_token_counts, op9_pfair_mix, op10_simhash_gray)}
+QUERIES = {f.__name__: f for f in (op1_mil_quality, op2_crf_toxicity, op3_hmm_lm, op4_decontaminate, op5_multi_index_hash, op6_html_main_text, op7_token_counts, op8_suffix_dedup, op9_pfair_mix, op10_simhash_gray)}
 
 ORACLE_SQL: dict[str, str] = {"op9_pfair_mix": ORACLE}
