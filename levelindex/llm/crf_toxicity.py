@@ -45,7 +45,7 @@ class CrfSettings:
     rounds: int = 25
     rate: float = 0.25
     decay: float = 1e-6
-    train_runs: int = 4000
+    train_runs: int = 1800
     least_surprise: float = 4.0
     least_ratio: float = 15.0
     seed: int = 5
