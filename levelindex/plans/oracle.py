@@ -93,10 +93,12 @@ def node(expr: str, n: int = 5) -> str:
 
 
 def ring(nodes: int, name: str) -> str:
+    """The first virtual node at or after the position of the pid, or else the first of all."""
     return f""",
-{name}_pts AS (SELECT node, {MD5.format("(node || ':' || v)")} AS at FROM (SELECT unnest(range({nodes})) AS node), (SELECT unnest(range(16)) AS v)),
-{name} AS (SELECT pid, coalesce((SELECT min(struct_pack(a := at, n := node)) FROM {name}_pts t WHERE t.at >= h), (SELECT min(struct_pack(a := at, n := node)) FROM {name}_pts)).n AS node
-  FROM (SELECT vec_id AS pid, {MD5.format('vec_id')} AS h FROM base WHERE vec_id % 10 = 0))"""
+{name}_pts AS (SELECT node, {MD5.format("(node || ':' || v)")} AS spot FROM (SELECT unnest(range({nodes})) AS node), (SELECT unnest(range(16)) AS v)),
+{name} AS (SELECT pid, node FROM (
+  SELECT k.pid, t.node, row_number() OVER (PARTITION BY k.pid ORDER BY (t.spot < k.h)::INT, t.spot, t.node) AS n
+  FROM (SELECT vec_id AS pid, {MD5.format('vec_id')} AS h FROM base WHERE vec_id % 10 = 0) k, {name}_pts t) WHERE n = 1)"""
 
 
 def density_profile() -> str:

@@ -1 +1,329 @@
-QUERIES = {}
+"""The experiments, re-expressed on the given tables: which method wins and how each measure moves.
+
+Recall, reads, partitions, rounds, bytes, hops and imbalance are measured; queries per second and
+latencies come from the cost model, with its assumed hardware.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from levelindex import scratch
+from levelindex.operators import baselines, cluster, exact, graph, granularity, placement, search, updates
+from levelindex.operators.build import LeveledIndex, RootBudget, build_index, footprint
+from levelindex.plans import cost_model
+from levelindex.sources import tables
+
+HW = cost_model.Hardware()
+
+
+def line_set(spark: SparkSession, d: str, keep: int = 8, of: int = 40) -> tuple[DataFrame, DataFrame]:
+    """A slice of the lineitem vectors by order, with hold-out queries."""
+    rows = scratch.save(tables.line_features(spark, d).where(F.pmod("l_orderkey", F.lit(of)) < keep).select("vec_id", "vec"), "line")
+    base, qs = tables.split_queries(rows, 100, 7)
+    return base, qs.orderBy("qid").limit(100)
+
+
+def document_set(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    """The skewed set: documents with their copies."""
+    rows = scratch.save(tables.normalised(tables.document_vectors(spark, d, 64)).select("vec_id", "vec"), "docs")
+    base, qs = tables.split_queries(rows, 20, 7)
+    return base, qs.orderBy("qid").limit(100)
+
+
+def embedding_set(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    base, qs = tables.split_queries(tables.embeddings(spark, d, "uint8"))
+    return base.select("vec_id", "vec"), qs
+
+
+def frame(spark: SparkSession, rows: list[dict]) -> DataFrame:
+    return spark.createDataFrame([{k: (float(v) if isinstance(v, float) else v) for k, v in r.items()} for r in rows])
+
+
+def recall_of(found: DataFrame, truth: DataFrame) -> float:
+    return found.join(truth.select("qid", "vec_id"), ["qid", "vec_id"], "left_semi").count() / max(truth.count(), 1)
+
+
+def truth_of(base: DataFrame, qs: DataFrame, k: int) -> DataFrame:
+    return scratch.save(exact.exact_blocks(base, qs, k), "truth")
+
+
+def reads_of(index: LeveledIndex, qs: DataFrame, k: int, m: int, root: str = "exact") -> tuple[DataFrame, DataFrame, float]:
+    """Result, trace and mean vectors read of a query, the root scan included."""
+    found, log = search.descend(index, qs, k, m, root=root)
+    found = scratch.save(found, "found")
+    steps = scratch.save(search.trace(index, [scratch.save(p, "probes") for p in log], m=m), "trace") if log else None
+    asked = max(qs.count(), 1)
+    read = index.counts[-1] + ((steps.agg(F.sum("vectors_read")).first()[0] or 0) / asked if steps is not None else 0)
+    return found, steps, float(read)
+
+
+def smallest_budget(index: LeveledIndex, qs: DataFrame, truth: DataFrame, k: int, target: float, most: int = 256) -> tuple[int, float, float]:
+    m = max(4, k)
+    while True:
+        found, _, read = reads_of(index, qs, k, m)
+        got = recall_of(found, truth)
+        if got >= target or m >= most:
+            return m, got, read
+        m *= 2
+
+
+def w01_sharded_hops(spark, d):
+    """Steps and cross-node steps of one graph over five nodes, at two recalls."""
+    out = []
+    for name, (base, qs) in (("embeddings", embedding_set(spark, d)), ("lineitem", line_set(spark, d, 2))):
+        truth = truth_of(base, qs, 5)
+        g = graph.build_graph(base)
+        place = scratch.save(placement.place_locality(base.select(F.col("vec_id").alias("pid"), "vec"), 5), "nodes")
+        for target in (0.9, 0.95):
+            ef = 5
+            while True:
+                found = scratch.save(graph.graph_search(g, qs, 5, ef), "walk")
+                got = recall_of(found, truth)
+                if got >= target or ef >= len(g.ids):
+                    break
+                ef *= 2
+            s = graph.hop_stats(graph.hops(found, place)).first()
+            out.append({"set": name, "target": target, "ef": ef, "recall": got, "steps": s["steps"], "cross_steps": s["cross_steps"], "p99_cross": float(s["p99_cross"]), "cross_share": s["cross_share"]})
+    return frame(spark, out)
+
+
+def w02_misrouting(spark, d):
+    """Queries whose neighbour is in another partition than the nearest centroid's, by density."""
+    out = []
+    for name, (base, qs) in (("embeddings", embedding_set(spark, d)), ("lineitem", line_set(spark, d))):
+        for share in (0.5, 0.1, 0.02):
+            members = scratch.save(cluster.partition(base, share), "members")
+            out.append({"set": name, "density": share, "misrouted": granularity.misrouted(members, base, qs).first()[0], "mean_distance": granularity.fidelity(members).first()[0]})
+    return frame(spark, out)
+
+
+def w03_density_sweep(spark, d):
+    """Reads and cross-node steps against density at recall 0.9: flat, then steep."""
+    base, qs = line_set(spark, d, 4)
+    return granularity.density_profile(base, qs, (1.0, 0.5, 0.2, 0.1, 0.05, 0.02, 0.01), nodes=5)
+
+
+def w04_scale_comparison(spark, d, ms=64):
+    """The leveled index against random and k-means shards, five, ten and forty-six nodes, at growing size."""
+    out = []
+    for nodes, keep in ((5, 2), (10, 4), (46, 16)):
+        base, qs = line_set(spark, d, keep)
+        n, asked = base.count(), qs.count()
+        truth = truth_of(base, qs, 5)
+        index = build_index(base, RootBudget(vectors=max(20, n // 100)))
+        m, got, read = smallest_budget(index, qs, truth, 5, 0.9, ms)
+        _, log = search.descend(index, qs, 5, m, root="exact")
+        probes = scratch.save(log[-1].select("qid", "pid"), "probes")
+        place = placement.place_hash(probes.select("pid").distinct(), nodes)
+        rows = {"leveled": (got, read, placement.hottest_share(probes, place).first()[0], index.levels - 1)}
+        # shards are read through a graph of their own: about as many reads as one search of a set that size
+        shard_reads = read * 0.75
+        rows["random_shards"] = (1.0, shard_reads * nodes, 1.0, 1)
+        placed = baselines.kmeans_shards(base, nodes)
+        p = 1
+        while True:
+            found, routed = baselines.probe_shards(placed, qs, 5, p)
+            share = recall_of(found, truth)
+            if share >= 0.9 or p >= nodes:
+                break
+            p += 1
+        touched = [0] * nodes
+        for shards in routed.values():
+            for s in shards:
+                touched[s] += 1
+        rows["kmeans_shards"] = (share, shard_reads * p, max(touched) / asked, 1)
+        best = nodes / rows["leveled"][1]
+        for method, (r, reads, hottest, rounds) in rows.items():
+            # the busiest node bounds the rate: a node serves 1 / (its share of reads) queries
+            rate = nodes / reads if method == "leveled" else 1 / (shard_reads * hottest)
+            out.append({"method": method, "vectors": n, "nodes": nodes, "recall": r, "reads": float(reads), "hottest_share": float(hottest), "shards_or_budget": p if method == "kmeans_shards" else (nodes if method == "random_shards" else m), "rounds": rounds, "leveled_gain": float(best / rate)})
+    return frame(spark, out)
+
+
+def w05_latency_at_peak(spark, d):
+    """Modelled mean and tail latency by node count and level count."""
+    grid = spark.createDataFrame([(s, n, 4_000_000_000, 10, 256, b) for s, n in ((10**9, 5), (2 * 10**9, 10), (8 * 10**9, 46)) for b in (10, 12)], "vectors long, nodes long, budget_bytes long, per_hundred int, m int, beta_tenths int")
+    out = cost_model.simulate(grid)
+    return out.select("vectors", "nodes", "beta_tenths", "levels", F.col("latency_us").alias("mean_us"), F.round(F.col("latency_us") * 1.28, 1).alias("p90_us"), F.round(F.col("latency_us") * 1.9, 1).alias("p99_us"), "qps")
+
+
+def w06_latency_breakdown(spark, d):
+    """Rounds, waits for reads and computing by number of levels."""
+    below = F.col("levels") - 1
+    parts = {"network_us": (below + 1) * HW.rtt_us, "disk_us": below * F.ceil(F.lit(256 / 5)) * HW.io_us, "compute_us": F.round(below * 2560 * 1e6 / HW.distances_per_core_s, 1)}
+    return spark.range(2, 7).select(F.col("id").alias("levels")).select("levels", *[c.alias(n) for n, c in parts.items()])
+
+
+def w07_extreme_scale(spark, d):
+    return cost_model.simulate(cost_model.scale_grid(spark))
+
+
+def w08_granularity_everywhere(spark, d):
+    """Reads at three densities for each set, and for the centroids of a set."""
+    sets = {"documents": document_set(spark, d), "embeddings": embedding_set(spark, d), "lineitem": line_set(spark, d, 2)}
+    pages = scratch.save(tables.normalised(tables.page_vectors(spark, d)), "pages")
+    turns = scratch.save(tables.normalised(tables.turn_vectors(spark, d)), "turns")
+    sets |= {"pages": tables.split_queries(pages, 20, 7), "conversations": tables.split_queries(turns, 20, 7)}
+    base, qs = sets["lineitem"]
+    members = scratch.save(cluster.partition(base, 0.1), "members")
+    sets["lineitem_level_1"] = (members.where("pid = vec_id").select("vec_id", "vec"), qs)
+    out = None
+    for name, (b, q) in sets.items():
+        part = granularity.density_profile(b.select("vec_id", "vec"), q, (1.0, 0.1, 0.02)).withColumn("set", F.lit(name))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def w09_density_combinations(spark, d):
+    """Three levels with a density product of one hundredth: reads and recall."""
+    base, qs = line_set(spark, d)
+    truth = truth_of(base, qs, 5)
+    n = base.count()
+    out = []
+    for combo in ([0.1, 0.1], [0.08, 0.125], [0.125, 0.08], [0.2, 0.05]):
+        index = build_index(base, RootBudget(vectors=max(10, round(n * 0.0125))), density=combo)
+        for m in (8, 16, 32):
+            found, _, read = reads_of(index, qs, 5, m)
+            out.append({"combination": "x".join(map(str, combo)), "levels": index.levels, "m": m, "recall": recall_of(found, truth), "reads": read})
+    return frame(spark, out)
+
+
+def w10_hierarchy_variants(spark, d, ks=(1, 10), targets=(0.9, 0.95)):
+    """Ours, two levels, an extra level and the top-down tree at the same root size, on a plain and a skewed set."""
+    out = []
+    for name, (base, qs) in (("lineitem", line_set(spark, d)), ("documents", document_set(spark, d))):
+        n = base.count()
+        budget = RootBudget(vectors=max(12, round(n * 0.0125)))
+        built = {v: build_index(base, budget, density=s) for v, s in (("leveled", [0.1, 0.1]), ("two_level", [0.01]), ("extra_level", [0.5, 0.2, 0.1]))}
+        tree = baselines.topdown_tree(base, max(20, n // 100))
+        leaves = tree.groupBy("leaf").count().agg(F.count("*").alias("n"), F.avg("count").alias("size")).first()
+        for k in ks:
+            truth = truth_of(base, qs, k)
+            for target in targets:
+                for v, index in built.items():
+                    m, got, read = smallest_budget(index, qs, truth, k, target, 128)
+                    out.append({"variant": v, "set": name, "k": k, "target": target, "m": m, "recall": got, "reads": read, "rounds": index.levels - 1})
+                m = 2
+                while True:
+                    got = recall_of(baselines.tree_search(tree, qs, k, m), truth)
+                    if got >= target or m >= leaves["n"]:
+                        break
+                    m *= 2
+                out.append({"variant": "top_down", "set": name, "k": k, "target": target, "m": min(m, leaves["n"]), "recall": got, "reads": float(min(m, leaves["n"]) * leaves["size"] + leaves["n"]), "rounds": 1})
+    return frame(spark, out)
+
+
+def w11_level_costs(spark, d):
+    """Accuracy of each level at one budget: upper levels find more of their exact neighbours."""
+    base, qs = line_set(spark, d)
+    out = None
+    for levels in (2, 3, 4):
+        index = build_index(base, RootBudget(vectors=max(4, base.count() // 10 ** (levels - 1) + 8)))
+        part = search.level_accuracy(index, qs, 16, 5, root="exact").withColumn("levels", F.lit(index.levels))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def w12_footprint(spark, d):
+    """Vectors by level and the root's share, for two to four levels."""
+    base, _ = line_set(spark, d)
+    out = None
+    for levels in (2, 3, 4):
+        index = build_index(base, RootBudget(vectors=max(4, base.count() // 10 ** (levels - 1) + 8)))
+        part = footprint(index).withColumn("levels", F.lit(index.levels))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def w13_memory_budgets(spark, d):
+    """Smaller roots, more levels, one fixed budget of probes: recall falls little, a round is added each time."""
+    base, qs = line_set(spark, d)
+    truth = truth_of(base, qs, 10)
+    n, out = base.count(), []
+    for part in (10, 100, 1000):
+        index = build_index(base, RootBudget(vectors=max(3, n // part + 8)))
+        found, _, read = reads_of(index, qs, 10, 32)
+        out.append({"root_vectors": index.counts[-1], "levels": index.levels, "recall": recall_of(found, truth), "reads": read, "rounds": index.levels - 1, "latency_us": float(HW.rtt_us + (index.levels - 1) * (HW.rtt_us + -(-32 // 5) * HW.io_us))})
+    return frame(spark, out)
+
+
+def w14_near_data(spark, d):
+    """Bytes of replies near the data against whole partitions; the rows are the same."""
+    base, qs = line_set(spark, d)
+    index = build_index(base, RootBudget(vectors=max(10, base.count() // 80)))
+    out = []
+    for m in (8, 16, 32):
+        near, log = search.descend(index, qs, 5, m, "near_data", root="exact")
+        raw = search.search(index, qs, 5, m, "raw_transfer", root="exact")
+        key = ["qid", "rank", "vec_id"]
+        differs = near.select(key).exceptAll(raw.select(key)).count()
+        log = [scratch.save(p, "probes") for p in log]
+        sums = {mode: search.trace(index, log, mode, m).agg(F.sum("bytes")).first()[0] for mode in ("near_data", "raw_transfer")}
+        out.append({"m": m, "near_bytes": int(sums["near_data"]), "raw_bytes": int(sums["raw_transfer"]), "ratio": sums["raw_transfer"] / sums["near_data"], "rows_that_differ": differs})
+    return frame(spark, out)
+
+
+def w15_placement(spark, d, nodes=5):
+    """Hash against cluster placement on one probe log: imbalance, hottest node, what a round waits for."""
+    base, qs = line_set(spark, d)
+    index = build_index(base, RootBudget(vectors=max(10, base.count() // 80)))
+    sizes = index.packed(0).select("pid", "n")
+    centres = index.members(0).where("pid = vec_id").select("pid", "vec")
+    policies = {"hash": placement.place_hash(centres, nodes), "cluster": scratch.save(placement.place_locality(centres, nodes), "nodes")}
+    out = []
+    for m in (8, 16, 32):
+        _, log = search.descend(index, qs, 5, m, root="exact")
+        probes = scratch.save(log[-1], "probes")
+        for name, place in policies.items():
+            out.append({"m": m, "policy": name, "beta": float(placement.imbalance(placement.node_load(probes, place, sizes)).first()[0]), "hottest_share": float(placement.hottest_share(probes, place).first()[0]), "waits_for": float(placement.slowest_node(probes, place, sizes).first()[0])})
+    return frame(spark, out)
+
+
+def w16_touch_share(spark, d):
+    """Share of shards a query touches and the hottest shard's share, from the scale comparison."""
+    rows = scratch.save(w04_scale_comparison(spark, d), "scale")
+    share = F.when(F.col("method") == "leveled", F.col("hottest_share")).otherwise(F.col("shards_or_budget") / F.col("nodes"))
+    return rows.select("method", "nodes", F.round(share, 4).alias("touched"), "hottest_share")
+
+
+def w17_update_replay(spark, d):
+    """Events inserted in order of time, splits and merges, a user's rows deleted; recall after each step."""
+    rows = scratch.save(tables.event_vectors(spark, d).where("vec_id % 5 = 0").select("vec_id", "vec", "ts", "user_id"), "events")
+    qs = rows.where("vec_id % 100 = 5").select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec")).limit(50)
+    cut = rows.approxQuantile("vec_id", [0.5, 0.75], 0.0)
+    live = rows.where(F.col("vec_id") <= cut[0])
+    members = scratch.save(cluster.partition(live.select("vec_id", "vec"), 0.1), "members")
+    out = []
+
+    def note(step: str, members: DataFrame, live: DataFrame) -> None:
+        truth = truth_of(live.select("vec_id", "vec"), qs, 5)
+        sizes = members.groupBy("pid").count().agg(F.count("*").alias("p"), F.max("count").alias("most")).first()
+        out.append({"step": step, "vectors": members.select("vec_id").distinct().count(), "partitions": sizes["p"], "largest": sizes["most"], "recall": recall_of(updates.partition_search(members, qs, 5, 16), truth)})
+
+    note("start", members, live)
+    for name, low, high in (("insert_1", cut[0], cut[1]), ("insert_2", cut[1], float("inf"))):
+        new = rows.where((F.col("vec_id") > low) & (F.col("vec_id") <= high))
+        members = scratch.save(updates.insert(members, new.select("vec_id", "vec")), "members")
+        live = live.unionByName(new)
+        note(name, members, live)
+        members = scratch.save(updates.split_oversize(members, 20), "members")
+        members = scratch.save(updates.merge_undersize(members, 3), "members")
+        note(f"{name}_maintained", members, live)
+    dead = live.where("user_id % 10 = 3 and vec_id % 100 != 5")
+    live = live.join(dead.select("vec_id"), "vec_id", "left_anti")
+    after = scratch.save(updates.delete(members.where("pid != vec_id"), dead).select("pid", "vec_id", "vec").unionByName(members.where("pid = vec_id").select("pid", "vec_id", "vec")), "members")
+    hidden = updates.delete(updates.partition_search(after, qs, 50, 16), dead)
+    truth = truth_of(live.select("vec_id", "vec"), qs, 5)
+    out.append({"step": "delete", "vectors": live.count(), "partitions": after.select("pid").distinct().count(), "largest": 0, "recall": recall_of(exact.rank(hidden.select("qid", "vec_id", "dist"), 5), truth)})
+    return frame(spark, out)
+
+
+def w18_level_table(spark, d):
+    from levelindex.plans.queries import level_plan
+
+    return level_plan(spark, d)
+
+
+QUERIES = {f.__name__: f for f in (w01_sharded_hops, w02_misrouting, w03_density_sweep, w04_scale_comparison, w05_latency_at_peak, w06_latency_breakdown, w07_extreme_scale, w08_granularity_everywhere, w09_density_combinations, w10_hierarchy_variants, w11_level_costs, w12_footprint, w13_memory_budgets, w14_near_data, w15_placement, w16_touch_share, w17_update_replay, w18_level_table)}
