@@ -35,7 +35,7 @@ from levelindex.llm.suffix_blocks import suffix_order
 
 GRAM = 20
 BLOCK_BYTES = 3 << 20
-PART_BYTES = 20 << 20
+PART_BYTES = 8 << 20
 PIECE = 4 << 20
 RESULT = "doc_id long, row long, n_bytes long, n_removed long, begins array<long>, ends array<long>, kept binary"
 
