@@ -47,7 +47,7 @@ class HmmSettings:
     warm_rounds: int = 14
     rounds: int = 2
     train_run: int = 512
-    smoothing: float = 20.0
+    smoothing: float = 1000.0
     seed: int = 7
 
 
