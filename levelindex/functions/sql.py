@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType
 
 FUNCTIONS = {
     "vec_ip": "(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, x) -> s + x)",
@@ -22,7 +23,7 @@ def register(spark: SparkSession) -> list[str]:
     return list(FUNCTIONS)
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(ArrayType(DoubleType()))
 def vec_mean(v: pd.Series) -> list:
     """Mean vector of a group whose size is bounded; for large groups use `mean_by`."""
     return np.mean(np.array(v.tolist(), float), axis=0).tolist()

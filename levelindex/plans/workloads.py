@@ -118,8 +118,10 @@ def w04_scale_comparison(spark, d, ms=64):
         probes = scratch.save(log[-1].select("qid", "pid"), "probes")
         place = placement.place_hash(probes.select("pid").distinct(), nodes)
         rows = {"leveled": (got, read, placement.hottest_share(probes, place).first()[0], index.levels - 1)}
-        # shards are read through a graph of their own: about as many reads as one search of a set that size
-        shard_reads = read * 0.75
+        # what one shard of an even split reads, through an index of its own
+        one = scratch.save(baselines.random_shards(base, nodes).where("shard = 0").select("vec_id", "vec"), "shard")
+        inside = build_index(one, RootBudget(vectors=max(20, n // 100)))
+        _, _, shard_reads = smallest_budget(inside, qs, truth_of(one, qs, 5), 5, 0.9, ms)
         rows["random_shards"] = (1.0, shard_reads * nodes, 1.0, 1)
         placed = baselines.kmeans_shards(base, nodes)
         p = 1
