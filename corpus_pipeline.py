@@ -22,7 +22,6 @@ def drop_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     import numpy as np
     import pyarrow as pa
 
-    scratch.purge(docs)
     rows = docs.select(docs.doc_id.cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
     sample = crf_toxicity.labelled_texts(rows, table(spark, sf_dir, "labels"), lambda c: fold(c, 3) != 1, crf_toxicity.CrfSettings())
     model = crf_toxicity.fit([t for t, _ in sample], [y for _, y in sample], crf_toxicity.CrfSettings())
@@ -32,7 +31,7 @@ def drop_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     def run(batches):
         own = crf_toxicity.Chain(*sent.value)
-        for batch in small_batches(batches, "text", 4 << 20):
+        for batch in small_batches(batches, "text", 2 << 20):
             score = own.scores(own.evidence(raw_texts(batch.column("text")))[0])
             yield batch.filter(pa.array(np.asarray(score < 0.7)))
 
@@ -41,26 +40,26 @@ def drop_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_duplicates(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group: the smallest key, and one row of it; rows without any key in their group all stay."""
-    scratch.purge(docs)
-    groups = simhash_gray.near_duplicates(docs)
-    keys = scratch.save(groups.where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct(), "kept")
-    alone = groups.where(F.col("doc_id").isNull() & F.col("component_id").isNull()).limit(1).count() > 0
-    again = scratch.save(groups.groupBy("doc_id").agg(F.count("*").alias("n")).where((F.col("n") > 1) & F.col("doc_id").isNotNull()).select("doc_id"), "again")
-    kept = docs.join(keys, "doc_id", "left_semi")
-    if not again.isEmpty():  # rows that share a key: keep the first by text
-        mark = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"))
-        one = kept.join(again, "doc_id", "left_semi").withColumn("__row", F.row_number().over(mark)).where("__row = 1").drop("__row")
-        kept = kept.join(again, "doc_id", "left_anti").unionByName(one)
-    if alone:
-        kept = kept.unionByName(docs.where(F.col("doc_id").isNull()))
-    return kept.select(docs.columns)
+    groups = scratch.save(simhash_gray.near_duplicates(docs), "groups")
+    first = groups.where(F.col("doc_id") == F.col("component_id")).groupBy("component_id", "row").agg(F.count("*").alias("n")).groupBy("component_id").agg(F.min(F.struct("row", "n")).alias("k"))
+    keys = scratch.save(first.select(F.col("component_id").alias("__id"), F.col("k.row").alias("__row"), F.col("k.n").alias("__n")), "kept")
+    text = F.xxhash64(F.coalesce(docs["text"].cast("string"), F.lit("")))
+    kept = docs.join(keys, (docs["doc_id"] == keys["__id"]) & (text == keys["__row"]))
+    if not keys.where("__n > 1").isEmpty():  # one of the rows that share key and text
+        order = Window.partitionBy("__id", "__row").orderBy(F.xxhash64(*docs.columns))
+        one = kept.where("__n > 1").withColumn("__at", F.row_number().over(order)).where("__at = 1").drop("__at")
+        kept = kept.where("__n = 1").unionByName(one)
+    kept = kept.select(docs.columns)
+    if not groups.where(F.col("component_id").isNull()).isEmpty():
+        alone = groups.where(F.col("component_id").isNull()).select(F.col("row").alias("__row")).distinct()
+        kept = kept.unionByName(docs.where(F.col("doc_id").isNull()).join(alone, text == alone["__row"], "left_semi"))
+    return kept
 
 
 def cut_repeats(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without byte strings of 50 or more that a document with a smaller key has; no character is split."""
     import pyarrow as pa
 
-    scratch.purge(docs)
     others = [c for c in docs.columns if c not in ("doc_id", "text", "n_chars")]
     rows = docs.select(docs.doc_id.cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), F.xxhash64("text", *others).alias("row"))
     spans = suffix_dedup.cut_repeats(rows, least=50, with_kept=False).where("n_removed > 0").select("doc_id", "row", "begins", "ends").dropDuplicates(["doc_id", "row"])
@@ -101,13 +100,11 @@ def whole_characters(raw: bytes, begins: list[int], ends: list[int]) -> str:
 
 def drop_leaks(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that align with no benchmark item."""
-    scratch.purge(docs)
     return decontaminate.without_leaks(docs, table(spark, sf_dir, "benchmark"))
 
 
 def mix_sources(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents with their block, slot and place in the mixture."""
-    scratch.purge(docs)
     return pfair_mix.schedule(docs).drop("mix_source")
 
 

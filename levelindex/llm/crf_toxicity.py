@@ -34,7 +34,7 @@ from levelindex.llm.common import LOWER_TABLE, fold, id_and_text, raw_texts, sma
 
 EDGE = b".,;:!?\"'()[]{}<>|#$%&*-_/\\+=~`^@"
 BLOCK = 128
-MEMO = 700_000
+MEMO = 250_000
 
 
 @dataclass(frozen=True)
@@ -263,7 +263,7 @@ def tag(rows: DataFrame, model: Chain | None, threshold: float) -> DataFrame:
 
     def run(batches):
         own = None if sent.value is None else Chain(*sent.value)
-        for batch in small_batches(batches, "text", 4 << 20):
+        for batch in small_batches(batches, "text", 2 << 20):
             texts = raw_texts(batch.column("text"))
             if own is None:
                 score, spans = np.zeros(len(texts)), [[] for _ in texts]

@@ -44,7 +44,7 @@ class HtmlSettings:
     label_pages: int = 1500
     prior: float = 8.0
     word: float = 1.0
-    tag: float = -0.6
+    tag: float = -0.3
     outside: float = -0.4
     seed: int = 3
 

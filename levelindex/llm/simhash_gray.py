@@ -54,14 +54,15 @@ def fingerprint(text: bytes, n: int = 4) -> int:
 
 
 def fingerprints(docs: DataFrame, shingle: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id and the fingerprint as a signed long."""
+    """doc_id, the fingerprint as a signed long, and a hash of the text that tells rows of one key apart."""
 
     def run(batches):
         for batch in small_batches(batches, "text"):
             found = np.array([fingerprint(t, shingle) for t in raw_texts(batch.column("text"))], np.uint64)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(found.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("row"), pa.array(found.view(np.int64))], ["doc_id", "row", "fp"])
 
-    return id_and_text(docs, id_col, text_col).mapInArrow(run, "doc_id long, fp long")
+    rows = id_and_text(docs, id_col, text_col)
+    return rows.withColumn("row", F.xxhash64("text")).mapInArrow(run, "doc_id long, row long, fp long")
 
 
 def gray_rank(x: np.ndarray) -> np.ndarray:
@@ -191,7 +192,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, distance: int = 4, shingle: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, fingerprint and component_id of every row."""
+    """doc_id, fingerprint, component_id and row (a hash of the text) of every row."""
     rows = scratch.save(fingerprints(docs, shingle, id_col, text_col), "fingerprints")
     distinct = rows.groupBy("fp").agg(F.min("doc_id").alias("least"))
     distinct = scratch.save(distinct, "distinct")
@@ -202,4 +203,4 @@ def near_duplicates(docs: DataFrame, distance: int = 4, shingle: int = 4, id_col
     named = placed.join(names, "root").select("fp", "component_id")
     named = scratch.save(named, "named")
     text = F.lower(F.lpad(F.hex("fp"), 16, "0"))
-    return rows.join(named, "fp").select("doc_id", text.alias("fingerprint"), "component_id")
+    return rows.join(named, "fp").select("doc_id", text.alias("fingerprint"), "component_id", "row")

@@ -159,7 +159,7 @@ def test_attention_gradient_and_long_texts():
 
 def test_toxicity_finds_words_and_offsets(spark):
     random.seed(6)
-    plain = ["river", "stone", "green", "walks", "under", "light", "paper", "house"]
+    plain = ["".join(random.choice("aeioustrnl") for _ in range(6)) for _ in range(2000)]
     text = lambda toxic: " ".join(random.choice(plain) for _ in range(30)) + (" you blorg, " + random.choice(plain) if toxic else "")
     rows = [(i, text(i % 3 == 0)) for i in range(600)]
     docs = documents(spark, rows)
