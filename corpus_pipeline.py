@@ -14,7 +14,7 @@ from pyspark.sql.types import LongType, StringType
 
 from levelindex import scratch
 from levelindex.llm import crf_toxicity, decontaminate, pfair_mix, simhash_gray, suffix_dedup
-from levelindex.llm.common import fold, raw_texts, small_batches, table
+from levelindex.llm.common import fold, raw_texts, small_batches, table, tidy
 
 
 def drop_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,6 +34,8 @@ def drop_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
         for batch in small_batches(batches, "text", 2 << 20):
             score = own.scores(own.evidence(raw_texts(batch.column("text")))[0])
             yield batch.filter(pa.array(np.asarray(score < 0.7)))
+        del own
+        tidy()
 
     return docs.mapInArrow(run, docs.schema)
 

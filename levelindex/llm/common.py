@@ -7,6 +7,8 @@ results with the same columns.
 
 from __future__ import annotations
 
+import ctypes
+import gc
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -59,6 +61,16 @@ def small_batches(batches: Iterable[pa.RecordBatch], column: str, limit: int = 8
         yield batch.slice(begin)
 
 
+def tidy() -> None:
+    """Give freed memory back to the system: workers are used again by later tasks."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 def by_length(lengths: np.ndarray) -> np.ndarray:
     """Order of rows from the longest to the shortest, for loops over positions."""
     return np.argsort(-lengths, kind="stable")

@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelindex.llm.common import LOWER_TABLE, fold, id_and_text, raw_texts, small_batches
+from levelindex.llm.common import LOWER_TABLE, fold, id_and_text, raw_texts, small_batches, tidy
 
 EDGE = b".,;:!?\"'()[]{}<>|#$%&*-_/\\+=~`^@"
 BLOCK = 128
@@ -141,13 +141,20 @@ class Chain:
 
 def token_labels(texts: list[bytes], toxic: list[int], settings: CrfSettings) -> set[bytes]:
     """Feature names of words that mark toxic documents; copies of a document (by one min-hash) count once."""
-    counts = (Counter(), Counter())
     merged: dict[tuple[int, int], set[bytes]] = {}
     for text, y in zip(texts, toxic):
         if words := set(text.split()):
             merged.setdefault((y, min(map(zlib.crc32, words))), set()).update(words)
+    inside: Counter = Counter()
     for (y, _), words in merged.items():
-        counts[y].update({f for w in words for f in forms(w)})
+        if y:
+            inside.update({f for w in words for f in forms(w)})
+    counts = ({}, {f: c for f, c in inside.items() if c >= 3})
+    del inside
+    for (y, _), words in merged.items():
+        if not y:
+            for f in {f for w in words for f in forms(w) if f in counts[1]}:
+                counts[0][f] = counts[0].get(f, 0) + 1
     toxic = [y for y, _ in merged]
     n1 = sum(toxic)
     n0 = len(toxic) - n1
@@ -156,7 +163,7 @@ def token_labels(texts: list[bytes], toxic: list[int], settings: CrfSettings) ->
     signs = set()
     least = settings.least_surprise + np.log(len(counts[1]) + 1)  # so that few features pass by chance
     for f, c1 in counts[1].items():
-        c0 = counts[0][f]
+        c0 = counts[0].get(f, 0)
         both = c1 + c0
         surprise = c1 * np.log(c1 * len(toxic) / (both * n1)) + (c0 * np.log(c0 * len(toxic) / (both * n0)) if c0 else 0)
         if surprise >= least and c1 * n0 >= settings.least_ratio * (c0 + 0.5) * n1:
@@ -169,21 +176,22 @@ def fit(texts: list[bytes], toxic: list[int], settings: CrfSettings) -> Chain |
     if not texts or min(toxic) == max(toxic):
         return None
     signs = token_labels(texts, toxic, settings)
-    kinds: dict[bytes, int] = {}
-    runs, marks = [], []
-    for text, y in zip(texts, toxic):
+    known = {w for text, y in zip(texts, toxic) if y for w in set(text.split()) if any(f in signs for f in forms(w))}
+    told, rest = [], []  # (text, place, label) of runs with a sign in a toxic text, and of the others
+    for i, (text, y) in enumerate(zip(texts, toxic)):
         words = text.split()
-        ids = np.fromiter((kinds.setdefault(w, len(kinds)) for w in words), int, len(words))
-        for at in range(0, len(ids), settings.run):
-            runs.append(ids[at : at + settings.run])
-            marks.append(y)
-    if not runs:
+        for at in range(0, len(words), settings.run):
+            (told if y and not known.isdisjoint(words[at : at + settings.run]) else rest).append((i, at, y))
+    draw = np.random.default_rng(settings.seed)
+    chosen = told[: settings.train_runs] + [rest[i] for i in draw.permutation(len(rest))[: settings.train_runs]]
+    if not chosen:
         return None
-    signed = np.array([any(f in signs for f in forms(w)) for w in kinds])
-    told = np.array([y and signed[r].any() for r, y in zip(runs, marks)])
-    rest = np.flatnonzero(~told)
-    chosen = np.concatenate([np.flatnonzero(told)[: settings.train_runs], np.random.default_rng(settings.seed).permutation(rest)[: settings.train_runs]])
-    runs, marks = [runs[i] for i in chosen], [marks[i] for i in chosen]
+    kinds: dict[bytes, int] = {}
+    runs, marks = [], [y for _, _, y in chosen]
+    for i, at, _ in chosen:
+        words = texts[i].split()[at : at + settings.run]
+        runs.append(np.fromiter((kinds.setdefault(w, len(kinds)) for w in words), int, len(words)))
+    signed = np.array([w in known for w in kinds])
     names: dict[bytes, int] = {}
     features = [[names.setdefault(f, len(names)) for f in forms(w)] for w in kinds]
     flat = np.concatenate(runs)
@@ -274,5 +282,7 @@ def tag(rows: DataFrame, model: Chain | None, threshold: float) -> DataFrame:
                     spans.append(spans_of(text, w, m[at : at + len(w)]))
                     at += len(w)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(score), pa.array((score >= threshold).astype(np.int32)), pa.array(spans, place)], ["doc_id", "score", "predicted", "spans"])
+        del own
+        tidy()
 
     return rows.select("doc_id", "text").mapInArrow(run, "doc_id long, score double, predicted int, spans array<struct<begin:int,end:int>>")

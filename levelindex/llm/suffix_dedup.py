@@ -31,6 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levelindex import scratch
+from levelindex.llm.common import tidy
 from levelindex.llm.suffix_blocks import suffix_order
 
 GRAM = 20
@@ -306,6 +307,7 @@ def kept_bytes(text: bytes, begin: np.ndarray, end: np.ndarray) -> bytes:
 
 def to_table(rows: list[tuple], schema: pa.Schema) -> pa.Table:
     columns = list(zip(*rows)) if rows else [[] for _ in schema]
+    tidy()
     return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(columns, schema)], schema=schema)
 
 
