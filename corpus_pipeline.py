@@ -43,7 +43,7 @@ def drop_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 def drop_near_duplicates(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group: the smallest key, and one row of it; rows without any key in their group all stay."""
     groups = scratch.save(simhash_gray.near_duplicates(docs), "groups")
-    first = groups.where(F.col("doc_id") == F.col("component_id")).groupBy("component_id", "row").agg(F.count("*").alias("n")).groupBy("component_id").agg(F.min(F.struct("row", "n")).alias("k"))
+    first = groups.where(F.col("doc_id") == F.col("component_id")).groupBy("root", "component_id", "row").agg(F.count("*").alias("n")).groupBy("root", "component_id").agg(F.min(F.struct("row", "n")).alias("k"))
     keys = scratch.save(first.select(F.col("component_id").alias("__id"), F.col("k.row").alias("__row"), F.col("k.n").alias("__n")), "kept")
     text = F.xxhash64(F.coalesce(docs["text"].cast("string"), F.lit("")))
     kept = docs.join(keys, (docs["doc_id"] == keys["__id"]) & (text == keys["__row"]))

@@ -43,7 +43,7 @@ class CrfSettings:
     train_others: int = 3500
     run: int = 256
     rounds: int = 25
-    rate: float = 0.25
+    rate: float = 0.5
     decay: float = 1e-6
     train_runs: int = 1800
     least_surprise: float = 4.0

@@ -34,7 +34,7 @@ LEADING = frozenset("nav header footer aside form dialog menu fieldset".split())
 LABELS = ("article", "main")
 #: Parts of class names, ids and roles that mark what is not the article.
 SIGNS = re.compile(r"(?:^|[^a-z])(?:ad|ads|advert\w*|banner|sponsor\w*|promo\w*|nav\w*|menu\w*|breadcrumb\w*|sidebar\w*|aside|footer\w*|header|masthead|cookie\w*|consent\w*|notice\w*|popup\w*|modal\w*|newsletter\w*|subscribe\w*|comment\w*|discussion|disqus\w*|respons(?:e|es)|replies|reply|share\w*|social\w*|related|recommend\w*|widget\w*|toolbar\w*|login\w*|search|hidden|legal|copyright)(?:$|[^a-z])", re.I)
-TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[(.*?)\]\]>|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|([^<]+|<)", re.S)
+TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[(.*?)\]\]>|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|([^<]+|<(?![a-zA-Z/!?]))", re.S)
 NAMES = re.compile(r"""\b(class|id|role)\s*=\s*("[^"]*"|'[^']*'|[^\s"'>]+)""", re.I)
 HIDDEN = re.compile(r"""\bhidden\b|display\s*:\s*none|aria-hidden\s*=\s*["']?true""", re.I)
 

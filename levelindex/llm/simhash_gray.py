@@ -192,7 +192,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, distance: int = 4, shingle: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, fingerprint, component_id and row (a hash of the text) of every row."""
+    """doc_id, fingerprint, component_id, row (a hash of the text) and root (tells components apart, should two share a key) of every row."""
     rows = scratch.save(fingerprints(docs, shingle, id_col, text_col), "fingerprints")
     distinct = rows.groupBy("fp").agg(F.min("doc_id").alias("least"))
     distinct = scratch.save(distinct, "distinct")
@@ -200,7 +200,7 @@ def near_duplicates(docs: DataFrame, distance: int = 4, shingle: int = 4, id_col
     placed = distinct.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     placed = scratch.save(placed, "placed")
     names = placed.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = placed.join(names, "root").select("fp", "component_id")
+    named = placed.join(names, "root").select("fp", "component_id", "root")
     named = scratch.save(named, "named")
     text = F.lower(F.lpad(F.hex("fp"), 16, "0"))
-    return rows.join(named, "fp").select("doc_id", text.alias("fingerprint"), "component_id", "row")
+    return rows.join(named, "fp").select("doc_id", text.alias("fingerprint"), "component_id", "row", "root")
