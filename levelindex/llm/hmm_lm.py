@@ -100,18 +100,30 @@ class Classes:
         self.first_shape = len(own) + 1
         self.size = self.first_shape + settings.shape_classes
         self.log_mass = np.log10(mass)  # of the shape classes
-        self.memo: dict[bytes, tuple[int, float, bool]] = {}
+        words = list(cached)
+        counts = np.array([cached[w] for w in words], float)
+        # Each cached word is a number; the arrays give its class, log10(c + 0.5) and whether c > 0.
+        self.numbers = Numbers({w: i for i, w in enumerate(words)}, self)
+        self.class_of = np.array([self.class_number(w) for w in words], np.int64)
+        self.log_of, self.known = np.log10(counts + 0.5), counts > 0
 
-    def look(self, word: bytes) -> tuple[int, float, bool]:
-        """Class, log10(c + 0.5) or nan if the count is not here."""
-        found = self.memo.get(word)
-        if found is None:
-            c = self.cached.get(word)
-            own = self.own.get(word)
-            found = (self.first_shape + shape(word, self.settings.shape_classes) if own is None else own, float("nan") if c is None else float(np.log10(c + 0.5)), bool(c))
-            if c is not None:
-                self.memo[word] = found
-        return found
+    def class_number(self, word: bytes) -> int:
+        own = self.own.get(word)
+        return self.first_shape + shape(word, self.settings.shape_classes) if own is None else own
+
+
+class Numbers(dict):
+    """Numbers of cached words; any other word gives -1 minus its class."""
+
+    def __init__(self, numbers: dict[bytes, int], classes: Classes):
+        super().__init__(numbers)
+        self.classes = classes
+
+    def __missing__(self, word: bytes) -> int:
+        return -1 - self.classes.class_number(word)
+
+    def __reduce__(self):
+        return Numbers, (dict(self), self.classes)
 
 
 def class_mass(vocabulary: DataFrame, own: set[bytes], settings: HmmSettings) -> np.ndarray:
@@ -140,20 +152,23 @@ def encode(docs: DataFrame, classes) -> DataFrame:
     def run(batches):
         model = classes.value
         uid = TaskContext.get().partitionId() << 36
-        first, log_end = model.first_shape, float(np.log10(model.end_count + 0.5))
+        numbers, first, log_end = model.numbers, model.first_shape, float(np.log10(model.end_count + 0.5))
         for batch in small_batches(batches, "text", 2 << 20):
             rows = []
             for doc, held, text in zip(batch.column("doc_id").to_pylist(), batch.column("held_out").to_pylist(), raw_texts(batch.column("text"))):
                 words = words_of(text)
-                got = list(map(model.look, words))
-                cls = np.fromiter((g[0] for g in got), np.uint16, len(got))
-                logs = np.fromiter((g[1] for g in got), float, len(got))
-                known = sum(g[2] for g in got)
-                missing = np.isnan(logs)
-                rare = Counter(words[i] for i in np.flatnonzero(missing))
+                number = np.fromiter(map(numbers.__getitem__, words), np.int64, len(words))
+                missing = number < 0
+                here = number[~missing]
+                cls = np.where(missing, -1 - number, 0)
+                cls[~missing] = model.class_of[here]
+                logs = np.zeros(len(words))
+                logs[~missing] = model.log_of[here]
+                known = int(model.known[here].sum())
+                rare = Counter([words[i] for i in np.flatnonzero(missing)])
                 in_shape = cls >= first
-                within = np.nansum(logs[in_shape]) - model.log_mass[cls[in_shape] - first].sum()
-                rows.append((uid, doc, held, len(words) + 1, known + (model.end_count > 0), np.nansum(logs) + log_end, within, int(missing.sum()), np.append(cls, np.uint16(0)).tobytes(), list(rare), list(rare.values())))
+                within = logs[in_shape].sum() - model.log_mass[cls[in_shape] - first].sum()
+                rows.append((uid, doc, held, len(words) + 1, known + (model.end_count > 0), logs.sum() + log_end, within, int(missing.sum()), np.append(cls, 0).astype(np.uint16).tobytes(), list(rare), list(rare.values())))
                 uid += 1
             yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
 
@@ -306,7 +321,8 @@ def baum_welch_round(train: DataFrame, model: Hmm, settings: HmmSettings) -> Hmm
 
 def warm_start(train: DataFrame, size: int, settings: HmmSettings) -> Hmm:
     """A first model from at most `warm_documents` documents, picked by a hash of their row."""
-    picked = train.orderBy(F.xxhash64("uid", F.lit(settings.seed)), "uid").limit(settings.warm_documents).select("classes").toArrow()
+    some = train.select("uid").orderBy(F.xxhash64("uid", F.lit(settings.seed)), "uid").limit(settings.warm_documents)
+    picked = train.join(F.broadcast(some), "uid", "left_semi").select("uid", "classes").orderBy("uid").toArrow()
     blobs = picked.column("classes").to_pylist()
     background = np.full(size, 0.1)
     for blob in blobs:

@@ -177,7 +177,9 @@ def extract(pages: DataFrame, s: HtmlSettings = HtmlSettings(), id_col: str = "p
     """page_id, url, text, n_chars of every page."""
     rows = pages.select(pages[id_col].cast("long").alias("page_id"), pages[url_col].cast("string").alias("url"), F.coalesce(pages[html_col].cast("string"), F.lit("")).alias("html"))
     labelled = rows.where(F.lower("html").rlike("<(article|main)[ >]"))
-    sample = labelled.orderBy(F.xxhash64("url", "page_id", F.lit(s.seed)), "page_id").limit(s.label_pages).select("html")
+    hashed = labelled.withColumn("h", F.xxhash64("url", "page_id", F.lit(s.seed)))
+    some = hashed.select("h").distinct().orderBy("h").limit(s.label_pages)
+    sample = hashed.join(F.broadcast(some), "h", "left_semi").groupBy("h").agg(F.min("html").alias("html"))
     weights = learn([r.html for r in sample.toLocalIterator()], s)
     words, tags = weights.words, weights.tags
 

@@ -203,10 +203,11 @@ def nearest(vectors: DataFrame, k: int = 20, every: int = 20, s: HashSettings =
     dim = sizes["dim"]
     rows = rows.where(F.size("vec") == dim)
     by_hash = F.xxhash64("vec_id", F.lit(s.seed))
-    sample = rows.orderBy(by_hash, "vec_id").limit(s.sample).select("vec").toArrow()
+    few = lambda df, n: df.join(F.broadcast(df.select("vec_id").orderBy(by_hash, "vec_id").limit(n)), "vec_id", "left_semi").orderBy("vec_id").limit(n)
+    sample = few(rows, s.sample).select("vec").toArrow()
     codes = Codes.learn(matrix(sample.column("vec"), dim), s)
     asked = rows.where(F.col("vec_id") % every == 0)
-    some = asked.orderBy(by_hash, "vec_id").limit(s.calibration).toArrow()
+    some = few(asked, s.calibration).toArrow()
     if not some.num_rows:
         return empty
     take = lambda t: (t.column("vec_id").to_numpy(), matrix(t.column("vec"), dim))

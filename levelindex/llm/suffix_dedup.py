@@ -22,7 +22,6 @@ other; texts shorter than `least` stay; repeats inside one document stay.
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa

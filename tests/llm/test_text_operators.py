@@ -8,7 +8,6 @@ import random
 import numpy as np
 import pytest
 import xxhash
-from pyspark.sql import types as T
 
 from levelindex.llm import crf_toxicity, decontaminate, hmm_lm, html_main_text, mil_quality, pfair_mix, simhash_gray, suffix_blocks, suffix_dedup, token_counts
 from levelindex.llm.common import LOWER_TABLE
