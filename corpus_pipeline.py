@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType
 
 from levelindex import scratch
-from levelindex.llm import crf_toxicity, decontaminate, pfair_mix, simhash_gray, suffix_dedup
+from levelindex.llm import crf_toxicity, decontaminate, jaccard_groups, pfair_mix, suffix_dedup
 from levelindex.llm.common import fold, raw_texts, small_batches, table, tidy
 
 
@@ -41,8 +41,8 @@ def drop_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group: the smallest key, and one row of it; rows without any key in their group all stay."""
-    groups = scratch.save(simhash_gray.near_duplicates(docs), "groups")
+    """One document of each group linked by a five-word Jaccard of at least 0.8: the smallest key, and one row of it; rows without any key in their group all stay."""
+    groups = scratch.save(jaccard_groups.near_duplicates(docs), "groups")
     first = groups.where(F.col("doc_id") == F.col("component_id")).groupBy("root", "component_id", "row").agg(F.count("*").alias("n")).groupBy("root", "component_id").agg(F.min(F.struct("row", "n")).alias("k"))
     keys = scratch.save(first.select(F.col("component_id").alias("__id"), F.col("k.row").alias("__row"), F.col("k.n").alias("__n")), "kept")
     text = F.xxhash64(F.coalesce(docs["text"].cast("string"), F.lit("")))
