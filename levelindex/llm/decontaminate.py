@@ -3,10 +3,12 @@
 Test items come in blocks of at most `block_words` words, so what a worker holds is bounded however
 many items there are; every block meets all documents.  Seeds are the items' word n-grams.  A first
 pass counts in how many documents each seed occurs; an item's seeds that are far more common than
-its typical one (`common` times its median) are left out, but never its rarer half.  A second pass
-finds the remaining seeds, takes the stretch of the document around each chain of hits, and aligns
-it with the item word by word: a match counts 1, a mismatch or gap -1.  The ratio of the best score
-to the item's length tells copies with edits, insertions and deletions from chance hits.
+its typical one (`common` times the median of those that occur) are its common ones.  A second pass
+takes the stretch of the document around each chain of hits, and aligns it with the item word by
+word: a match counts 1, a mismatch or gap -1.  A stretch with common seeds only is passed over if
+it shares too few words with the item, in any order, to reach the least ratio: no alignment scores
+more than the words shared, so this loses nothing.  The ratio of the best score to the item's
+length tells copies with edits, insertions and deletions from chance hits.
 
 Cases: null and empty texts match nothing; items without words are left out; items shorter than a
 seed are their own seed and must occur whole; null keys are kept; repeated rows and repeated items
@@ -51,6 +53,7 @@ class ItemBlock:
             if words := words_of(text):
                 self.names.append(name)
                 self.words.append(np.array([self.vocabulary.setdefault(w, len(self.vocabulary)) for w in words], np.int64))
+        self.bags = [np.unique(w, return_counts=True) for w in self.words]
         self.lengths = sorted({min(s.seed, len(w)) for w in self.words})
         self.seeds: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
         at = 0
@@ -94,7 +97,7 @@ class ItemBlock:
         return where, at[where]
 
     def keep_rare(self, documents: np.ndarray) -> None:
-        """Mark, for each item, the seeds that are not far more common than its median."""
+        """Mark, for each item, the seeds that are not far more common than the median of those that occur."""
         self.rare = []
         for n in self.lengths:
             values, begins, item, ids = self.seeds[n]
@@ -103,13 +106,21 @@ class ItemBlock:
             order = np.lexsort((df, item))
             edges = np.flatnonzero(np.concatenate(([True], item[order][1:] != item[order][:-1])))
             size = np.diff(np.append(edges, len(order)))
-            median = np.repeat(df[order][edges + (size - 1) // 2], size)
+            absent = np.add.reduceat((df[order] == 0).astype(np.int64), edges)
+            middle = edges + np.minimum(absent + np.maximum(size - absent - 1, 0) // 2, size - 1)
+            median = np.repeat(df[order][middle], size)
             keep = np.zeros(len(item), bool)
             keep[order] = df[order] <= np.maximum(median * self.s.common, median)
             self.rare.append(keep)
 
+    def shared(self, i: int, text: np.ndarray) -> int:
+        """Words that item and text have in common, repeats included: no alignment scores more."""
+        values, often = self.bags[i]
+        at = np.minimum(np.searchsorted(values, text), len(values) - 1)
+        return int(np.minimum(np.bincount(at[values[at] == text], minlength=len(values)), often).sum())
+
     def matches(self, words: np.ndarray):
-        """item, ratio, matched words and place of the best alignment of each item with a rare seed here."""
+        """item, ratio, matched words and place of the best alignment of each item with a seed here."""
         pairs = []
         for n, rare in zip(self.lengths, self.rare):
             where, at = self.hits(words, n)
@@ -119,13 +130,12 @@ class ItemBlock:
             count = begins[at + 1] - begins[at]
             entry = np.repeat(begins[at] - (np.cumsum(count) - count), count) + np.arange(count.sum())
             place = np.repeat(where, count)
-            ok = rare[entry]
-            pairs.append((item[entry][ok], place[ok], np.full(ok.sum(), n)))
+            pairs.append((item[entry], place, np.full(len(entry), n), rare[entry]))
         if not pairs:
             return
-        item, place, n = (np.concatenate([p[i] for p in pairs]) for i in range(3))
+        item, place, n, rare = (np.concatenate([p[i] for p in pairs]) for i in range(4))
         order = np.lexsort((place, item))
-        item, place, n = item[order], place[order], n[order]
+        item, place, n, rare = item[order], place[order], n[order], rare[order]
         length = np.array([len(w) for w in self.words])[item]
         new = np.concatenate(([True], (item[1:] != item[:-1]) | (place[1:] - place[:-1] > length[1:])))[: len(item)]
         edges = np.append(np.flatnonzero(new), len(item))
@@ -133,6 +143,8 @@ class ItemBlock:
         for a, b in zip(edges, edges[1:]):
             i, size = int(item[a]), int(length[a])
             low, high = max(0, int(place[a]) - size), min(len(words), int(place[b - 1] + n[b - 1]) + size)
+            if not rare[a:b].any() and self.shared(i, words[low:high]) < self.s.least_ratio * size:
+                continue
             score, matched, x, y = align(self.words[i], words[low:high])
             if score / size >= self.s.least_ratio and (i not in best or score > best[i][0]):
                 best[i] = (score, matched, low + x, low + y)
