@@ -35,6 +35,8 @@ LABELS = ("article", "main")
 #: Parts of class names, ids and roles that mark what is not the article.
 SIGNS = re.compile(r"(?:^|[^a-z])(?:ad|ads|advert\w*|banner|sponsor\w*|promo\w*|nav\w*|menu\w*|breadcrumb\w*|sidebar\w*|aside|footer\w*|header|masthead|cookie\w*|consent\w*|notice\w*|popup\w*|modal\w*|newsletter\w*|subscribe\w*|comment\w*|discussion|disqus\w*|respons(?:e|es)|replies|reply|share\w*|social\w*|related|recommend\w*|widget\w*|toolbar\w*|login\w*|search|hidden|legal|copyright)(?:$|[^a-z])", re.I)
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[(.*?)\]\]>|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|([^<]+|<(?![a-zA-Z/!?]))", re.S)
+#: Where TOKEN fails: an end tag without a name up to its ">", and a tag with a quote left open up to the next ">".
+LOOSE = re.compile(r"(?:</(?![a-zA-Z])[^>]*|<()(/?)([a-zA-Z][^\s/>]*)([^>]*)((?!))?)>")
 NAMES = re.compile(r"""\b(class|id|role)\s*=\s*("[^"]*"|'[^']*'|[^\s"'>]+)""", re.I)
 HIDDEN = re.compile(r"""\bhidden\b|display\s*:\s*none|aria-hidden\s*=\s*["']?true""", re.I)
 
@@ -69,7 +71,11 @@ def tokens_of(page: str):
     open_: list[tuple[str, str | None, bool]] = []
     kind, labelled, at, n = "", 0, 0, len(page)
     while at < n:
-        m = TOKEN.match(page, at)
+        m = TOKEN.match(page, at) or LOOSE.match(page, at)
+        if m is None and page.startswith("</", at) and not re.match("[a-zA-Z]", page[at + 2 : at + 3]):  # no tag follows
+            begin, at = at, n if (found := page.find("<", at + 1)) < 0 else found
+            yield kind, html.unescape(page[begin:at]), None, labelled > 0
+            continue
         if m is None:  # an unfinished tag at the end of the page
             break
         at = m.end()
