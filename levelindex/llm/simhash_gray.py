@@ -3,10 +3,11 @@
 Distinct fingerprints are placed in several rotated orders, one for each band of bits: a band's
 value is the top node of that order, and two fingerprints that differ in at most `distance` bits
 agree in at least one of `distance + 1` bands.  Inside a top node the fingerprints are sorted by
-Gray rank of the rotated bits, so neighbours share long runs of bits; leaves of `LEAF` and nodes of
-`FANOUT` leaves keep the mask and pattern of the bits that all their members share.  A query block
-goes down, and a node falls away when the differences inside its mask exceed the limit.  Bits
-that are shared higher up are not counted again below: the sum so far is carried down.
+Gray rank of the rotated bits, so neighbours share long runs of bits; leaves of `LEAF` and, level
+upon level, nodes of `FANOUT` children keep the mask and pattern of the bits that all their members
+share, up to at most `FANOUT` nodes.  A query block goes down, and a node falls away when the
+differences inside its mask exceed the limit.  Bits that are shared higher up are not counted again
+below: the sum so far is carried down.
 
 A top node gives a spanning forest of its links, never all pairs.  Components come from repeated
 minimum labels with pointer jumping over tables; nothing is gathered on the driver.
@@ -43,13 +44,13 @@ def fingerprint(text: bytes, n: int = 4) -> int:
         return xxhash.xxh64_intdigest(joined, 42)
     ends = np.cumsum([len(w) + 1 for w in words])
     begins = np.concatenate(([0], ends[: -n]))
-    spans = zip(begins.tolist(), (ends[n - 1 :] - 1).tolist())
+    last = ends[n - 1 :] - 1
     digest = xxhash.xxh64_intdigest
     ones, total = np.zeros(BITS, np.int64), len(words) - n + 1
-    while len(h := [digest(joined[a:b], 42) for (a, b), _ in zip(spans, range(SHINGLES_AT_ONCE))]):
-        ones += np.unpackbits(np.array(h, ">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
-        if len(h) < SHINGLES_AT_ONCE:
-            break
+    for at in range(0, total, SHINGLES_AT_ONCE):
+        spans = zip(begins[at : at + SHINGLES_AT_ONCE].tolist(), last[at : at + SHINGLES_AT_ONCE].tolist())
+        h = np.array([digest(joined[a:b], 42) for a, b in spans], ">u8")
+        ones += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
     return int.from_bytes(np.packbits(2 * ones > total).tobytes(), "big")
 
 
@@ -79,48 +80,56 @@ def bands(distance: int) -> list[tuple[int, int]]:
     return [(a, b - a) for a, b in zip(edges, edges[1:])]
 
 
-def shared_bits(sorted_fp: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-    """Masks and patterns of the bits shared by runs of `size` fingerprints."""
-    at = np.arange(0, len(sorted_fp), size)
-    ones, zeros = np.bitwise_and.reduceat(sorted_fp, at), np.bitwise_and.reduceat(~sorted_fp, at)
-    return ones | zeros, ones
+def shared_bits(ones: np.ndarray, zeros: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Bits that are one, and bits that are zero, in all of each run of `size` members."""
+    at = np.arange(0, len(ones), size)
+    return np.bitwise_and.reduceat(ones, at), np.bitwise_and.reduceat(zeros, at)
 
 
 class GrayIndex:
-    """Two levels of shared bits over fingerprints in Gray order."""
+    """A tree of shared bits over fingerprints in Gray order."""
 
     def __init__(self, fps: np.ndarray, first_bit: int = 0):
         turned = fps << np.uint64(first_bit) | (fps >> np.uint64(BITS - first_bit) if first_bit else np.uint64(0))
         self.order = np.argsort(gray_rank(turned), kind="stable")
         self.fp = fps[self.order]
-        self.leaf_mask, self.leaf_bits = shared_bits(self.fp, LEAF)
-        self.node_mask, self.node_bits = shared_bits(self.fp, LEAF * FANOUT)
-        above = np.arange(len(self.leaf_mask)) // FANOUT
-        self.leaf_more = self.leaf_mask & ~self.node_mask[above]
+        levels = [shared_bits(self.fp, ~self.fp, LEAF)]
+        while len(levels[-1][0]) > FANOUT:
+            levels.append(shared_bits(*levels[-1], FANOUT))
+        #: From the top: patterns, and masks without the bits that the node above has told already.
+        self.levels, above = [], None
+        for ones, zeros in reversed(levels):
+            mask = ones | zeros
+            own = mask if above is None else mask & ~above[np.arange(len(mask)) // FANOUT]
+            self.levels.append((ones, own))
+            above = mask
 
     def near(self, queries: np.ndarray, limit: int, after: int):
         """Pairs (query, member) with at most `limit` differing bits; members before `after` are left out."""
         count = np.bitwise_count
-        above = count((queries[:, None] ^ self.node_bits) & self.node_mask)
-        q, node = np.nonzero(above <= limit)
-        if not len(q):
-            return q, q
-        leaf = (node[:, None] * FANOUT + np.arange(FANOUT)).ravel()
-        q, sofar = np.repeat(q, FANOUT), np.repeat(above[q, node], FANOUT)
-        fits = (leaf < len(self.leaf_mask)) & ((leaf + 1) * LEAF > after)
-        q, leaf, sofar = q[fits], leaf[fits], sofar[fits]
-        fits = sofar + count((queries[q] ^ self.leaf_bits[leaf]) & self.leaf_more[leaf]) <= limit
-        q, leaf = q[fits], leaf[fits]
-        out_q, out_m = [], []
+        size = LEAF * FANOUT ** (len(self.levels) - 1)
+        n = len(self.levels[0][0])
+        q, node, sofar = np.repeat(np.arange(len(queries)), n), np.tile(np.arange(n), len(queries)), np.zeros(len(queries) * n, np.uint8)
+        for depth, (bits, mask) in enumerate(self.levels):
+            if depth:
+                node = (node[:, None] * FANOUT + np.arange(FANOUT)).ravel()
+                q, sofar = np.repeat(q, FANOUT), np.repeat(sofar, FANOUT)
+                size //= FANOUT
+            fits = (node < len(bits)) & ((node + 1) * size > after)
+            q, node, sofar = q[fits], node[fits], sofar[fits]
+            sofar = sofar + count((queries[q] ^ bits[node]) & mask[node])
+            fits = sofar <= limit
+            q, node, sofar = q[fits], node[fits], sofar[fits]
+        out_q, out_m = [q[:0]], [q[:0]]
         for at in range(0, len(q), 1 << 16):
-            member = (leaf[at : at + (1 << 16), None] * LEAF + np.arange(LEAF)).ravel()
+            member = (node[at : at + (1 << 16), None] * LEAF + np.arange(LEAF)).ravel()
             whose = np.repeat(q[at : at + (1 << 16)], LEAF)
             ok = (member < len(self.fp)) & (member >= after)
             member, whose = member[ok], whose[ok]
             ok = count(queries[whose] ^ self.fp[member]) <= limit
             out_q.append(whose[ok])
             out_m.append(member[ok])
-        return (np.concatenate(out_q), np.concatenate(out_m)) if out_q else (q, q)
+        return np.concatenate(out_q), np.concatenate(out_m)
 
 
 def forest(fps: np.ndarray, limit: int, first_bit: int) -> tuple[np.ndarray, np.ndarray]:
