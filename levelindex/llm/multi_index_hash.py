@@ -29,6 +29,11 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
+LARGEST = float(np.finfo(float).max)
+#: Codes see components within this bound, so that no product overflows; scores use the vectors as they are.
+CODED = 1e100
+
+
 @dataclass(frozen=True)
 class HashSettings:
     bits: int = 64
@@ -46,8 +51,8 @@ def usable(vectors: DataFrame, id_col: str, vec_col: str) -> DataFrame:
     """vec_id and the vector as doubles, of rows that take part."""
     v = F.col("vec")
     rows = vectors.select(vectors[id_col].cast("long").alias("vec_id"), vectors[vec_col].cast("array<double>").alias("vec"))
-    # the bound on the magnitude is false for null, nan and infinite components
-    return rows.where(F.col("vec_id").isNotNull() & v.isNotNull() & (F.size(v) > 0) & F.forall(v, lambda x: F.coalesce(F.abs(x) < F.lit(1e300), F.lit(False))) & F.exists(v, lambda x: x != 0))
+    # the bound on the magnitude, the largest double, is false for null, nan and infinite components
+    return rows.where(F.col("vec_id").isNotNull() & v.isNotNull() & (F.size(v) > 0) & F.forall(v, lambda x: F.coalesce(F.abs(x) <= F.lit(LARGEST), F.lit(False))) & F.exists(v, lambda x: x != 0))
 
 
 def matrix(column: pa.Array, dim: int) -> np.ndarray:
@@ -64,6 +69,7 @@ class Codes:
     @classmethod
     def learn(cls, sample: np.ndarray, s: HashSettings) -> "Codes":
         dim = sample.shape[1]
+        sample = np.clip(sample, -CODED, CODED)
         centre = sample.mean(axis=0)
         x = sample - centre
         draw = np.random.default_rng(s.seed)
@@ -82,7 +88,7 @@ class Codes:
         return cls(centre, np.concatenate(parts, axis=1))
 
     def pack(self, x: np.ndarray) -> np.ndarray:
-        signs = (x - self.centre) @ self.turn > 0
+        signs = (np.clip(x, -CODED, CODED) - self.centre) @ self.turn > 0
         return np.packbits(signs, axis=1).view(">u8").astype(np.uint64).ravel()
 
 
@@ -161,7 +167,8 @@ def probe(rows: DataFrame, queries: tuple[np.ndarray, np.ndarray], codes: Codes,
                     if index is None or len(near) >= k or r >= s.bits:
                         break
                     r = min(s.bits, r + s.substrings)
-                score = x[near] @ q[i]
+                with np.errstate(over="ignore", invalid="ignore"):
+                    score = x[near] @ q[i]
                 got = (score, ids[near], np.bitwise_count(own[near] ^ qcode[i]).astype(np.int32))
                 if i in kept:
                     got = tuple(np.concatenate(z) for z in zip(kept[i], got))
