@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from levelindex.llm.common import small_batches
 
 # Element names by their role in HTML.
-RAW = ("script", "style", "noscript", "template", "svg", "math", "iframe", "object", "canvas", "textarea", "select", "button", "option", "title", "head")
+RAW = ("script", "style", "noscript", "template", "iframe", "textarea", "select", "button", "option", "title", "head")
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr img".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 LEADING = frozenset("nav header footer aside form dialog menu fieldset".split())
