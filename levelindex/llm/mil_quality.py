@@ -2,12 +2,16 @@
 
 A text is cut into passages of `passage_bytes` bytes.  Each is encoded by shares of hashed byte
 pairs and a few ratios (letter case, signs, digits, repeated words), then by one dense layer.
+Nothing is counted across the end of a passage; what is told of the whole text (its length, the
+shares of distinct words and triples of words) comes from one pass over all of it, so a text has the
+same features whatever stands beside it and however many groups of passages it fills.
 A gated attention unit gives every passage a weight; the weighted sum of passages is scored.
 Only document labels are used: the passage weights are learned.
 
-The fit uses at most `train_documents` labelled rows, picked by a hash of their key.  Scoring reads
-whole texts; passages go through in groups with a running softmax, so a text of any length takes
-bounded memory.  Cases: null and empty texts are one empty passage; null keys are held out; several
+The fit uses at most `train_documents` labelled rows, picked by a hash of their key, with their whole
+texts: the first `kept_passages` passages stay encoded, those of further documents are encoded again
+when their turn comes.  Scoring reads whole texts; passages go through in groups with a running
+softmax, so a text of any length takes bounded memory.  Cases: null and empty texts are one empty passage; null keys are held out; several
 rows of a key are scored separately; without labels every score is 0.5.
 """
 
@@ -25,6 +29,8 @@ from levelindex.llm.common import fold, id_and_text, raw_texts, small_batches
 BUCKETS = 512
 EXTRAS = 12
 WIDTH = BUCKETS + EXTRAS
+#: Words and triples of a text are told apart by so many bits of a hash.
+MARKS = 20
 HIGH = np.arange(256) >= 128
 MIX = np.random.default_rng(3).integers(1, 1 << 40, 64)
 SPACE = np.isin(np.arange(256), [32, 9, 10, 11, 12, 13])
@@ -38,6 +44,7 @@ class MilSettings:
     passage_bytes: int = 512
     group: int = 512
     train_documents: int = 4000
+    kept_passages: int = 32_768
     hidden: int = 24
     attention: int = 12
     epochs: int = 8
@@ -47,8 +54,47 @@ class MilSettings:
     seed: int = 11
 
 
-def encode_passages(texts: list[np.ndarray], length: int) -> tuple[np.ndarray, np.ndarray]:
-    """Feature rows of all passages of some texts, and how many each text has."""
+def word_codes(raw: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First bytes of the words of passages that begin at `edges`, and their hashes."""
+    space = SPACE[raw]
+    fresh = np.ones(len(raw), bool)
+    fresh[1:] = space[:-1]
+    fresh[edges] = True
+    first = ~space & fresh
+    begins = np.flatnonzero(first)
+    if not len(begins):
+        return begins, begins
+    position = np.arange(len(raw), dtype=np.int32)
+    position -= np.maximum.accumulate(np.where(first, position, 0))
+    return begins, np.add.reduceat(np.where(space, 0, raw.astype(np.int64)) * MIX[position & 63], begins) & 0xFFFFFFFF
+
+
+def marks(code: np.ndarray) -> np.ndarray:
+    return (code * 2654435761 & 0xFFFFFFFF) >> (32 - MARKS)
+
+
+def triples(code: np.ndarray) -> np.ndarray:
+    return code[2:] * 31 + code[1:-1] * 17 + code[:-2] & 0xFFFFFFFF
+
+
+def text_features(raw: np.ndarray, length: int, group: int) -> np.ndarray:
+    """Distinct words and triples by words and the length of one text, read in groups of passages."""
+    seen = np.zeros((2, 1 << MARKS), bool)
+    words, last = 0, np.zeros(0, np.int64)
+    for at in range(0, len(raw), length * group):
+        piece = raw[at : at + length * group]
+        _, code = word_codes(piece, np.arange(0, len(piece), length))
+        words += len(code)
+        last = np.concatenate([last, code])
+        seen[0, marks(code)] = True
+        seen[1, marks(triples(last))] = True
+        last = last[-2:]
+    return np.array([*(seen.sum(axis=1) / max(words, 1)), np.log1p(len(raw)) / 10])
+
+
+def encode_passages(texts: list[np.ndarray], length: int, known: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Feature rows of all passages of some texts, and how many each text has; `known` has the features
+    of the whole text that the (single) given piece belongs to."""
     bytes_of = np.array([len(t) for t in texts])
     sizes = np.maximum(1, -(-bytes_of // length))
     n = int(sizes.sum())
@@ -56,11 +102,13 @@ def encode_passages(texts: list[np.ndarray], length: int) -> tuple[np.ndarray, n
     raw = np.concatenate(texts) if len(texts) else np.zeros(0, np.uint8)
     doc_of_passage = np.repeat(np.arange(len(texts)), sizes)
     out[:, BUCKETS + 10] = np.log1p(bytes_of)[doc_of_passage] / 10
+    out[:, BUCKETS + 7], out[:, BUCKETS + 11] = 0.01, 1 / length
+    if known is not None:
+        out[:, BUCKETS + 8 : BUCKETS + 11] = known
     if not len(raw):
         return out, sizes
     begin = np.cumsum(bytes_of) - bytes_of
     some = bytes_of > 0
-    first_passage = np.cumsum(sizes) - sizes
     edges = np.concatenate([np.arange(0, m, length) + b for m, b in zip(bytes_of[some], begin[some])])
     owners = np.flatnonzero(bytes_of[doc_of_passage] > 0)
     held = np.diff(np.append(edges, len(raw)))
@@ -69,32 +117,27 @@ def encode_passages(texts: list[np.ndarray], length: int) -> tuple[np.ndarray, n
     filled[owners] = held
     wide = raw.astype(np.int32)
     pair = (wide[:-1] * 131 + wide[1:] * 7 ^ wide[1:] >> 3) & (BUCKETS - 1)
-    out[:, :BUCKETS] = np.sqrt(np.bincount(where[:-1] * np.int64(BUCKETS) + pair, minlength=n * BUCKETS).reshape(n, BUCKETS) / filled[:, None])
+    inner = where[:-1] == where[1:]
+    out[:, :BUCKETS] = np.sqrt(np.bincount(where[:-1][inner] * np.int64(BUCKETS) + pair[inner], minlength=n * BUCKETS).reshape(n, BUCKETS) / filled[:, None])
     for i, mask in enumerate((UPPER, DIGIT, SIGN, SPACE, HIGH)):
         out[owners, BUCKETS + i] = np.add.reduceat(mask[raw], edges, dtype=np.int32) / held
     out[:, BUCKETS + 11] = filled / length
-    space = SPACE[raw]
-    fresh = np.ones(len(raw), bool)
-    fresh[1:] = space[:-1]
-    fresh[begin[some]] = True
-    begins = np.flatnonzero(~space & fresh)
+    begins, code = word_codes(raw, edges)
     if not len(begins):
         return out, sizes
-    position = np.arange(len(raw), dtype=np.int32)
-    position -= np.maximum.accumulate(np.where(~space & fresh, position, 0))
-    code = np.add.reduceat(np.where(space, 0, wide).astype(np.int64) * MIX[position & 63], begins) & 0xFFFFFFFF
     at = where[begins].astype(np.int64)
-    doc = doc_of_passage[at]
     words = np.maximum(np.bincount(at, minlength=n), 1)
     same = np.zeros(len(code))
-    same[1:] = (code[1:] == code[:-1]) & (doc[1:] == doc[:-1])
+    same[1:] = (code[1:] == code[:-1]) & (at[1:] == at[:-1])
     out[:, BUCKETS + 5] = np.bincount(at, weights=same, minlength=n) / words
     out[:, BUCKETS + 6] = np.bincount(np.unique(at << 32 | code) >> 32, minlength=n) / words
     out[:, BUCKETS + 7] = words / 100.0
-    in_doc = np.maximum(np.bincount(doc, minlength=len(texts)), 1)
-    triple = (code[2:] * 31 + code[1:-1] * 17 + code[:-2] & 0xFFFFFFFF)[doc[2:] == doc[:-2]]
-    for i, values, owner in ((8, code, doc), (9, triple, doc[2:][doc[2:] == doc[:-2]])):
-        out[:, BUCKETS + i] = (np.bincount(np.unique(owner << 32 | values) >> 32, minlength=len(texts)) / in_doc)[doc_of_passage]
+    if known is None:
+        doc = doc_of_passage[at]
+        in_doc = np.maximum(np.bincount(doc, minlength=len(texts)), 1)
+        whole = doc[2:] == doc[:-2]
+        for i, values, owner in ((8, code, doc), (9, triples(code)[whole], doc[2:][whole])):
+            out[:, BUCKETS + i] = (np.bincount(np.unique(owner << MARKS | marks(values)) >> MARKS, minlength=len(texts)) / in_doc)[doc_of_passage]
     return out, sizes
 
 
@@ -119,21 +162,27 @@ class AttentionMil:
         self.b = (self.p["b"] - self.mean / self.spread @ self.p["w"]).astype(np.float32)
         return self
 
-    def passages(self, texts: list[np.ndarray], settings: MilSettings) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def passages(self, texts: list[np.ndarray], settings: MilSettings, known: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Hidden vectors, attention scores, passages per text."""
-        x, sizes = encode_passages(texts, settings.passage_bytes)
+        x, sizes = encode_passages(texts, settings.passage_bytes, known)
         h = np.tanh(x @ self.w + self.b).astype(float)
         return h, (np.tanh(h @ self.p["v"]) / (1 + np.exp(-(h @ self.p["u"])))) @ self.p["a"], sizes
 
     def output(self, z: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-(z @ self.p["c"] + self.p["d"][0])))
 
+    def pieces(self, raw: np.ndarray, settings: MilSettings):
+        """Hidden vectors and attention scores of one whole text, group by group."""
+        known = text_features(raw, settings.passage_bytes, settings.group)
+        step = settings.passage_bytes * settings.group
+        for at in range(0, max(len(raw), 1), step):
+            h, s, _ = self.passages([raw[at : at + step]], settings, known)
+            yield h, s
+
     def score(self, raw: np.ndarray, settings: MilSettings) -> float:
         """Score of one whole text, in groups of passages with a running softmax."""
-        step = settings.passage_bytes * settings.group
         top, total, pooled = -np.inf, 0.0, np.zeros(settings.hidden)
-        for at in range(0, max(len(raw), 1), step):
-            h, s, _ = self.passages([raw[at : at + step]], settings)
+        for h, s in self.pieces(raw, settings):
             new = max(top, float(s.max()))
             keep, e = np.exp(top - new), np.exp(s - new)
             total, pooled, top = total * keep + e.sum(), pooled * keep + e @ h, new
@@ -159,8 +208,8 @@ class AttentionMil:
                 held += len(t)
         return out
 
-    def gradients(self, x: np.ndarray, sizes: np.ndarray, y: np.ndarray) -> dict[str, np.ndarray]:
-        """Of the mean logistic loss of a batch of documents; `x` has their passages in order."""
+    def gradients(self, x: np.ndarray, sizes: np.ndarray, y: np.ndarray, of: int | None = None) -> dict[str, np.ndarray]:
+        """Of the logistic loss of some documents over `of` (their number); `x` has their passages in order."""
         p = self.p
         begins = np.cumsum(sizes) - sizes
         doc = np.repeat(np.arange(len(sizes)), sizes)
@@ -170,7 +219,7 @@ class AttentionMil:
         e = np.exp(s - np.repeat(np.maximum.reduceat(s, begins), sizes))
         w = e / np.repeat(np.add.reduceat(e, begins), sizes)
         z = np.add.reduceat(h * w[:, None], begins)
-        out = (1 / (1 + np.exp(-(z @ p["c"] + p["d"]))) - y) / len(y)
+        out = (1 / (1 + np.exp(-(z @ p["c"] + p["d"]))) - y) / (of or len(y))
         dz = out[:, None] * p["c"]
         dw = (h * dz[doc]).sum(axis=1)
         ds = w * (dw - np.add.reduceat(w * dw, begins)[doc])
@@ -180,16 +229,54 @@ class AttentionMil:
         return {"w": x.T @ pre, "b": pre.sum(axis=0), "v": h.T @ dt, "u": h.T @ dg, "a": (t * g).T @ ds, "c": z.T @ out, "d": out.sum(keepdims=True)}
 
 
+    def long_gradients(self, raw: np.ndarray, y: float, of: int, settings: MilSettings) -> dict[str, np.ndarray]:
+        """The same for one document of any length: a pass for the attention, one for the gradients."""
+        p, step = self.p, settings.passage_bytes * settings.group
+        known = text_features(raw, settings.passage_bytes, settings.group)
+
+        def parts():
+            for at in range(0, max(len(raw), 1), step):
+                x = (encode_passages([raw[at : at + step]], settings.passage_bytes, known)[0] - self.mean) / self.spread
+                h = np.tanh(x @ p["w"] + p["b"])
+                t, g = np.tanh(h @ p["v"]), 1 / (1 + np.exp(-(h @ p["u"])))
+                yield x, h, t, g, (t * g) @ p["a"]
+
+        top, total, pooled = -np.inf, 0.0, np.zeros(settings.hidden)
+        for _, h, _, _, s in parts():
+            new = max(top, float(s.max()))
+            keep, e = np.exp(top - new), np.exp(s - new)
+            total, pooled, top = total * keep + e.sum(), pooled * keep + e @ h, new
+        z = pooled / total
+        out = (1 / (1 + np.exp(-(z @ p["c"] + p["d"][0]))) - y) / of
+        dz = out * p["c"]
+        grads = {k: np.zeros_like(v) for k, v in p.items()}
+        grads["c"], grads["d"] = out * z, np.array([out])
+        for x, h, t, g, s in parts():
+            w = np.exp(s - top) / total
+            ds = w * (h @ dz - z @ dz)
+            dt, dg = ds[:, None] * p["a"] * g * (1 - t * t), ds[:, None] * p["a"] * t * g * (1 - g)
+            pre = (w[:, None] * dz + dt @ p["v"].T + dg @ p["u"].T) * (1 - h * h)
+            for k, more in (("w", x.T @ pre), ("b", pre.sum(axis=0)), ("v", h.T @ dt), ("u", h.T @ dg), ("a", (t * g).T @ ds)):
+                grads[k] += more
+        return grads
+
+
 def fit(texts: list[bytes], labels: list[int], settings: MilSettings) -> AttentionMil | None:
     """Adam over shuffled batches of documents; None if there is just one label."""
     y = np.array(labels, float)
     if not len(y) or y.min() == y.max():
         return None
-    most = settings.passage_bytes * 64  # very long training texts give their first 64 passages to the fit
-    flat, sizes = encode_passages([np.frombuffer(t, np.uint8)[:most] for t in texts], settings.passage_bytes)
+    raw = [np.frombuffer(t, np.uint8) for t in texts]
+    lengths = np.maximum(1, -(-np.array([len(t) for t in raw]) // settings.passage_bytes))
+    kept = (np.cumsum(lengths) <= settings.kept_passages) & (lengths <= settings.group)
+    if not kept.any():
+        kept[lengths.argmin()] = True
+    flat, sizes = encode_passages([t for t, k in zip(raw, kept) if k], settings.passage_bytes)
     mean, spread = flat.mean(axis=0), flat.std(axis=0) + 0.01
-    flat = (flat - mean) / spread
+    flat -= mean
+    flat /= spread
     begins = np.cumsum(sizes) - sizes
+    row = np.cumsum(kept) - 1
     model = AttentionMil.fresh(settings, mean, spread)
     draw = np.random.default_rng(settings.seed)
     m = {k: np.zeros_like(v) for k, v in model.p.items()}
@@ -198,9 +285,15 @@ def fit(texts: list[bytes], labels: list[int], settings: MilSettings) -> Attenti
     for epoch in range(settings.epochs):
         rate = settings.rate * (0.5 if epoch > settings.epochs * 0.6 else 1)
         for some in np.array_split(draw.permutation(len(y)), max(1, len(y) // settings.batch)):
-            at = np.concatenate([np.arange(begins[i], begins[i] + sizes[i]) for i in some])
+            held = some[kept[some]]
+            grads = {k: np.zeros_like(v) for k, v in model.p.items()}
+            if len(held):
+                at = np.concatenate([np.arange(begins[i], begins[i] + sizes[i]) for i in row[held]])
+                grads = model.gradients(flat[at], sizes[row[held]], y[held], len(some))
+            for i in some[~kept[some]]:
+                grads = {k: grads[k] + v for k, v in model.long_gradients(raw[i], y[i], len(some), settings).items()}
             step += 1
-            for k, grad in model.gradients(flat[at], sizes[some], y[some]).items():
+            for k, grad in grads.items():
                 grad = grad + settings.decay * model.p[k]
                 m[k] = 0.9 * m[k] + 0.1 * grad
                 s[k] = 0.999 * s[k] + 0.001 * grad * grad
