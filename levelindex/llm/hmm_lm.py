@@ -1,18 +1,20 @@
 """Hidden Markov language model: Baum-Welch over partitions, exact scaled forward scores.
 
 States emit word classes; a class then gives the word.  Words that make up at least one in
-`own_classes` of all tokens are classes by themselves (so there are at most that many), all others
+`own_classes` of all training tokens are classes by themselves (so there are at most that many), all others
 share `shape_classes` classes by their first and last bytes.  Within a shape class a word has the
 probability (c + 0.5) / (M + 0.5 V + 0.5) with c its training count and M, V the class's tokens and
 distinct words; the rest, 0.5 over the same sum, is the class's unknown word.  So the model's size
 is fixed while the counts it rests on cover every training token.
 
-Words whose share of the tokens is at least 1 / `cached_words` (at most that many) go to the workers
+Words whose share of the training tokens is at least 1 / `cached_words` (at most that many) go to the workers
 as a table; all rarer words meet their counts in a shuffled join, pre-summed by document.
 
-Training starts from a bounded sample of documents (`warm_documents`) on the driver; after that each
-Baum-Welch round runs over every training document, cut into runs of `train_run` tokens, and sums
-expected counts over partitions.  Scores use whole documents, never cut.
+Training starts from a bounded sample of whole documents (`warm_documents`) on the driver; after that
+each Baum-Welch round runs over every training document and sums expected counts over partitions.
+Documents are laid out in runs of `train_run` tokens; the messages that enter a run from both sides
+are carried over from its neighbours, so expected counts are those of whole documents.  Classes, counts
+and the cut between cached and rarer words come from training documents alone.
 
 Cases: null text is empty and has the end token only; null keys are held out; an empty training set
 leaves N = 0 and every word unknown; repeated rows are scored separately.
@@ -44,8 +46,8 @@ class HmmSettings:
     shape_classes: int = 4096
     cached_words: int = 262_144
     warm_documents: int = 2000
-    warm_rounds: int = 14
-    rounds: int = 2
+    warm_rounds: int = 12
+    rounds: int = 3
     train_run: int = 512
     smoothing: float = 1000.0
     seed: int = 7
@@ -60,35 +62,26 @@ def shape(word: bytes, n: int) -> int:
     return zlib.crc32(word[:4] + b" " + word[-4:]) % n
 
 
-def count_words(docs: DataFrame) -> DataFrame:
-    """word, in_all, in_train for every word of the documents."""
+def count_words(train: DataFrame) -> DataFrame:
+    """word, in_train for every word of the training documents."""
 
     def run(batches):
-        every, train = Counter(), Counter()
+        counts = Counter()
 
         def flush():
-            words = list(every)
-            out = pa.RecordBatch.from_arrays(
-                [pa.array(words, pa.binary()), pa.array([every[w] for w in words], pa.int64()), pa.array([train[w] for w in words], pa.int64())],
-                ["word", "in_all", "in_train"],
-            )
-            every.clear()
-            train.clear()
+            out = pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], ["word", "in_train"])
+            counts.clear()
             return out
 
         for batch in small_batches(batches, "text"):
-            for text, held in zip(raw_texts(batch.column("text")), batch.column("held_out").to_pylist()):
-                words = words_of(text)
-                every.update(words)
-                if not held:
-                    train.update(words)
-            if len(every) > 400_000:
+            for text in raw_texts(batch.column("text")):
+                counts.update(words_of(text))
+            if len(counts) > 400_000:
                 yield flush()
-        if every:
+        if counts:
             yield flush()
 
-    parts = docs.mapInArrow(run, "word binary, in_all long, in_train long")
-    return parts.groupBy("word").agg(F.sum("in_all").alias("in_all"), F.sum("in_train").alias("in_train"))
+    return train.select("text").mapInArrow(run, "word binary, in_train long").groupBy("word").agg(F.sum("in_train").alias("in_train"))
 
 
 class Classes:
@@ -218,14 +211,15 @@ class Hmm:
         return out
 
     def expect(self, seqs: list[np.ndarray], starts: np.ndarray) -> dict[str, np.ndarray]:
-        """Expected counts of one batch; `starts` tells which sequences begin a document."""
+        """Expected counts of whole documents, given as runs in order; `starts` tells which runs begin one."""
+        entering, behind = self.carried(seqs, starts)
         order, active, offsets, laid = step_layout(seqs)
+        entering, inner = entering[order], ~starts[order]
         k = len(self.start)
         b = self.by_class[laid]
         alpha = np.empty_like(b)
         scale = np.empty(len(laid))
-        first = np.where(starts[order][:, None], self.start, self.occupied())
-        a = first * b[: offsets[1]]
+        a = np.where(inner[:, None], entering @ self.move, self.start) * b[: offsets[1]]
         for t in range(len(active)):
             n, at = active[t], offsets[t]
             if t:
@@ -233,7 +227,9 @@ class Hmm:
             s = a.sum(axis=1)
             a /= s[:, None]
             alpha[at : at + n], scale[at : at + n] = a, s
-        beta = np.ones((len(seqs), k))
+        last = offsets[np.array([len(seqs[i]) for i in order]) - 1] + np.arange(len(seqs))
+        beta = behind[order]
+        beta = beta / (alpha[last] * beta).sum(axis=1, keepdims=True)
         moved = np.zeros((k, k))
         gamma = alpha  # turned into posteriors from the end on
         for t in range(len(active) - 1, 0, -1):
@@ -242,17 +238,44 @@ class Hmm:
             moved += alpha[before : before + n].T @ ahead
             gamma[at : at + n] *= beta[:n]
             beta[:n] = ahead @ self.move.T
+        if inner.any():  # the step into a run from the one before it
+            moved += entering[inner].T @ (beta * b[: len(seqs)] / scale[: len(seqs), None])[inner]
         gamma[: len(seqs)] *= beta
         size = self.emit.shape[1]
         emitted = np.stack([np.bincount(laid, weights=gamma[:, i], minlength=size) for i in range(k)])
         return {"start": gamma[: len(seqs)][starts[order]].sum(axis=0), "move": moved * self.move, "emit": emitted}
 
-    def occupied(self) -> np.ndarray:
-        """Long-run shares of the states."""
-        p = np.full(len(self.start), 1 / len(self.start))
-        for _ in range(30):
-            p = p @ (0.9 * self.move + 0.1 / len(p))
-        return p / p.sum()
+    def carried(self, seqs: list[np.ndarray], starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """For each run the forward message at the end of the run before it, and the backward message at its own end."""
+        k = len(self.start)
+        before, behind = np.zeros((len(seqs), k)), np.ones((len(seqs), k))
+        later = np.flatnonzero(~starts)
+        if not len(later):
+            return before, behind
+        heads = later[starts[later - 1]] - 1
+        through = dict(zip(later.tolist(), self.transfer([seqs[i] for i in later], np.eye(k), False)))
+        ends = dict(zip(heads.tolist(), self.transfer([seqs[i] for i in heads], self.start[None], True)[:, 0]))
+        for i in later.tolist():
+            v = ends[i - 1] if starts[i - 1] else before[i - 1] @ through[i - 1]
+            before[i] = v / v.sum()
+        for i in later[::-1].tolist():
+            v = through[i] @ behind[i]
+            behind[i - 1] = v / v.sum()
+        return before, behind
+
+    def transfer(self, seqs: list[np.ndarray], first: np.ndarray, begins: bool) -> np.ndarray:
+        """Products of the steps through each sequence, up to a factor, from the rows of `first`."""
+        order, active, offsets, laid = step_layout(seqs)
+        rows, k = first.shape
+        p = np.broadcast_to(first, (len(seqs), rows, k)).copy()
+        for t in range(len(active)):
+            n, at = active[t], offsets[t]
+            moved = p[:n] if begins and not t else (p[:n].reshape(-1, k) @ self.move).reshape(n, rows, k)
+            p[:n] = moved * self.by_class[laid[at : at + n]][:, None, :]
+            p[:n] /= p[:n].max(axis=(1, 2), keepdims=True)
+        out = np.empty_like(p)
+        out[order] = p
+        return out
 
     def updated(self, counts: dict[str, np.ndarray], smoothing: float) -> "Hmm":
         total = counts["emit"].sum(axis=0) + 0.1
@@ -326,13 +349,11 @@ def warm_start(train: DataFrame, size: int, settings: HmmSettings) -> Hmm:
     blobs = picked.column("classes").to_pylist()
     background = np.full(size, 0.1)
     for blob in blobs:
-        background += np.bincount(np.frombuffer(blob, np.uint16)[: 4 * settings.train_run], minlength=size)
+        background += np.bincount(np.frombuffer(blob, np.uint16), minlength=size)
     model = Hmm.initial(background / background.sum(), settings.states, settings.seed)
-    if not blobs:
-        return model
-    seqs, starts = runs_of([b[: 8 * settings.train_run] for b in blobs], settings.train_run)
-    for _ in range(settings.warm_rounds):
-        model = model.updated(model.expect(seqs, starts), settings.smoothing)
+    for _ in range(settings.warm_rounds if blobs else 0):
+        parts = [model.expect(*runs_of(group, settings.train_run)) for group in grouped(blobs)]
+        model = model.updated({k: sum(p[k] for p in parts) for k in parts[0]}, settings.smoothing)
     return model
 
 
@@ -342,16 +363,15 @@ def hmm_scores(docs: DataFrame, settings: HmmSettings = HmmSettings(), mod: int
     rows = id_and_text(docs, id_col, text_col)
     rows = rows.withColumn("held_out", F.coalesce(fold(rows.doc_id, mod) == held, F.lit(True)))
     n_docs, n_train = rows.agg(F.count("*"), F.coalesce(F.sum((~F.col("held_out")).cast("long")), F.lit(0))).first()
-    vocabulary = scratch.save(count_words(rows), "words")
-    all_words, train_words, distinct = vocabulary.agg(F.coalesce(F.sum("in_all"), F.lit(0)), F.coalesce(F.sum("in_train"), F.lit(0)), F.coalesce(F.sum((F.col("in_train") > 0).cast("long")), F.lit(0))).first()
+    vocabulary = scratch.save(count_words(rows.where(~F.col("held_out"))), "words")
+    train_words, distinct = vocabulary.agg(F.coalesce(F.sum("in_train"), F.lit(0)), F.count("*")).first()
     n, v = train_words + n_train, distinct + (n_train > 0)
 
     # Bounded by construction: at most `cached_words` words reach that share of the tokens.
-    frequent = (F.col("in_all") * settings.cached_words >= all_words) & (F.octet_length("word") <= LONGEST_CACHED)
-    listed = vocabulary.where(frequent).select("word", "in_all", "in_train").toArrow()
-    words = listed.column("word").to_pylist()
-    cached = dict(zip(words, listed.column("in_train").to_pylist()))
-    own = sorted(w for w, c in zip(words, listed.column("in_all").to_pylist()) if c * settings.own_classes >= all_words)
+    frequent = (F.col("in_train") * settings.cached_words >= train_words) & (F.octet_length("word") <= LONGEST_CACHED)
+    listed = vocabulary.where(frequent).select("word", "in_train").toArrow()
+    cached = dict(zip(listed.column("word").to_pylist(), listed.column("in_train").to_pylist()))
+    own = sorted(w for w, c in cached.items() if c * settings.own_classes >= train_words)
     mass = class_mass(vocabulary, set(own), settings)
     classes = Classes(settings, own, cached, mass, n_train)
     encoded = scratch.save(encode(rows, spark.sparkContext.broadcast(classes)), "encoded")
@@ -372,7 +392,7 @@ def hmm_scores(docs: DataFrame, settings: HmmSettings = HmmSettings(), mod: int
     kept = ("uid", "doc_id", "held_out", "n_tokens", "n_known", "counted", "within", "n_rare", "classes")
     scored = encoded.select(*kept).mapInArrow(score, "uid long, doc_id long, held_out boolean, n_tokens long, n_known long, counted double, within double, n_rare long, likelihood double")
 
-    counts = vocabulary.where(~frequent & (F.col("in_train") > 0)).select("word", "in_train")
+    counts = vocabulary.where(~frequent).select("word", "in_train")
     uses = encoded.where(F.col("n_rare") > 0).select("uid", F.explode(F.arrays_zip("rare", "rare_n")).alias("use")).select("uid", F.col("use.rare").alias("word"), F.col("use.rare_n").alias("times"))
     found = uses.join(counts, "word").groupBy("uid").agg(
         F.sum("times").alias("rare_known"),
