@@ -16,6 +16,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, MapType, StructField, StructType
 
 UPPER = bytes(range(65, 91))
 LOWER_TABLE = bytes.maketrans(UPPER, UPPER.lower())
@@ -33,6 +34,37 @@ def id_and_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     )
 
 
+def free_name(columns: Iterable[str], name: str) -> str:
+    """The name, or one made from it, that no column has (letter case aside)."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
+
+
+def column(name: str) -> Column:
+    """A column by its exact name, dots and signs included."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
+def map_rows(df: DataFrame, run, schema: StructType) -> DataFrame:
+    """`mapInArrow` for frames whose column names may have dots, which it can't resolve itself."""
+    names, safe = [*df.columns, *schema.names], {}
+    for c in names:
+        if "." in c or "`" in c:
+            safe[c] = free_name([*names, *safe.values()], c.replace(".", "_").replace("`", "_"))
+    if not safe:
+        return df.mapInArrow(run, schema)
+    inner = StructType([StructField(safe.get(f.name, f.name), f.dataType, f.nullable) for f in schema])
+    return df.toDF(*[safe.get(c, c) for c in df.columns]).mapInArrow(run, inner).toDF(*schema.names)
+
+
+def row_hash(df: DataFrame, leave: Iterable[str] = ()) -> Column:
+    """A hash over the columns; those whose type has no hash (maps) count by their JSON form."""
+    plain = lambda t: not isinstance(t, MapType) and not (isinstance(t, ArrayType) and not plain(t.elementType)) and not (isinstance(t, StructType) and not all(plain(f.dataType) for f in t)) and t.typeName() != "variant"
+    return F.xxhash64(*[column(f.name) if plain(f.dataType) else F.to_json(F.struct(column(f.name))) for f in df.schema if f.name not in set(leave)])
+
+
 def fold(doc_id: Column, n: int) -> Column:
     """The remainder of crc32 of the key as text; null for a null key."""
     return F.crc32(doc_id.cast("string")) % n

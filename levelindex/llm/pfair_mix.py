@@ -6,14 +6,17 @@ c blocks that a source has in a frame of q slots is released at floor((j - 1) q
 ceil(j q / c); every slot goes to the released block with the earliest deadline (ties to the first
 source by name).  So at any slot every source is less than one block away from its share of the
 frame, and exactly on it at the frame's end.  Frames change only when a source runs out, so a few
-kinds of frames are simulated, each once, and all rows find their slot by a join.
+kinds of frames are simulated, each once; every kind's slots are then laid out over its frames in
+pieces of `FRAMES` frames, and all rows find their block's slot by a join on source and block.
 
 No source is numbered in one task: rows are counted by 4096 hash ranges of a source, ranges get
-their offsets, and rows are numbered inside ranges.
+their offsets, and rows are numbered inside ranges.  No join is told to broadcast: Spark does so by
+the sizes it measures.
 
 Cases: a null source counts as the source of the empty name; a source without a given weight gets
 `default` or, if weights are left out, max(1, floor(32 sqrt(n / largest n))) of its blocks; null ids
-and repeated rows get places of their own; an empty table gives no rows.
+and repeated rows get places of their own (rows of one id in the order of a hash of all columns);
+an empty table gives no rows; a result column whose name the rows already have gets a leading `_`.
 """
 
 from __future__ import annotations
@@ -22,9 +25,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from levelindex import scratch
+from levelindex.llm.common import column, free_name, row_hash
 
 SPAN = 1 << 20
-BROADCAST_SOURCES = 10_000
+FRAMES = 1024
 
 
 def simulated(c: Column, q: Column) -> Column:
@@ -61,46 +65,47 @@ def mix(docs: DataFrame, weights: dict[str, int] | None = None, default: int = 1
     return placed.select("doc_id", F.col("mix_source").alias("source"), "block", "slot", "place")
 
 
-def schedule(rows: DataFrame, weights: dict[str, int] | None = None, default: int = 1, block_rows: int = 8) -> DataFrame:
-    """The rows (which have doc_id and source) with mix_source, block, slot and place added."""
-    key = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
-    keyed = rows.withColumn("mix_source", F.coalesce(F.col("source").cast("string"), F.lit(""))).withColumn("mix_key", key).withColumn("mix_range", F.substring("mix_key", 1, 3))
-    counted = scratch.save(keyed.groupBy("mix_source", "mix_range").agg(F.count("*").alias("n")), "ranges")
-    before = Window.partitionBy("mix_source").orderBy("mix_range").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = counted.select("mix_source", "mix_range", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))
-
-    sizes = counted.groupBy(F.col("mix_source").alias("source")).agg(F.ceil(F.sum("n") / block_rows).cast("long").alias("blocks"))
-    sources = scratch.save(sizes.withColumn("m", weight_column(weights, default)), "sources")
-    n_sources = sources.count()
-    small = F.broadcast if n_sources <= BROADCAST_SOURCES else (lambda df: df)
-
+def timetable(sources: DataFrame) -> DataFrame:
+    """mix_source, block, slot of every block of the sources (source, blocks, m)."""
     # kinds of frames: the number of whole frames of a source, and one more, are where the frames change
     full = F.floor(F.col("blocks") / F.col("m"))
     points = sources.select(F.explode(F.array(F.lit(0).cast("long"), full, full + 1)).alias("start")).distinct()
     ahead = Window.partitionBy().orderBy("start")
     kinds = points.withColumn("end", F.lead("start").over(ahead)).where(F.col("end").isNotNull())
     left = F.least(F.col("m"), F.col("blocks") - F.col("start") * F.col("m"))
-    shares = sources.join(small(kinds), F.col("start") * F.col("m") < F.col("blocks")).withColumn("c", left)
-    frames = shares.groupBy("start", "end").agg(F.array_sort(F.collect_list(F.struct("source", "c"))).alias("members"), F.sum("c").alias("q"))
+    shares = sources.join(kinds, F.col("start") * F.col("m") < F.col("blocks")).withColumn("c", left)
+    frames = shares.groupBy("start", "end").agg(F.array_sort(F.collect_list(F.struct("source", "c", "m"))).alias("members"), F.sum("c").alias("q"))
     base = F.coalesce(F.sum((F.col("end") - F.col("start")) * F.col("q")).over(ahead.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     frames = frames.withColumn("base", base)
-    slots = frames.select("start", "members", F.posexplode(simulated(F.col("members.c"), F.col("q"))).alias("pos", "who"))
-    slots = slots.select("start", F.element_at("members.source", F.col("who").cast("int") + 1).alias("mix_source"), F.col("pos").cast("long").alias("pos"))
-    turn = F.row_number().over(Window.partitionBy("start", "mix_source").orderBy("pos")) - 1
-    slots = scratch.save(slots.withColumn("turn", turn.cast("long")), "slots")
-    timeline = frames.agg(F.array_sort(F.collect_list(F.struct("start", "q", "base"))).alias("frames"))
-    lookup = sources.join(small(timeline)).select(F.col("source").alias("mix_source"), "m", "frames")
-
-    numbered = keyed.withColumn("mix_row", F.row_number().over(Window.partitionBy("mix_source", "mix_range").orderBy("mix_key", "doc_id")))
-    numbered = numbered.join(offsets, ["mix_source", "mix_range"]).withColumn("mix_at", F.col("offset") + F.col("mix_row") - 1)
-    block = F.floor(F.col("mix_at") / block_rows).cast("long")
-    found = numbered.withColumn("block", block).join(small(lookup), "mix_source").withColumn("mix_frame", F.floor(F.col("block") / F.col("m")).cast("long"))
-    found = found.withColumn("mix_kind", F.element_at(F.filter("frames", lambda f: f["start"] <= F.col("mix_frame")), -1)).withColumn("start", F.col("mix_kind.start")).withColumn("turn", F.col("block") % F.col("m"))
-    found = found.join(slots, ["mix_source", "start", "turn"])
-    slot = F.col("mix_kind.base") + (F.col("mix_frame") - F.col("start")) * F.col("mix_kind.q") + F.col("pos")
-    found = found.withColumn("slot", slot.cast("long"))
-    found = found.withColumn("place", F.col("slot") * block_rows + F.col("mix_at") % block_rows)
-    return found.select(*[rows[c] for c in rows.columns], "mix_source", "block", "slot", "place")
+    slots = frames.select("start", "end", "q", "base", "members", F.posexplode(simulated(F.col("members.c"), F.col("q"))).alias("pos", "who"))
+    who = F.element_at("members", F.col("who").cast("int") + 1)
+    taken = slots.select("start", "end", "q", "base", who["source"].alias("mix_source"), who["m"].alias("m"), F.col("pos").cast("long").alias("pos"))
+    turns = taken.groupBy("start", "end", "q", "base", "mix_source", "m").agg(F.array_sort(F.collect_list("pos")).alias("turns"))
+    turns = scratch.save(turns, "slots")
+    pieces = turns.withColumn("from", F.explode(F.sequence("start", F.col("end") - 1, F.lit(FRAMES).cast("long")))).repartition("mix_source", "from")
+    each = pieces.withColumn("frame", F.explode(F.sequence("from", F.least(F.col("from") + FRAMES, F.col("end")) - 1)))
+    each = each.select("mix_source", "m", "frame", (F.col("base") + (F.col("frame") - F.col("start")) * F.col("q")).alias("first"), F.posexplode("turns").alias("turn", "pos"))
+    return each.select("mix_source", (F.col("frame") * F.col("m") + F.col("turn")).alias("block"), (F.col("first") + F.col("pos")).cast("long").alias("slot"))
+
+
+def schedule(rows: DataFrame, weights: dict[str, int] | None = None, default: int = 1, block_rows: int = 8) -> DataFrame:
+    """The rows (which have doc_id and source) with mix_source, block, slot and place added."""
+    own = [column(c) for c in rows.columns]
+    key = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
+    packed = rows.select(F.struct(*own).alias("row"), F.col("doc_id").alias("id"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("mix_source"), key.alias("key"), row_hash(rows).alias("tie"))
+    keyed = packed.withColumn("range", F.substring("key", 1, 3))
+    counted = scratch.save(keyed.groupBy("mix_source", "range").agg(F.count("*").alias("n")), "ranges")
+    before = Window.partitionBy("mix_source").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = counted.select("mix_source", "range", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))
+
+    sizes = counted.groupBy(F.col("mix_source").alias("source")).agg(F.ceil(F.sum("n") / block_rows).cast("long").alias("blocks"))
+    placed = timetable(scratch.save(sizes.withColumn("m", weight_column(weights, default)), "sources"))
+
+    numbered = keyed.withColumn("nth", F.row_number().over(Window.partitionBy("mix_source", "range").orderBy("key", "id", "tie")))
+    numbered = numbered.join(offsets, ["mix_source", "range"]).withColumn("at", F.col("offset") + F.col("nth") - 1)
+    found = numbered.withColumn("block", F.floor(F.col("at") / block_rows).cast("long")).join(placed, ["mix_source", "block"])
+    added = {"mix_source": F.col("mix_source"), "block": F.col("block"), "slot": F.col("slot"), "place": F.col("slot") * block_rows + F.col("at") % block_rows}
+    return found.select(*[F.col("row").getField(c).alias(c) for c in rows.columns], *[v.alias(free_name(rows.columns, n)) for n, v in added.items()])
 
 
 #: The same schedule for the default weights, in DuckDB's SQL.
