@@ -247,12 +247,17 @@ def labelled_texts(rows: DataFrame, labels: DataFrame, train, settings: CrfSetti
 
 def spans_of(text: bytes, words: list[bytes], marginals: np.ndarray) -> list[dict[str, int]]:
     """Character offsets of the words whose marginal is at least one half."""
-    hit = np.flatnonzero(marginals >= 0.5)
-    if not len(hit):
+    if not (marginals >= 0.5).any():
         return []
-    places = [m.span() for m in re.finditer(rb"\S+", text)]
-    chars = lambda b: len(text[:b].decode("utf-8", "replace"))
-    return [{"begin": (a := chars(places[i][0])), "end": a + len(words[i].decode("utf-8", "replace"))} for i in hit]
+    out, at, chars = [], 0, 0
+    for i, place in enumerate(re.finditer(rb"\S+", text)):
+        if marginals[i] >= 0.5:
+            begin, end = place.span()
+            chars += len(text[at:begin].decode("utf-8", "replace"))
+            size = len(words[i].decode("utf-8", "replace"))
+            out.append({"begin": chars, "end": chars + size})
+            at, chars = end, chars + size
+    return out
 
 
 def toxicity_scores(docs: DataFrame, labels: DataFrame, settings: CrfSettings = CrfSettings(), mod: int = 3, held: int = 1, threshold: float = 0.7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
