@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from levelindex.llm.common import LOWER_TABLE, id_and_text, raw_texts, small_batches
+from levelindex.llm.common import LOWER_TABLE, id_and_text, map_rows, raw_texts, small_batches
 
 EDGE = b".,;:!?\"'()[]{}<>|#$%&*-_/\\+=~`^@"
 FOUND = "doc_id long, item_id long, ratio double, matched int, item_words int, begin_word int, end_word int"
@@ -152,32 +152,38 @@ class ItemBlock:
             yield self.names[i], score / len(self.words[i]), matched, len(self.words[i]), x, y
 
 
+def best_end(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int, int]:
+    """Score and matched words of the best local alignment, and how far it reaches into item and text.
+
+    Row by row over the item, gaps along the text by a running maximum; only one row is held.  A cell
+    is score * unit + matched words, so that of equal scores the one with more matches wins.
+    """
+    n, unit = len(text), len(item) + 1
+    row, steps = np.zeros(n + 1, np.int64), np.arange(n + 1, dtype=np.int64) * unit
+    best, x, y = 0, 0, 0
+    for i, word in enumerate(item.tolist(), 1):
+        new = np.zeros(n + 1, np.int64)
+        np.maximum(row[:-1] + np.where(text == word, unit + 1, -unit), row[1:] - unit, out=new[1:])
+        # below one unit nothing is left of a score: the alignment begins anew
+        new[new < unit] = 0
+        row = np.maximum.accumulate(new + steps) - steps
+        row[row < unit] = 0
+        j = int(row.argmax())
+        if row[j] > best:
+            best, x, y = int(row[j]), i, j
+    return best // unit, best % unit, x, y
+
+
 def align(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int, int]:
     """Best local alignment: score, matched words, first and last place in the text (half open).
 
-    Row by row over the item; gaps along the text by a running maximum.
+    The begin comes from the same pass over what lies before the end, read backwards; memory is one row.
     """
-    m, n = len(item), len(text)
-    table = np.zeros((m + 1, n + 1), np.int32)
-    steps = np.arange(n + 1, dtype=np.int32)
-    for i in range(1, m + 1):
-        above = table[i - 1]
-        row = np.zeros(n + 1, np.int32)
-        np.maximum(above[:-1] + np.where(text == item[i - 1], 1, -1), above[1:] - 1, out=row[1:])
-        np.maximum(row, 0, out=row)
-        table[i] = np.maximum.accumulate(row + steps) - steps
-    i, j = np.unravel_index(int(table.argmax()), table.shape)
-    score, end, matched = int(table[i, j]), int(j), 0
-    while i and j and table[i, j] > 0:
-        same = item[i - 1] == text[j - 1]
-        if table[i, j] == table[i - 1, j - 1] + (1 if same else -1):
-            matched += int(same)
-            i, j = i - 1, j - 1
-        elif table[i, j] == table[i - 1, j] - 1:
-            i -= 1
-        else:
-            j -= 1
-    return score, matched, int(j), end
+    score, matched, x, y = best_end(item, text)
+    if not score:
+        return 0, 0, 0, 0
+    back = best_end(item[:x][::-1], text[:y][::-1])
+    return score, matched, y - back[3], y
 
 
 def item_blocks(items: DataFrame, s: AlignSettings, id_col: str, text_col: str):
@@ -248,5 +254,5 @@ def without_leaks(docs: DataFrame, items: DataFrame, s: AlignSettings = AlignSet
                 clean = [not any(True for _ in own.matches(own.number(t))) for t in raw_texts(batch.column(text_col))]
                 yield batch.filter(pa.array(clean, pa.bool_()))
 
-        kept = kept.mapInArrow(run, kept.schema)
+        kept = map_rows(kept, run, kept.schema)
     return kept
