@@ -4,6 +4,10 @@ Toxic documents go; of each group of near duplicates the smallest key stays; byt
 document with a smaller key has too are cut out (whole characters only); documents that contain a
 benchmark item go; the rest is interleaved by source.  All stages but the last return the columns
 of documents, `n_chars` following the text.
+
+Cases: a null text counts as an empty one and stays null; rows with a null key are never dropped for
+the sake of others; of rows that share key and text one stays; an empty table passes through; further
+columns of any name and type come along.
 """
 
 from __future__ import annotations
@@ -14,7 +18,7 @@ from pyspark.sql.types import LongType, StringType
 
 from levelindex import scratch
 from levelindex.llm import crf_toxicity, decontaminate, jaccard_groups, pfair_mix, suffix_dedup
-from levelindex.llm.common import fold, raw_texts, small_batches, table, tidy
+from levelindex.llm.common import column, fold, free_name, map_rows, raw_texts, row_hash, small_batches, table, tidy
 
 
 def drop_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,24 +41,27 @@ def drop_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
         del own
         tidy()
 
-    return docs.mapInArrow(run, docs.schema)
+    return map_rows(docs, run, docs.schema)
 
 
 def drop_near_duplicates(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group linked by a five-word Jaccard of at least 0.8: the smallest key, and one row of it; rows without any key in their group all stay."""
     groups = scratch.save(jaccard_groups.near_duplicates(docs), "groups")
+    key, row, n, at = (free_name(docs.columns, x) for x in ("key", "row", "n", "at"))
     first = groups.where(F.col("doc_id") == F.col("component_id")).groupBy("root", "component_id", "row").agg(F.count("*").alias("n")).groupBy("root", "component_id").agg(F.min(F.struct("row", "n")).alias("k"))
-    keys = scratch.save(first.select(F.col("component_id").alias("__id"), F.col("k.row").alias("__row"), F.col("k.n").alias("__n")), "kept")
-    text = F.xxhash64(F.coalesce(docs["text"].cast("string"), F.lit("")))
-    kept = docs.join(keys, (docs["doc_id"] == keys["__id"]) & (text == keys["__row"]))
-    if not keys.where("__n > 1").isEmpty():  # one of the rows that share key and text
-        order = Window.partitionBy("__id", "__row").orderBy(F.xxhash64(*docs.columns))
-        one = kept.where("__n > 1").withColumn("__at", F.row_number().over(order)).where("__at = 1").drop("__at")
-        kept = kept.where("__n = 1").unionByName(one)
-    kept = kept.select(docs.columns)
+    keys = scratch.save(first.select(F.col("component_id").alias(key), F.col("k.row").alias(row), F.col("k.n").alias(n)), "kept")
+    own = [column(c) for c in docs.columns]
+    marked = docs.withColumn(at, F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))
+    kept = marked.join(keys, (F.col("doc_id") == F.col(key)) & (F.col(at) == F.col(row)))
+    if not keys.where(F.col(n) > 1).isEmpty():  # one of the rows that share key and text
+        several = kept.where(F.col(n) > 1).withColumn(at, row_hash(docs)).select(*own, key, row, at)
+        turn = F.row_number().over(Window.partitionBy(key, row).orderBy(at))
+        one = several.withColumn(at, turn).where(F.col(at) == 1)
+        kept = kept.where(F.col(n) == 1).select(own).unionByName(one.select(own))
+    kept = kept.select(own)
     if not groups.where(F.col("component_id").isNull()).isEmpty():
-        alone = groups.where(F.col("component_id").isNull()).select(F.col("row").alias("__row")).distinct()
-        kept = kept.unionByName(docs.where(F.col("doc_id").isNull()).join(alone, text == alone["__row"], "left_semi"))
+        alone = groups.where(F.col("component_id").isNull()).select(F.col("row").alias(row)).distinct()
+        kept = kept.unionByName(marked.where(F.col("doc_id").isNull()).join(alone, F.col(at) == F.col(row), "left_semi").select(own))
     return kept
 
 
@@ -62,19 +69,20 @@ def cut_repeats(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without byte strings of 50 or more that a document with a smaller key has; no character is split."""
     import pyarrow as pa
 
-    others = [c for c in docs.columns if c not in ("doc_id", "text", "n_chars")]
-    rows = docs.select(docs.doc_id.cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), F.xxhash64("text", *others).alias("row"))
+    mark = row_hash(docs, ("doc_id", "n_chars"))
+    key, row, own, begins, ends = (free_name(docs.columns, x) for x in ("key", "row", "own", "begins", "ends"))
+    rows = docs.select(docs.doc_id.cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), mark.alias("row"))
     spans = suffix_dedup.cut_repeats(rows, least=50, with_kept=False).where("n_removed > 0").select("doc_id", "row", "begins", "ends").dropDuplicates(["doc_id", "row"])
-    spans = scratch.save(spans.withColumnRenamed("doc_id", "__id").withColumnRenamed("row", "__row"), "spans")
-    marked = docs.withColumn("__key", F.xxhash64("text", *others))
-    joined = marked.join(spans, (marked["doc_id"] == spans["__id"]) & (marked["__key"] == spans["__row"]), "left").select(*docs.columns, "begins", "ends")
+    spans = scratch.save(spans.toDF(key, row, begins, ends), "spans")
+    marked = docs.withColumn(own, mark)
+    joined = marked.join(spans, (F.col("doc_id") == F.col(key)) & (F.col(own) == F.col(row)), "left").select(*[column(c) for c in docs.columns], begins, ends)
     schema = docs.schema
     at, count = docs.columns.index("text"), docs.columns.index("n_chars") if "n_chars" in docs.columns else None
 
     def run(batches):
         for batch in small_batches(batches, "text"):
             texts, sizes = [], []
-            for raw, null, a, b in zip(raw_texts(batch.column("text")), batch.column("text").is_null().to_pylist(), batch.column("begins").to_pylist(), batch.column("ends").to_pylist()):
+            for raw, null, a, b in zip(raw_texts(batch.column("text")), batch.column("text").is_null().to_pylist(), batch.column(begins).to_pylist(), batch.column(ends).to_pylist()):
                 text = None if null else whole_characters(raw, a or [], b or [])
                 texts.append(text)
                 sizes.append(None if null else len(text))
@@ -82,9 +90,9 @@ def cut_repeats(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
             columns[at] = pa.array(texts, pa.string())
             if count is not None:
                 columns[count] = pa.array(sizes, pa.int64())
-            yield pa.RecordBatch.from_arrays(columns, schema.names)
+            yield pa.RecordBatch.from_arrays(columns, batch.schema.names[: len(schema)])
 
-    return joined.mapInArrow(run, schema)
+    return map_rows(joined, run, schema)
 
 
 def whole_characters(raw: bytes, begins: list[int], ends: list[int]) -> str:
@@ -107,7 +115,8 @@ def drop_leaks(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mix_sources(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents with their block, slot and place in the mixture."""
-    return pfair_mix.schedule(docs).drop("mix_source")
+    placed = pfair_mix.schedule(docs)
+    return placed.drop(free_name(docs.columns, "mix_source"))
 
 
 STAGES = [
