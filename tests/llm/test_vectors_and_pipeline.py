@@ -7,7 +7,7 @@ import pytest
 import corpus_pipeline
 from levelindex import scratch
 from levelindex.llm import multi_index_hash as mih
-from levelindex.llm import queries, simhash_gray, suffix_dedup
+from levelindex.llm import crf_toxicity, decontaminate, queries, suffix_dedup
 
 
 def test_recall_and_scores(spark, sf):
@@ -57,6 +57,29 @@ def test_mixing_as_sql(spark, sf):
     assert (ours[["doc_id", "source", "block", "slot", "place"]].to_numpy() == theirs[["doc_id", "source", "block", "slot", "place"]].to_numpy()).all()
 
 
+def plain_groups(texts: dict) -> set:
+    """Least keys of the groups that a Jaccard of 0.8 over sets of five words links, by all pairs."""
+    sets = {}
+    for k, t in texts.items():
+        words = (t or "").lower().split()
+        sets[k] = frozenset(" ".join(words[i : i + 5]) for i in range(max(1, len(words) - 4))) if words else frozenset()
+    keys = sorted(sets)
+    root = {k: k for k in keys}
+
+    def find(k):
+        while root[k] != k:
+            k = root[k]
+        return k
+
+    for i, a in enumerate(keys):
+        for b in keys[i + 1 :]:
+            both = len(sets[a] & sets[b])
+            if 9 * both >= 4 * (len(sets[a]) + len(sets[b])):
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    return {find(k) for k in keys}
+
+
 def test_stages(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     names = docs.columns
@@ -68,9 +91,14 @@ def test_stages(spark, sf):
         if name != "mix_sources":
             assert docs.columns == names
             assert docs.where("n_chars != length(text)").count() == 0 or name in ("toxicity", "simhash_near_dedup")
+    before, after = kept["toxicity"]
+    toxic = {r.doc_id for r in crf_toxicity.toxicity_scores(before, spark.read.parquet(f"{sf}/labels.parquet")).where("predicted = 1").collect()}
+    assert {r.doc_id for r in after.collect()} == {r.doc_id for r in before.collect()} - toxic
     before, after = kept["simhash_near_dedup"]
-    want = {r.component_id for r in simhash_gray.near_duplicates(before).collect()}
-    assert {r.doc_id for r in after.collect()} == want
+    assert {r.doc_id for r in after.collect()} == plain_groups({r.doc_id: r.text for r in before.collect()})
+    before, after = kept["benchmark_decontamination"]
+    found = {r.doc_id for r in decontaminate.leaks(before, spark.read.parquet(f"{sf}/benchmark.parquet")).collect()}
+    assert {r.doc_id for r in after.collect()} == {r.doc_id for r in before.collect()} - found
     before, after = kept["suffix_array_dedup"]
     assert after.count() == before.count()
     cut = {r.doc_id: r.n_removed for r in suffix_dedup.repeated_bytes(before).collect()}
@@ -90,6 +118,18 @@ def test_stage_cases(spark, sf, rows):
     assert docs.count() == (3 if rows else 0)
 
 
+def test_stages_take_any_further_columns(spark, sf):
+    names = ["__id", "__row", "__n", "begins", "ends", "key", "row", "n", "own", "m", "start", "offset", "block", "frames", "turn", "mix_source", "slot", "at", "a.b"]
+    fields = ", ".join(f"`{n}` string" for n in names)
+    docs = spark.createDataFrame([(i, f"text number {i} of some words", "en", f"s{i % 2}", 10, *map(str, range(len(names))), {"k": i}) for i in range(6)], f"doc_id long, text string, lang string, source string, n_chars long, {fields}, more map<string,int>")
+    before = docs.columns
+    for name, stage in corpus_pipeline.STAGES:
+        docs = scratch.save(stage(spark, docs, sf), name)
+        assert docs.columns[: len(before)] == before
+    assert docs.count() == 6 and {"_block", "_slot", "place"} <= set(docs.columns)
+    assert {tuple(r[n] for n in names) for r in docs.collect()} == {tuple(map(str, range(len(names))))}
+
+
 def test_cuts_keep_characters_whole():
     raw = "aé日b".encode()
     assert corpus_pipeline.whole_characters(raw, [2], [5]) == "aé日b"[0:2] + "日b"
