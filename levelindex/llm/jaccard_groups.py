@@ -1,14 +1,18 @@
 """Groups of texts linked by a Jaccard similarity of at least 0.8 of their sets of five-word shingles.
 
-No fingerprint radius keeps all such pairs (at 0.8 two 64-bit fingerprints differ in about ten bits,
-often in fifteen), so candidates come from the sets.  Under any one order of the shingles, two sets
-with similarity 4/5 share a shingle among the first |x| - ceil(4/5 |x|) + 1 of each.  The order puts
-shingles first that a sample of the documents holds seldom; it decides how many candidates there
-are, never which links are found.  Every candidate is verified on the whole sets.
-
-Texts with equal sets are one node.  A node is tried with the first of its shingle's nodes, then
-with the next two, four and so on, unless both carry one label already: near copies of one text
-need a number of tries in proportion to theirs, and no pair that could join two groups is left out.
+Two sources give candidate pairs, and every candidate is verified on the whole sets.  First the
+Gray-order index over 64-bit fingerprints of the same shingles: fingerprints within `NEAR` bits.  No
+radius of practical use keeps all pairs (at 0.8 two fingerprints differ in about ten bits, often in
+fifteen), so what it leaves open is closed by the sets themselves.  Under any one order of the
+shingles, two sets with similarity 4/5 share a shingle among the first |x| - ceil(4/5 |x|) + 1 of
+each.  The order puts shingles first that a sample of the documents holds seldom; it decides how
+many candidates there are, never which links are found.
+
+Texts with equal sets are one node.  Of the nodes of one shingle those that carry one label already
+are not tried again; a node is tried with the first `FIRST` of its shingle's nodes, then with the
+next ones in windows that widen `WIDER` times, until no shingle has nodes of two labels left to try:
+near copies of one text need a number of tries in proportion to theirs, and no pair that could join
+two groups is left out.
 
 Cases: null and empty texts have the empty set and are linked to each other; a text of up to five
 words is one shingle; a null key never names a component unless all its keys are null.
@@ -24,12 +28,14 @@ from pyspark.sql import functions as F
 
 from levelindex import scratch
 from levelindex.llm.common import LOWER_TABLE, id_and_text, raw_texts, small_batches
-from levelindex.llm.simhash_gray import components
+from levelindex.llm.simhash_gray import components, fingerprint, links
 
 WORDS = 5
 COUNTERS = 1 << 20
 SAMPLE = 8
 PAIRS_AT_ONCE = 64
+NEAR = 4
+FIRST, WIDER = 8, 16
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -85,18 +91,20 @@ def counts(rows: DataFrame) -> np.ndarray:
 
 
 def nodes_of(rows: DataFrame, often: np.ndarray) -> DataFrame:
-    """doc_id, row (a hash of the text), node, the size of its set, and the set's first shingles."""
+    """doc_id, row (a hash of the text), node, its fingerprint, the size of its set, and the set's first shingles."""
     sent = rows.sparkSession.sparkContext.broadcast(often)
-    kinds = (pa.int64(), pa.int32(), pa.list_(pa.int64()))
+    kinds = (pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int64()))
 
     def run(batches):
         own = sent.value
         for batch in small_batches(batches, "text"):
-            sets = [shingles(t) for t in raw_texts(batch.column("text"))]
-            found = ([node_of(x) for x in sets], [len(x) for x in sets], [prefix(x, own).view(np.int64) for x in sets])
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("row"), *(pa.array(c, k) for c, k in zip(found, kinds))], ["doc_id", "row", "node", "size", "first"])
+            texts = raw_texts(batch.column("text"))
+            sets = [shingles(t) for t in texts]
+            codes = np.array([fingerprint(t, WORDS) for t in texts], np.uint64).view(np.int64)
+            found = ([node_of(x) for x in sets], codes, [len(x) for x in sets], [prefix(x, own).view(np.int64) for x in sets])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("row"), *(pa.array(c, k) for c, k in zip(found, kinds))], ["doc_id", "row", "node", "fp", "size", "first"])
 
-    return rows.mapInArrow(run, "doc_id long, row long, node long, size int, first array<long>")
+    return rows.mapInArrow(run, "doc_id long, row long, node long, fp long, size int, first array<long>")
 
 
 def whole_sets(rows: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -132,42 +140,53 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return asked.join(right, "b").join(left, ["a", "copy"]).select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
-def similar_nodes(groups: DataFrame, sets: DataFrame) -> DataFrame | None:
-    """node, root of the nodes that have a link; None without links."""
-    most = groups.agg(F.max("n")).first()[0] or 0
-    links, labels, low = None, None, 0
-    while low < most - 1:
-        high = 2 * low + 1
-        open_ = groups.where(F.col("n") > low + 1)
+def fingerprint_pairs(nodes: DataFrame) -> DataFrame:
+    """a, b: candidates by the Gray-order index. Nodes of one fingerprint with the least of them, and these along the index's links."""
+    least = scratch.save(nodes.groupBy("fp").agg(F.min("node").alias("least")), "fingerprints")
+    same = nodes.join(least, "fp").where("node != least").select(F.col("least").alias("a"), F.col("node").alias("b"))
+    found = links(least.select("fp"), NEAR)
+    apart = found.join(least.select(F.col("fp").alias("a"), F.col("least").alias("x")), "a").join(least.select(F.col("fp").alias("b"), F.col("least").alias("y")), "b")
+    return same.unionAll(apart.select("x", "y"))
+
+
+def similar_nodes(groups: DataFrame, near: DataFrame, sets: DataFrame) -> DataFrame | None:
+    """node, root of the nodes that have a link; None without links. `near` gives the first candidates."""
+    links, labels, low, pairs = None, None, 0, near
+    while True:
+        new = scratch.save(verified(scratch.save(pairs, "pairs"), sets), "similar")
+        if not new.isEmpty():
+            links = new if links is None else links.unionAll(new)
+            labels = scratch.save(components(links), "roots")
+        open_ = groups.where(F.col("n") > low + 1).withColumn("root", F.col("node"))
         if labels is not None:
-            open_ = open_.join(labels, "node", "left").withColumn("root", F.coalesce("root", "node"))
             token = Window.partitionBy("token")
+            open_ = open_.drop("root").join(labels, "node", "left").withColumn("root", F.coalesce("root", "node"))
             open_ = open_.withColumn("least", F.min("root").over(token)).withColumn("most", F.max("root").over(token)).where("least != most").drop("least", "most")
-        else:
-            open_ = open_.withColumn("root", F.col("node"))
+        open_ = scratch.save(open_, "open")
+        if open_.isEmpty():
+            return labels
+        high = low + FIRST if low == 0 else WIDER * low
         a = open_.where((F.col("rank") >= low) & (F.col("rank") < high)).select("token", F.col("node").alias("a"), F.col("size").alias("sa"), F.col("place").alias("pa"), F.col("rank").alias("ra"), F.col("root").alias("la"))
         b = open_.where(F.col("rank") > low).select("token", F.col("node").alias("b"), F.col("size").alias("sb"), F.col("place").alias("pb"), F.col("rank").alias("rb"), F.col("root").alias("lb"))
         fits = F.expr("9 * least(sa - pa, sb - pb) >= 4 * (sa + sb)")  # what can still be shared from this shingle on
         pairs = a.join(b, "token").where((F.col("rb") > F.col("ra")) & (F.col("la") != F.col("lb")) & fits).select("a", "b").distinct()
-        new = scratch.save(verified(scratch.save(pairs, "pairs"), sets), "similar")
-        if not new.isEmpty():
-            links = new if links is None else links.unionAll(new)
-            labels = scratch.save(components(links), "roots")
         low = high
-    return labels
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, component_id (its smallest key), row (a hash of the text) and root of every row."""
     rows = id_and_text(docs, id_col, text_col).withColumn("row", F.xxhash64("text"))
     placed = scratch.save(nodes_of(rows, counts(rows)), "nodes")
-    nodes = placed.groupBy("node").agg(F.min(F.struct("doc_id", "row")).alias("at"), F.first("size").alias("size"), F.first("first").alias("first"))
+    nodes = placed.groupBy("node").agg(F.first("size").alias("size"), F.first("first").alias("first"))
     token = Window.partitionBy("token")
-    groups = nodes.select("node", "at", "size", F.posexplode("first").alias("place", "token"))
+    groups = nodes.select("node", "size", F.posexplode("first").alias("place", "token"))
     groups = groups.withColumn("n", F.count("*").over(token)).where("n > 1").withColumn("rank", F.row_number().over(token.orderBy("size", "node")) - 1)
     groups = scratch.save(groups, "groups")
-    sets = scratch.save(whole_sets(rows, groups.groupBy("node").agg(F.min("at").alias("at"))), "sets")
-    labels = similar_nodes(groups, sets)
+    shared = groups.select("node").distinct()  # others can't be similar to any
+    alone = placed.select("node", "doc_id", "row", "fp").join(shared, "node", "left_semi")
+    alone = scratch.save(alone.groupBy("node").agg(F.min(F.struct("doc_id", "row")).alias("at"), F.min("fp").alias("fp")), "shared")
+    sets = scratch.save(whole_sets(rows, alone.select("node", "at")), "sets")
+    labels = similar_nodes(groups, fingerprint_pairs(alone.select("node", "fp")), sets)
     named = placed.groupBy("node").agg(F.min("doc_id").alias("least"))
     named = named.withColumn("root", F.col("node")) if labels is None else named.join(labels, "node", "left").withColumn("root", F.coalesce("root", "node"))
     named = scratch.save(named, "named")
