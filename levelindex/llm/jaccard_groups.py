@@ -1,6 +1,8 @@
 """Groups of texts linked by a Jaccard similarity of at least 0.8 of their sets of five-word shingles.
 
-Two sources give candidate pairs, and every candidate is verified on the whole sets.  First the
+Two sources give candidate pairs, and every candidate is verified on the whole sets, unless sketches
+of the sets (one bit for each of `SKETCH` classes of shingles) already show more shingles in one set
+alone than similar sets can have.  First the
 Gray-order index over 64-bit fingerprints of the same shingles: fingerprints within `NEAR` bits.  No
 radius of practical use keeps all pairs (at 0.8 two fingerprints differ in about ten bits, often in
 fifteen), so what it leaves open is closed by the sets themselves.  Under any one order of the
@@ -36,6 +38,9 @@ SAMPLE = 8
 PAIRS_AT_ONCE = 64
 NEAR = 4
 FIRST, WIDER = 8, 16
+SKETCH = 2048
+#: Nodes whose keys (24 bytes each) go to the workers; more meet the texts in a shuffled join.
+BROADCAST_NODES = 1 << 20
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -63,6 +68,12 @@ def similar(common: int, a: int, b: int) -> bool:
     return 9 * common >= 4 * (a + b)
 
 
+def sketch(own: np.ndarray) -> bytes:
+    out = np.zeros(SKETCH, bool)
+    out[(own >> np.uint64(40)) & np.uint64(SKETCH - 1)] = True
+    return np.packbits(out).tobytes()
+
+
 def prefix(own: np.ndarray, often: np.ndarray) -> np.ndarray:
     """The first shingles in the order, as many as a similar set can't avoid."""
     if not len(own):
@@ -91,9 +102,9 @@ def counts(rows: DataFrame) -> np.ndarray:
 
 
 def nodes_of(rows: DataFrame, often: np.ndarray) -> DataFrame:
-    """doc_id, row (a hash of the text), node, its fingerprint, the size of its set, and the set's first shingles."""
+    """doc_id, row (a hash of the text), node, its fingerprint, the size of its set, the set's first shingles and its sketch."""
     sent = rows.sparkSession.sparkContext.broadcast(often)
-    kinds = (pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int64()))
+    kinds = (pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int64()), pa.binary())
 
     def run(batches):
         own = sent.value
@@ -101,10 +112,10 @@ def nodes_of(rows: DataFrame, often: np.ndarray) -> DataFrame:
             texts = raw_texts(batch.column("text"))
             sets = [shingles(t) for t in texts]
             codes = np.array([fingerprint(t, WORDS) for t in texts], np.uint64).view(np.int64)
-            found = ([node_of(x) for x in sets], codes, [len(x) for x in sets], [prefix(x, own).view(np.int64) for x in sets])
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("row"), *(pa.array(c, k) for c, k in zip(found, kinds))], ["doc_id", "row", "node", "fp", "size", "first"])
+            found = ([node_of(x) for x in sets], codes, [len(x) for x in sets], [prefix(x, own).view(np.int64) for x in sets], [sketch(x) for x in sets])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("row"), *(pa.array(c, k) for c, k in zip(found, kinds))], ["doc_id", "row", "node", "fp", "size", "first", "bits"])
 
-    return rows.mapInArrow(run, "doc_id long, row long, node long, fp long, size int, first array<long>")
+    return rows.mapInArrow(run, "doc_id long, row long, node long, fp long, size int, first array<long>, bits binary")
 
 
 def whole_sets(rows: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -116,12 +127,33 @@ def whole_sets(rows: DataFrame, wanted: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("node"), pa.array(found, pa.binary())], ["node", "items"])
 
     at = wanted.select("node", F.col("at.doc_id").alias("__id"), F.col("at.row").alias("__row"))
-    texts = rows.join(at, rows["doc_id"].eqNullSafe(at["__id"]) & (rows["row"] == at["__row"])).select("node", "text").dropDuplicates(["node"])
-    return texts.mapInArrow(run, "node long, items binary")
+    at = F.broadcast(at) if wanted.count() <= BROADCAST_NODES else at
+    texts = rows.join(at, rows["doc_id"].eqNullSafe(at["__id"]) & (rows["row"] == at["__row"])).select("node", "text")
+    return texts.mapInArrow(run, "node long, items binary").dropDuplicates(["node"])
+
+
+def possible(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
+    """The pairs whose sketches allow a similarity of 4/5: none has more bits alone than a similar set has shingles alone."""
+
+    def run(batches):
+        for batch in batches:
+            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(batch.num_rows, SKETCH // 8) for c in ("x", "y"))
+            sa, sb = (batch.column(c).to_numpy().astype(np.int64) for c in ("sa", "sb"))
+            least = -(-4 * (sa + sb) // 9)
+            alone = lambda one, other: np.bitwise_count(one & ~other).sum(axis=1)
+            yield batch.select(["a", "b"]).filter(pa.array((alone(x, y) <= sa - least) & (alone(y, x) <= sb - least)))
+
+    a, b = (nodes.select(F.col("node").alias(n), F.col("size").alias(f"s{n}"), F.col("bits").alias(c)) for n, c in (("a", "x"), ("b", "y")))
+    return pairs.join(a, "a").join(b, "b").mapInArrow(run, "a long, b long")
 
 
-def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+def verified(pairs: DataFrame, nodes: DataFrame, rows: DataFrame) -> DataFrame:
     """The pairs (a, b) that are similar; sets that many pairs ask for are dealt out in copies."""
+    pairs = scratch.save(possible(pairs, nodes), "pairs")
+    if pairs.isEmpty():
+        return pairs
+    wanted = scratch.save(nodes.join(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct(), "node", "left_semi").select("node", "at"), "wanted")
+    sets = scratch.save(whole_sets(rows, wanted), "sets")
 
     def run(batches):
         for batch in batches:
@@ -149,16 +181,16 @@ def fingerprint_pairs(nodes: DataFrame) -> DataFrame:
     return same.unionAll(apart.select("x", "y"))
 
 
-def similar_nodes(groups: DataFrame, near: DataFrame, sets: DataFrame) -> DataFrame | None:
+def similar_nodes(groups: DataFrame, near: DataFrame, nodes: DataFrame, rows: DataFrame) -> DataFrame | None:
     """node, root of the nodes that have a link; None without links. `near` gives the first candidates."""
-    links, labels, low, pairs = None, None, 0, near
+    links, labels, low, pairs, open_ = None, None, 0, near, groups
     while True:
-        new = scratch.save(verified(scratch.save(pairs, "pairs"), sets), "similar")
+        new = scratch.save(verified(pairs, nodes, rows), "similar")
         if not new.isEmpty():
             links = new if links is None else links.unionAll(new)
             labels = scratch.save(components(links), "roots")
-        open_ = groups.where(F.col("n") > low + 1).withColumn("root", F.col("node"))
-        if labels is not None:
+        open_ = open_.where(F.col("n") > low + 1).withColumn("root", F.col("node"))
+        if labels is not None:  # a shingle whose nodes have one label stays so
             token = Window.partitionBy("token")
             open_ = open_.drop("root").join(labels, "node", "left").withColumn("root", F.coalesce("root", "node"))
             open_ = open_.withColumn("least", F.min("root").over(token)).withColumn("most", F.max("root").over(token)).where("least != most").drop("least", "most")
@@ -183,10 +215,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     groups = groups.withColumn("n", F.count("*").over(token)).where("n > 1").withColumn("rank", F.row_number().over(token.orderBy("size", "node")) - 1)
     groups = scratch.save(groups, "groups")
     shared = groups.select("node").distinct()  # others can't be similar to any
-    alone = placed.select("node", "doc_id", "row", "fp").join(shared, "node", "left_semi")
-    alone = scratch.save(alone.groupBy("node").agg(F.min(F.struct("doc_id", "row")).alias("at"), F.min("fp").alias("fp")), "shared")
-    sets = scratch.save(whole_sets(rows, alone.select("node", "at")), "sets")
-    labels = similar_nodes(groups, fingerprint_pairs(alone.select("node", "fp")), sets)
+    alone = placed.drop("first").join(shared, "node", "left_semi").groupBy("node")
+    alone = scratch.save(alone.agg(F.min(F.struct("doc_id", "row")).alias("at"), F.min("fp").alias("fp"), F.first("size").alias("size"), F.first("bits").alias("bits")), "shared")
+    labels = similar_nodes(groups, fingerprint_pairs(alone.select("node", "fp")), alone, rows)
     named = placed.groupBy("node").agg(F.min("doc_id").alias("least"))
     named = named.withColumn("root", F.col("node")) if labels is None else named.join(labels, "node", "left").withColumn("root", F.coalesce("root", "node"))
     named = scratch.save(named, "named")
