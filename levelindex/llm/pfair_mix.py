@@ -102,7 +102,7 @@ def schedule(rows: DataFrame, weights: dict[str, int] | None = None, default: in
     placed = timetable(scratch.save(sizes.withColumn("m", weight_column(weights, default)), "sources"))
 
     numbered = keyed.withColumn("nth", F.row_number().over(Window.partitionBy("mix_source", "range").orderBy("key", "id", "tie")))
-    numbered = numbered.join(offsets, ["mix_source", "range"]).withColumn("at", F.col("offset") + F.col("nth") - 1)
+    numbered = numbered.join(offsets.hint("merge"), ["mix_source", "range"]).withColumn("at", F.col("offset") + F.col("nth") - 1)
     found = numbered.withColumn("block", F.floor(F.col("at") / block_rows).cast("long")).join(placed, ["mix_source", "block"])
     added = {"mix_source": F.col("mix_source"), "block": F.col("block"), "slot": F.col("slot"), "place": F.col("slot") * block_rows + F.col("at") % block_rows}
     return found.select(*[F.col("row").getField(c).alias(c) for c in rows.columns], *[v.alias(free_name(rows.columns, n)) for n, v in added.items()])
