@@ -43,16 +43,37 @@ def ann_search(spark: SparkSession, path: str, queries: DataFrame, k: int = 10,
     return search(LeveledIndex.load(spark, path), queries, k, m)
 
 
-def register_ann_search(spark: SparkSession, path: str, name: str = "ann_search") -> None:
-    """SELECT * FROM name(TABLE(queries), k): a table function over one partition of queries and the root graph."""
+def register_ann_search(spark: SparkSession, path: str, name: str = "ann_search", m: int = 64) -> None:
+    """SELECT * FROM name(TABLE(queries), k): a table function that takes each query down the whole index, reading
+    the partitions it probes through Arrow. For batches `ann_search` is the faster way. One version only."""
     from levelindex.operators.build import LeveledIndex
 
-    graph = LeveledIndex.load(spark, path).graph
+    index = LeveledIndex.load(spark, path)
+    if len(index.versions) > 1:
+        raise ValueError("compact the index first")
+    graph, below, width, metric = index.graph, index.levels - 1, index.width, index.metric
 
-    class RootSearch:
+    class IndexSearch:
         def eval(self, row, k: int):
-            rows, d, _, _ = graph.search(np.array(row["qvec"], float), max(k, 32))
-            for i, (r, x) in enumerate(zip(rows[:k], d[:k])):
-                yield int(row["qid"]), i + 1, int(graph.ids[r]), float(x)
-
-    spark.udtf.register(name, F.udtf(RootSearch, returnType="qid long, rank int, vec_id long, dist double"))
+            import pyarrow.dataset as ds
+
+            from levelindex.functions import distance
+            from levelindex.sources.partition_source import file_system
+            from levelindex.sources.store import unpack
+
+            q = np.array(row["qvec"], float)
+            rows, d, _, _ = graph.search(q, max(k, m))
+            ids = graph.ids[rows]
+            for level in range(below - 1, -1, -1):
+                files, where = file_system(f"{path}/packed/{level}")
+                level_rows = ds.dataset(where, format="parquet", filesystem=files, exclude_invalid_files=True)
+                found = level_rows.to_table(filter=ds.field("pid").isin(ids[:m].tolist())).to_pylist()
+                parts = [unpack(r["n"], r["ids"], r["block"], width) for r in found]
+                ids = np.concatenate([p[0] for p in parts]) if parts else ids[:0]
+                d = distance.block(metric, q[None], np.concatenate([p[1] for p in parts]))[0] if parts else d[:0]
+                order = np.lexsort((ids, d))
+                ids, d = ids[order], d[order]
+            for i, (v, x) in enumerate(zip(ids[:k].tolist(), d[:k].tolist())):
+                yield int(row["qid"]), i + 1, v, x
+
+    spark.udtf.register(name, F.udtf(IndexSearch, returnType="qid long, rank int, vec_id long, dist double"))

@@ -39,7 +39,11 @@ def plan_levels(n: int, share: float, budget: float, vector_bytes: float = 100.0
 
 @dataclass
 class LeveledIndex:
-    """Member tables from the leaf (0) up, and the root set above them."""
+    """Member tables from the leaf (0) up, and the root set above them.
+
+    `versions` are the folders that hold them, oldest first: changed partitions are written anew by
+    later versions, and a reader takes each partition from the last version that touched it.
+    """
 
     spark: SparkSession
     path: str
@@ -47,18 +51,36 @@ class LeveledIndex:
     partitions: list[int]
     metric: str = "l2sq"
     graph_settings: dict = field(default_factory=dict)
+    buckets: list[list[int]] = field(default_factory=list)
+    width: str = "f8"
+    versions: list[str] = field(default_factory=list)
     _graph: Graph | None = None
 
+    def __post_init__(self) -> None:
+        self.versions = self.versions or [self.path]
+
     @property
     def levels(self) -> int:
         return len(self.counts)
 
+    def _latest(self, read, level: int) -> DataFrame:
+        out, later = None, None
+        for i in range(len(self.versions) - 1, -1, -1):
+            rows = read(self.spark, self.versions[i], level, self.buckets[i][level])
+            if later is not None:
+                rows = rows.join(later, "pid", "left_anti")
+            out = rows if out is None else out.unionByName(rows)
+            if i:
+                touched = store.read_touched(self.spark, self.versions[i], level)
+                later = touched if later is None else later.union(touched)
+        return out
+
     def members(self, level: int) -> DataFrame:
         """pid, vec_id, vec of a level below the root."""
-        return store.read_level(self.spark, self.path, level)
+        return self._latest(store.read_level, level)
 
     def packed(self, level: int) -> DataFrame:
-        return store.read_packed(self.spark, self.path, level)
+        return self._latest(store.read_packed, level)
 
     def root(self) -> DataFrame:
         return store.read_root(self.spark, self.path)
@@ -71,46 +93,70 @@ class LeveledIndex:
         return self._graph
 
     def save_manifest(self) -> None:
-        store.write_manifest(self.spark, self.path, {"counts": self.counts, "partitions": self.partitions, "metric": self.metric, "graph": self.graph_settings})
+        store.write_manifest(self.spark, self.path, {"counts": self.counts, "partitions": self.partitions, "metric": self.metric, "graph": self.graph_settings, "buckets": self.buckets, "width": self.width, "versions": self.versions})
 
     @classmethod
     def load(cls, spark: SparkSession, path: str) -> "LeveledIndex":
         m = store.read_manifest(spark, path)
-        return cls(spark, path, m["counts"], m["partitions"], m["metric"], m["graph"])
+        return cls(spark, path, m["counts"], m["partitions"], m["metric"], m["graph"], m["buckets"], m["width"], m["versions"])
 
     def __repr__(self) -> str:
         return f"LeveledIndex({json.dumps({'counts': self.counts, 'partitions': self.partitions})})"
 
 
-def build_index(vs: DataFrame, budget: RootBudget, density=0.1, metric: str = "l2sq", cells: int | None = None, max_copies: int = 1, eps: float = 0.1, algorithm: str = "lloyd", path: str | None = None, graph: dict | None = None, tolerance: float = 1.5) -> LeveledIndex:
-    """`density` is one number, a list by level (the last one repeats), or 'auto' to profile each level on a sample."""
+def build_index(vs: DataFrame, budget: RootBudget, density=0.1, metric: str = "l2sq", cells: int | None = None, max_copies: int = 1, eps: float = 0.1, algorithm: str = "lloyd", path: str | None = None, graph: dict | None = None, tolerance: float = 1.5, levels: int | None = None, width: str = "f8") -> LeveledIndex:
+    """`density` is one number, a list by level (the last one repeats), or 'auto' to profile each level on a sample.
+
+    `levels` fixes the number of levels, the root included, in place of the budget; `width` is how
+    components are stored ('u1', 'i1', 'f4', 'f8').  The algorithm 'stride' takes keys as centroids.
+    """
+    if width not in store.WIDTHS:
+        raise ValueError(f"the width is one of {sorted(store.WIDTHS)}")
     spark = vs.sparkSession
     path = path or scratch.path(spark, "index")
     current = vs.select("vec_id", "vec")
-    counts, partitions, level = [], [], 0
+    counts, partitions, buckets, level, stride = [], [], [], 0, 1.0
     n = current.count()
     dim = current.select(F.size("vec").alias("d")).first()
-    width = 8 * (dim["d"] if dim else 1) + 8
+    size = store.WIDTHS[width] * (dim["d"] if dim else 1) + 8
     while True:
         counts.append(n)
-        if budget.fits(n, width):
+        if len(counts) >= levels if levels else budget.fits(n, size):
             store.write_root(current, path)
             break
         share = pick_density(current, density, level, metric, tolerance)
-        members = cluster.partition(current, share, cells if level == 0 else None, eps, max_copies, algorithm)
-        store.write_level(members, path, level)
-        stored = store.read_level(spark, path, level)
+        stride /= share
+        members = cluster.stride_members(current, round(stride)) if algorithm == "stride" else cluster.partition(current, share, cells if level == 0 else None, eps, max_copies, algorithm)
+        buckets.append(store.buckets_for(spark, n))
+        store.write_level(members, path, level, buckets[-1], width)
+        stored = store.read_level(spark, path, level, buckets[-1])
         centres = stored.where("pid = vec_id").select("vec_id", "vec").dropDuplicates(["vec_id"])
         smaller = centres.count()
         if smaller >= n:
             raise ValueError(f"level {level} did not get smaller ({n} vectors, {smaller} partitions); choose a lower density")
         partitions.append(smaller)
         current, n, level = centres, smaller, level + 1
-    index = LeveledIndex(spark, path, counts, partitions, metric, graph or {})
+    index = LeveledIndex(spark, path, counts, partitions, metric, graph or {}, [buckets], width)
     index.save_manifest()
     return index
 
 
+def verify_index(index: LeveledIndex) -> DataFrame:
+    """Per level: members, partitions, partitions without their own centroid, and centroids that the level above misses; what recovery checks before it serves."""
+    out = None
+    for level in range(index.levels - 1):
+        members = index.members(level)
+        heads = members.where("pid = vec_id").select("pid").distinct()
+        above = index.root().select(F.col("vec_id").alias("pid")) if level == index.levels - 2 else index.members(level + 1).select(F.col("vec_id").alias("pid")).distinct()
+        lone = members.select("pid").distinct().join(heads, "pid", "left_anti").agg(F.count("*").alias("headless"))
+        lost = heads.join(above, "pid", "left_anti").agg(F.count("*").alias("unlisted"))
+        extra = above.join(heads, "pid", "left_anti").agg(F.count("*").alias("stale"))
+        whole = members.agg(F.countDistinct("vec_id").alias("vectors"), F.countDistinct("pid").alias("partitions"))
+        part = whole.join(lone).join(lost).join(extra).withColumn("level", F.lit(level))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def pick_density(vs: DataFrame, density, level: int, metric: str, tolerance: float) -> float:
     if density == "auto":
         from levelindex.operators.granularity import determine_density
@@ -122,7 +168,11 @@ def pick_density(vs: DataFrame, density, level: int, metric: str, tolerance: flo
 
 
 def footprint(index: LeveledIndex) -> DataFrame:
-    """Vectors, partitions and bytes by level; the root's share of all vectors."""
-    rows = [(i, n, index.partitions[i] if i < len(index.partitions) else 0) for i, n in enumerate(index.counts)]
-    df = index.spark.createDataFrame(rows, "level int, vectors long, partitions long")
+    """Vectors, partitions and stored bytes by level (packed partitions; the root as it is kept in memory)."""
+    rows = []
+    for i, n in enumerate(index.counts):
+        below = i < len(index.partitions)
+        size = sum(store.stored_bytes(index.spark, f"{v}/packed/{i}") for v in index.versions) if below else index.graph.vecs.size * store.WIDTHS[index.width] + 8 * (len(index.graph.ids) + len(index.graph.links))
+        rows.append((i, n, index.partitions[i] if below else 0, size))
+    df = index.spark.createDataFrame(rows, "level int, vectors long, partitions long, bytes long")
     return df.withColumn("share", F.col("vectors") / index.counts[0])

@@ -11,11 +11,13 @@ from pyspark.sql import functions as F
 
 from levelindex import scratch
 from levelindex.functions import distance
-from levelindex.operators.exact import columns_of
+from levelindex.operators.exact import columns_of, query_blocks
 
 #: Most coarse centroids that a driver holds and sends; with more cells the coarse step must be leveled itself.
 MOST_CELLS = 4096
 CELL_ROWS = 20_000
+#: No cell is clustered in one task beyond this; larger ones are split first, by themselves.
+CELL_MOST = 60_000
 MEMBERS = "pid long, vec_id long, vec array<double>"
 
 
@@ -128,19 +130,66 @@ def local_cluster(cells: DataFrame, share: float, algorithm: str = "lloyd", roun
 
     def run(table: pa.Table) -> pa.Table:
         ids = table.column("vec_id").to_numpy()
-        x = np.array(table.column("vec").to_pylist(), float)
+        x = columns_of(table)
         medoid, own = lloyd(x, ids, max(1, round(len(ids) * share)), rounds)
         return pa.table({"pid": ids[medoid][own], "vec_id": ids, "vec": table.column("vec")})
 
-    return cells.select("cell", "vec_id", "vec").groupBy("cell").applyInArrow(run, MEMBERS)
+    bounded = bounded_cells(cells.select(F.col("cell").cast("string").alias("cell"), "vec_id", "vec"))
+    return bounded.groupBy("cell").applyInArrow(run, MEMBERS)
+
+
+def bounded_cells(cells: DataFrame, most: int = CELL_MOST, fanout: int = 8) -> DataFrame:
+    """cell, vec_id, vec with cells of at most about `most` rows. A larger cell is dealt to the nearest of `fanout` of its vectors; one that does not get smaller so (equal vectors) is dealt by a hash. No task holds a large cell."""
+    part = F.pmod(F.xxhash64("vec_id", F.lit(41)), F.lit(fanout)).cast("string")
+    sizes = cells.groupBy("cell").agg(F.count("*").alias("n"))
+    large = {r["cell"]: r["n"] for r in sizes.where(F.col("n") > most).collect()}  # at most rows / `most` names
+    while large:
+        names = list(large)
+        cells = scratch.save(cells, "cells")
+        whole, rest = cells.where(F.col("cell").isin(names)), cells.where(~F.col("cell").isin(names))
+        seeds = whole.groupBy("cell", part.alias("s")).agg(F.min(F.struct(F.xxhash64("vec_id"), "vec")).alias("x")).groupBy("cell").agg(F.collect_list(F.struct("s", F.col("x.vec").alias("v"))).alias("seeds"))
+        near = F.array_min(F.transform("seeds", lambda z: F.struct(distance.l2sq(F.col("vec"), z["v"]).alias("d"), z["s"].alias("s"))))["s"]
+        placed = whole.join(F.broadcast(seeds), "cell").select(F.concat_ws(".", "cell", near).alias("cell"), "vec_id", "vec")
+        placed = scratch.save(placed, "cells")
+        sizes = {r["cell"]: r["count"] for r in placed.groupBy("cell").count().where(F.col("count") > most).collect()}
+        stuck = [c for c, n in sizes.items() if n > 0.9 * large[c.rsplit(".", 1)[0]]]
+        if stuck:
+            placed = placed.withColumn("cell", F.when(F.col("cell").isin(stuck), F.concat_ws(".", F.col("cell"), F.lit("h"), part)).otherwise(F.col("cell")))
+            sizes = {r["cell"]: r["count"] for r in placed.groupBy("cell").count().where(F.col("count") > most).collect()}
+        cells, large = rest.unionByName(placed), sizes
+    return cells
 
 
 def stride_members(vs: DataFrame, stride: int) -> DataFrame:
-    """Members of partitions whose centroids are the keys divisible by `stride`; ties to the smaller pid."""
-    centres = vs.where(F.pmod("vec_id", F.lit(stride)) == 0).select(F.col("vec_id").alias("pid"), F.col("vec").alias("centre"))
-    d = distance.l2sq(F.col("vec"), F.col("centre"))
-    best = vs.select("vec_id", "vec").crossJoin(F.broadcast(centres)).groupBy("vec_id").agg(F.min(F.struct(d.alias("d"), "pid")).alias("best"), F.first("vec").alias("vec"))
-    return best.select(F.col("best.pid").alias("pid"), "vec_id", "vec")
+    """Members of partitions whose centroids are the keys divisible by `stride`; ties to the smaller pid.
+
+    Centroids go to the workers in blocks of a fixed number; each block leaves one candidate a vector.
+    """
+    centres = vs.where(F.pmod("vec_id", F.lit(stride)) == 0)
+    best = None
+    for names, block in query_blocks(centres.select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"))):
+        sent = vs.sparkSession.sparkContext.broadcast((names, block))
+
+        def run(batches, sent=sent):
+            names, c = sent.value
+            order = np.argsort(names, kind="stable")
+            names, c = names[order], c[order]
+            for batch in batches:
+                x = columns_of(batch)
+                for at in range(0, batch.num_rows, 1024):
+                    d = distance.block("l2sq", x[at : at + 1024], c)
+                    own = d.argmin(axis=1)
+                    part = batch.slice(at, 1024)
+                    yield pa.RecordBatch.from_arrays([pa.array(names[own]), part.column("vec_id"), part.column("vec"), pa.array(d[np.arange(len(own)), own])], ["pid", "vec_id", "vec", "d"])
+
+        part = vs.select("vec_id", "vec").mapInArrow(run, "pid long, vec_id long, vec array<double>, d double")
+        best = part if best is None else best.unionAll(part)
+    if best is None:
+        return vs.sparkSession.createDataFrame([], MEMBERS)
+    if len(names) == centres.count():  # one block: nothing to choose between
+        return best.select("pid", "vec_id", "vec")
+    nearest = best.groupBy("vec_id").agg(F.min(F.struct("d", "pid")).alias("best"), F.first("vec").alias("vec"))
+    return nearest.select(F.col("best.pid").alias("pid"), "vec_id", "vec")
 
 
 def merge_equal(members: DataFrame) -> DataFrame:

@@ -18,8 +18,15 @@ def rank(df: DataFrame, k: int, by: str = "qid") -> DataFrame:
     return df.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
+#: Most queries of a plan that sends them all to every task; beyond it the block kernels take over.
+BROADCAST_QUERIES = 100_000
+
+
 def exact_knn(vs: DataFrame, qs: DataFrame, k: int, metric: str = "l2sq", digits: int | None = 6) -> DataFrame:
-    """qid, vec_id, dist, rank by a plan that Catalyst holds whole; for small sets and for SQL."""
+    """qid, vec_id, dist, rank by a plan that Catalyst holds whole, for query sets of a checked size; else by blocks."""
+    if qs.count() > BROADCAST_QUERIES:
+        found = exact_blocks(vs, qs, k, metric)
+        return (found if digits is None else rank(found.drop("rank").withColumn("dist", F.round("dist", digits)), k)).select("qid", "vec_id", "dist", "rank")
     d = distance.score(metric, F.col("qvec"), F.col("vec"))
     d = d if digits is None else F.round(d, digits)
     pairs = vs.select("vec_id", "vec").crossJoin(F.broadcast(qs.select("qid", "qvec"))).select("qid", "vec_id", d.alias("dist"))
@@ -39,9 +46,10 @@ def query_blocks(qs: DataFrame, size: int = QUERY_BLOCK):
         yield np.array(names), np.array(rows, float)
 
 
-def columns_of(batch: pa.RecordBatch, vec: str = "vec") -> np.ndarray:
+def columns_of(batch: pa.RecordBatch | pa.Table, vec: str = "vec") -> np.ndarray:
     lists = batch.column(vec)
     n = batch.num_rows
+    lists = lists.combine_chunks() if isinstance(lists, pa.ChunkedArray) else lists
     return lists.flatten().to_numpy(zero_copy_only=False).reshape(n, -1).astype(float) if n else np.zeros((0, 1))
 
 
@@ -73,10 +81,40 @@ def exact_blocks(vs: DataFrame, qs: DataFrame, k: int, metric: str = "l2sq") ->
     return rank(out, k)
 
 
-def range_search(vs: DataFrame, qs: DataFrame, radius: float, metric: str = "l2sq") -> DataFrame:
-    """All pairs within a radius."""
-    d = distance.score(metric, F.col("qvec"), F.col("vec"))
-    return vs.select("vec_id", "vec").crossJoin(F.broadcast(qs)).select("qid", "vec_id", F.round(d, 6).alias("dist")).where(F.col("dist") <= radius)
+def range_blocks(vs: DataFrame, qs: DataFrame, radius: float, metric: str = "l2sq") -> DataFrame:
+    """All pairs within a radius by block kernels: pairs farther apart never leave a task."""
+    spark = vs.sparkSession
+    out = spark.createDataFrame([], "qid long, vec_id long, dist double")
+    for names, queries in query_blocks(qs):
+        sent = spark.sparkContext.broadcast((names, queries))
+
+        def run(batches, sent=sent):
+            qid, q = sent.value
+            for batch in batches:
+                x, ids = columns_of(batch), batch.column("vec_id").to_numpy()
+                for at in range(0, batch.num_rows, 1024):
+                    d = distance.block(metric, q, x[at : at + 1024])
+                    i, j = np.nonzero(d <= radius)
+                    yield pa.RecordBatch.from_arrays([pa.array(qid[i]), pa.array(ids[at + j]), pa.array(d[i, j])], ["qid", "vec_id", "dist"])
+
+        out = out.unionAll(vs.select("vec_id", "vec").mapInArrow(run, "qid long, vec_id long, dist double"))
+    return out
+
+
+def classes(links: DataFrame) -> DataFrame:
+    """node, root (its smallest node) of all nodes with a link (a, b): least labels around, then labels of labels."""
+    from levelindex import scratch
+
+    both = scratch.save(links.select("a", "b").union(links.select("b", "a")).distinct(), "edges")
+    labels = scratch.save(both.groupBy(F.col("a").alias("node")).agg(F.least(F.col("node"), F.min("b")).alias("root")), "labels")
+    while True:
+        around = both.join(labels.select(F.col("node").alias("b"), F.col("root").alias("r")), "b").groupBy(F.col("a").alias("node")).agg(F.min("r").alias("r"))
+        less = scratch.save(labels.join(around, "node").select("node", F.least("root", "r").alias("root"), F.col("root").alias("old")), "less")
+        jump = less.select(F.col("node").alias("root"), F.col("root").alias("further"))
+        new = scratch.save(less.join(jump, "root").select("node", F.col("further").alias("root"), "old"), "labels")
+        if new.where("root != old").isEmpty():
+            return new.select("node", "root")
+        labels = new.select("node", "root")
 
 
 def filtered_knn(vs: DataFrame, qs: DataFrame, k: int, where: Column, strategy: str = "pre", expand: int = 4, metric: str = "l2sq") -> DataFrame:

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from levelindex import scratch
 from levelindex.sources.tables import table
 
 
@@ -24,7 +25,7 @@ def grouping_sets(spark, d):
 
 
 def window_frames(spark, d):
-    o = table(spark, d, "orders").where("o_custkey % 5 = 0")
+    o = table(spark, d, "orders")
     w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
     return o.select("o_orderkey", F.row_number().over(w).cast("long").alias("rn"), F.round(F.sum("o_totalprice").over(w.rowsBetween(-2, 0)), 2).alias("last3"), F.lag("o_orderkey").over(w).alias("before"), F.ntile(4).over(w).cast("long").alias("quarter"))
 
@@ -50,11 +51,44 @@ def asof_join(spark, d):
 
 
 def interval_join(spark, d):
-    """Orders of the same customer in the 60 days before an order: equal day cells instead of a range predicate."""
-    o = table(spark, d, "orders").select("o_orderkey", "o_custkey", F.col("o_orderdate").cast("date").alias("day"))
-    asked = o.where("o_orderkey % 20 = 0").select(F.col("o_orderkey").alias("asked"), "o_custkey", "day")
-    cells = asked.select("asked", "o_custkey", F.explode(F.sequence(F.lit(1), F.lit(60))).alias("back"), "day").withColumn("day", F.date_sub("day", F.col("back")))
-    return cells.join(o, ["o_custkey", "day"]).groupBy("asked").agg(F.count("*").alias("n"))
+    """Orders of the same customer in the 60 days before an order: equal cells of 60 days, two for each order asked, then the exact days."""
+    o = table(spark, d, "orders").select("o_orderkey", "o_custkey", F.datediff(F.col("o_orderdate").cast("date"), F.lit("1970-01-01")).alias("day"))
+    cell = F.floor(F.col("day") / 60)
+    asked = o.select(F.col("o_orderkey").alias("asked"), "o_custkey", F.col("day").alias("at"), F.explode(F.array(cell, cell - 1)).alias("cell"))
+    found = asked.join(o.withColumn("cell", cell), ["o_custkey", "cell"]).where(F.col("at") - F.col("day") >= 1).where(F.col("at") - F.col("day") <= 60)
+    return found.groupBy("asked").agg(F.count("*").alias("n"))
+
+
+def bucketed_join(spark, d):
+    """Lineitem and orders stored in buckets of the order key join without an exchange of either."""
+    names = []
+    for t, key, columns in (("orders", "o_orderkey", ["o_orderkey", "o_orderpriority"]), ("lineitem", "l_orderkey", ["l_orderkey", "l_quantity"])):
+        where = scratch.path(spark, t)
+        names.append("bucketed_" + where.rsplit("-", 1)[-1])
+        table(spark, d, t).select(columns).withColumnRenamed(key, "key").repartition(8, "key").write.bucketBy(8, "key").sortBy("key").option("path", where).saveAsTable(names[-1])
+    o, li = (spark.table(n) for n in names)
+    return li.hint("merge").join(o, "key").groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("qty"))
+
+
+def lateral_top_orders(spark, d):
+    """The three dearest orders of each customer by a lateral join."""
+    for t in ("customer", "orders"):
+        table(spark, d, t).createOrReplaceTempView(f"lateral_{t}")
+    return spark.sql("""SELECT c_custkey, t.o_orderkey FROM lateral_customer c, LATERAL (
+      SELECT o_orderkey FROM lateral_orders o WHERE o.o_custkey = c.c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 3) t""")
+
+
+def text_formats(spark, d):
+    """Nation written as JSON, CSV and ORC and read back: rows that differ from the table in each."""
+    n = table(spark, d, "nation")
+    out = None
+    for kind in ("json", "csv", "orc"):
+        where = scratch.path(spark, kind)
+        n.write.format(kind).save(where)
+        back = spark.read.format(kind).schema(n.schema).load(where)
+        part = back.agg(F.count("*").alias("n")).withColumn("kind", F.lit(kind)).withColumn("differ", F.lit(n.exceptAll(back).count() + back.exceptAll(n).count()).cast("long"))
+        out = part if out is None else out.unionByName(part)
+    return out.select("kind", "n", "differ")
 
 
 def star_join(spark, d):
@@ -94,14 +128,17 @@ def approximate(spark, d):
 
 
 ORACLE = {
+    "bucketed_join": "SELECT o_orderpriority, count(*) AS n, round(sum(l_quantity), 2) AS qty FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1",
+    "lateral_top_orders": "SELECT c_custkey, o_orderkey FROM (SELECT o_custkey AS c_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS n FROM orders) WHERE n <= 3 AND c_custkey IN (SELECT c_custkey FROM customer)",
+    "text_formats": "SELECT kind, (SELECT count(*) FROM nation) AS n, 0::BIGINT AS differ FROM (VALUES ('json'), ('csv'), ('orc')) t(kind)",
     "load_cube": "SELECT event_type, user_id % 4 AS bucket, count(*) AS n, round(sum(value), 2) AS total FROM events GROUP BY CUBE (event_type, user_id % 4)",
     "load_rollup": "SELECT year(ts) AS y, month(ts) AS m, count(*) AS n FROM events GROUP BY ROLLUP (year(ts), month(ts))",
     "grouping_sets": "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS qty FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())",
-    "window_frames": "SELECT o_orderkey, row_number() OVER w AS rn, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 2) AS last3, lag(o_orderkey) OVER w AS before, ntile(4) OVER w AS quarter FROM orders WHERE o_custkey % 5 = 0 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)",
+    "window_frames": "SELECT o_orderkey, row_number() OVER w AS rn, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 2) AS last3, lag(o_orderkey) OVER w AS before, ntile(4) OVER w AS quarter FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)",
     "set_operations": "SELECT c_custkey, 'both' AS kind FROM (SELECT c_custkey FROM customer INTERSECT SELECT o_custkey FROM orders) UNION ALL SELECT c_custkey, 'idle' FROM (SELECT c_custkey FROM customer EXCEPT ALL SELECT DISTINCT o_custkey FROM orders)",
     "semi_and_anti": "SELECT lang, count(*) AS n FROM documents WHERE doc_id IN (SELECT doc_id FROM labels) AND doc_id NOT IN (SELECT doc_id FROM labels WHERE toxic = 1) GROUP BY lang",
     "asof_join": "SELECT event_id, (SELECT arg_max(o_orderkey, (o_orderdate, o_orderkey)) FROM orders o WHERE o.o_custkey = e.user_id AND o.o_orderdate <= e.ts) AS last_order FROM events e",
-    "interval_join": "SELECT a.o_orderkey AS asked, count(*) AS n FROM orders a JOIN orders b ON a.o_custkey = b.o_custkey AND datediff('day', b.o_orderdate::DATE, a.o_orderdate::DATE) BETWEEN 1 AND 60 WHERE a.o_orderkey % 20 = 0 GROUP BY 1",
+    "interval_join": "SELECT a.o_orderkey AS asked, count(*) AS n FROM orders a JOIN orders b ON a.o_custkey = b.o_custkey AND datediff('day', b.o_orderdate::DATE, a.o_orderdate::DATE) BETWEEN 1 AND 60 GROUP BY 1",
     "star_join": "SELECT r_name, count(*) AS n, round(sum(l_quantity), 2) AS qty FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name",
     "top_k_global": "SELECT l_orderkey, l_linenumber, l_partkey, l_extendedprice FROM lineitem ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber, l_partkey LIMIT 25",
     "word_counts": "SELECT word, count(*) AS n FROM (SELECT unnest(regexp_split_to_array(lower(text), '[ \\n\\t]+')) AS word FROM documents) WHERE length(word) > 6 GROUP BY word HAVING count(*) >= 50",
@@ -110,4 +147,4 @@ ORACLE = {
     "pivot_types": "SELECT user_id % 10 AS b, " + ", ".join(f"count(CASE WHEN event_type = '{k}' THEN 1 END) AS n_{k}" for k in ("click", "view", "purchase", "signup", "error")) + " FROM events GROUP BY 1",
 }
 
-QUERIES = {f.__name__: f for f in (load_cube, load_rollup, grouping_sets, window_frames, set_operations, semi_and_anti, asof_join, interval_join, star_join, top_k_global, word_counts, page_text_length, json_features, pivot_types, approximate)}
+QUERIES = {f.__name__: f for f in (load_cube, load_rollup, grouping_sets, window_frames, set_operations, semi_and_anti, asof_join, interval_join, star_join, top_k_global, word_counts, page_text_length, json_features, pivot_types, approximate, bucketed_join, lateral_top_orders, text_formats)}

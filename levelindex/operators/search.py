@@ -11,7 +11,7 @@ from levelindex.functions import distance
 from levelindex.operators.build import LeveledIndex
 from levelindex.operators.exact import exact_blocks, rank
 from levelindex.operators.graph import graph_search
-from levelindex.sources.store import unpack
+from levelindex.sources.store import WIDTHS, flat_lists, unpack
 
 CANDIDATES = "qid long, vec_id long, dist double"
 
@@ -30,47 +30,55 @@ def root_candidates(index: LeveledIndex, qs: DataFrame, m: int, how: str) -> Dat
     return graph_search(index.graph, qs, m, max(m, 32)).select("qid", "vec_id", "dist")
 
 
-def scan_packed(metric: str, keep: int):
-    """Kernel over (qid, qvec, n, ids, block) rows: per batch and query the `keep` nearest (an exact part of the limit)."""
+#: Queries of one partition are dealt to so many lanes, each a row of its own, so that a hot partition spreads.
+LANES = 16
+
+
+def scan_packed(metric: str, keep: int, width: str):
+    """Kernel over (pid, qids, qvecs, n, ids, block) rows: per partition and query the `keep` nearest (an exact part of the limit)."""
 
     def run(batches):
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            qid, found_q, found_v, found_d = batch.column("qid").to_pylist(), [], [], []
-            q = np.array(batch.column("qvec").to_pylist(), float)
-            by_pid: dict[int, list[int]] = {}
-            for i, p in enumerate(batch.column("pid").to_pylist()):
-                by_pid.setdefault(p, []).append(i)
+            found_q, found_v, found_d = [], [], []
+            queries, q_at = flat_lists(batch.column("qids"))
+            values, v_at = flat_lists(batch.column("qvecs"))
             n, ids, block = batch.column("n"), batch.column("ids"), batch.column("block")
-            for rows in by_pid.values():
-                names, vecs = unpack(n[rows[0]].as_py(), ids[rows[0]].as_py(), block[rows[0]].as_py())
-                d = distance.block(metric, q[rows], vecs)
-                found_q.append(np.repeat([qid[i] for i in rows], len(names)))
-                found_v.append(np.tile(names, len(rows)))
-                found_d.append(d.ravel())
-            fq, fv, fd = np.concatenate(found_q), np.concatenate(found_v), np.concatenate(found_d)
-            order = np.lexsort((fv, fd, fq))
-            fq, fv, fd = fq[order], fv[order], fd[order]
-            new = np.flatnonzero(np.concatenate(([True], fq[1:] != fq[:-1])))
-            place = np.arange(len(fq)) - np.repeat(new, np.diff(np.append(new, len(fq))))
-            top = place < keep
-            yield pa.RecordBatch.from_arrays([pa.array(fq[top].astype(np.int64)), pa.array(fv[top]), pa.array(fd[top])], ["qid", "vec_id", "dist"])
+            for i in range(batch.num_rows):
+                names, vecs = unpack(n[i].as_py(), ids[i].as_py(), block[i].as_py(), width)
+                asked = queries[q_at[i] : q_at[i + 1]]
+                d = distance.block(metric, values[v_at[i] : v_at[i + 1]].reshape(len(asked), -1), vecs)
+                at = distance.nearest_rows(d, names, keep)
+                found_q.append(np.repeat(asked, at.shape[1]))
+                found_v.append(names[at].ravel())
+                found_d.append(np.take_along_axis(d, at, 1).ravel())
+            if found_q:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(found_q).astype(np.int64)), pa.array(np.concatenate(found_v)), pa.array(np.concatenate(found_d))], ["qid", "vec_id", "dist"])
 
     return run
 
 
-def probe_level(index: LeveledIndex, probes: DataFrame, qs: DataFrame, level: int, keep: int, mode: str, where: Column | None, copies: int) -> DataFrame:
+def grouped_probes(asked: DataFrame, buckets: int) -> DataFrame:
+    """One row for each partition and lane with its queries, dealt like the stored level: the only exchange of a round."""
+    dealt = asked.select("pid", "qid", "qvec").repartition(buckets, "pid")
+    lane = F.pmod(F.xxhash64("qid"), F.lit(LANES)).alias("lane")
+    both = dealt.groupBy("pid", lane).agg(F.collect_list(F.struct("qid", "qvec")).alias("asks"))
+    return both.select("pid", F.col("asks.qid").alias("qids"), F.flatten("asks.qvec").alias("qvecs"))
+
+
+def probe_level(index: LeveledIndex, probes: DataFrame, qs: DataFrame, level: int, keep: int, mode: str, where: Column | None, copies: int, dead: DataFrame | None = None) -> DataFrame:
     """Candidates of one level for (qid, pid) probes."""
     asked = probes.join(qs, "qid")
-    if mode == "near_data" and where is None:
-        found = asked.join(index.packed(level), "pid").select("qid", "pid", "qvec", "n", "ids", "block").mapInArrow(scan_packed(index.metric, keep * copies), CANDIDATES)
+    if mode == "near_data" and where is None and dead is None:
+        sent = grouped_probes(asked, index.buckets[0][level])
+        found = sent.hint("shuffle_hash").join(index.packed(level), "pid").select("pid", "qids", "qvecs", "n", "ids", "block").mapInArrow(scan_packed(index.metric, keep * copies, index.width), CANDIDATES)
     elif mode in ("near_data", "rows"):
         members = index.members(level) if where is None else index.members(level).where(where)
+        members = members if dead is None else members.join(dead.select("vec_id").distinct(), "vec_id", "left_anti")
         found = asked.join(members, "pid").select("qid", "vec_id", distance.score(index.metric, F.col("qvec"), F.col("vec")).alias("dist"))
     elif mode == "raw_transfer":
         # whole partitions travel to the query's side, distances come after the exchange
         members = index.members(level) if where is None else index.members(level).where(where)
+        members = members if dead is None else members.join(dead.select("vec_id").distinct(), "vec_id", "left_anti")
         raw = asked.select("qid", "pid").join(members, "pid").repartition("qid").join(qs.repartition("qid"), "qid")
         found = raw.select("qid", "vec_id", distance.score(index.metric, F.col("qvec"), F.col("vec")).alias("dist"))
     else:
@@ -80,31 +88,34 @@ def probe_level(index: LeveledIndex, probes: DataFrame, qs: DataFrame, level: in
     return rank(found, keep)
 
 
-def search(index: LeveledIndex, qs: DataFrame, k: int = 10, m=64, mode: str = "near_data", root: str = "graph", where: Column | None = None, copies: int = 1) -> DataFrame:
-    """qid, rank, vec_id, dist: root top-m, then each level's top-m, then the leaf's top-k; one plan, no action between levels."""
+def search(index: LeveledIndex, qs: DataFrame, k: int = 10, m=64, mode: str = "near_data", root: str = "graph", where: Column | None = None, copies: int = 1, dead: DataFrame | None = None) -> DataFrame:
+    """qid, rank, vec_id, dist: root top-m, then each level's top-m, then the leaf's top-k; one plan, no action between levels.
+
+    `dead` (vec_id) are tombstones: these vectors never come out, though deleted centroids still route.
+    """
     if k < 1:
         raise ValueError("k is at least 1")
-    return descend(index, qs, k, m, mode, root, where, copies)[0]
+    return descend(index, qs, k, m, mode, root, where, copies, dead)[0]
 
 
-def descend(index: LeveledIndex, qs: DataFrame, k: int, m, mode: str = "near_data", root: str = "graph", where: Column | None = None, copies: int = 1):
-    """The result, and the probes of each level (qid, pid, level) for the measures."""
+def descend(index: LeveledIndex, qs: DataFrame, k: int, m, mode: str = "near_data", root: str = "graph", where: Column | None = None, copies: int = 1, dead: DataFrame | None = None, stop: int = 0):
+    """The result, and the probes of each level (qid, pid, level) for the measures; `stop` is the last level that is read."""
     below = index.levels - 1
     m = budgets(m, index.levels)
-    if not below:
+    if below <= stop:
         return rank(root_candidates(index, qs, k, root), k).select("qid", "rank", "vec_id", "dist"), []
     found = rank(root_candidates(index, qs, m[below], root), m[below])
     log = []
-    for level in range(below - 1, -1, -1):
+    for level in range(below - 1, stop - 1, -1):
         probes = found.select("qid", F.col("vec_id").alias("pid"))
         log.append(probes.withColumn("level", F.lit(level)))
-        keep = k if level == 0 else m[level]
-        found = probe_level(index, probes, qs, level, keep, mode, where if level == 0 else None, copies)
+        keep = k if level == stop else m[level]
+        found = probe_level(index, probes, qs, level, keep, mode, where if level == 0 else None, copies, dead if level == 0 else None)
     return found.select("qid", "rank", "vec_id", "dist"), log
 
 
 def trace(index: LeveledIndex, log: list[DataFrame], mode: str = "near_data", m: int = 64) -> DataFrame:
-    """Per query and level: partitions and vectors read, bytes moved."""
+    """Per query and level: partitions and vectors read, bytes moved. Near the data each partition replies with at most m pairs of id and distance (12 bytes); else whole partitions travel."""
     dim = index.root().select(F.size("vec").alias("d")).first()["d"]
     out = None
     for probes in log:
@@ -112,10 +123,10 @@ def trace(index: LeveledIndex, log: list[DataFrame], mode: str = "near_data", m:
         if level is None:
             continue
         sizes = index.packed(level["level"]).select("pid", "n")
-        part = probes.join(sizes, "pid").groupBy("qid", "level").agg(F.count("*").alias("partitions_read"), F.sum("n").alias("vectors_read"))
+        moved = 12 * F.least(F.col("n"), F.lit(m)) if mode == "near_data" else F.col("n") * (WIDTHS[index.width] * dim + 8)
+        part = probes.join(sizes, "pid").groupBy("qid", "level").agg(F.count("*").alias("partitions_read"), F.sum("n").alias("vectors_read"), F.sum(moved).alias("bytes"))
         out = part if out is None else out.unionByName(part)
-    moved = 12 * F.least(F.col("vectors_read"), F.lit(m)) if mode == "near_data" else F.col("vectors_read") * (8 * dim + 8)
-    return out.withColumn("bytes", moved)
+    return out
 
 
 def tune_budget(index: LeveledIndex, qs: DataFrame, truth: DataFrame, k: int, target: float, m_max: int = 256, root: str = "graph") -> tuple[int, list[tuple[int, float]]]:

@@ -1,4 +1,10 @@
-"""Inserts, deletes, splits, merges and reassignment of partitions, as tables of members."""
+"""Inserts, deletes, splits, merges and reassignment: on one table of members, and on a leveled index.
+
+`maintain` takes changes up an index: the partitions they touch at the leaf are written anew as a
+further version, the centroids that came or went so are the changes of the level above, and at the
+top the root and its graph follow.  Partitions that nothing touched are neither read nor written,
+but for the sizes, and the keys where deletes look for their partitions.
+"""
 
 from __future__ import annotations
 
@@ -7,9 +13,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from levelindex import scratch
 from levelindex.functions import distance
 from levelindex.operators.cluster import MEMBERS, lloyd
-from levelindex.operators.exact import exact_blocks, rank
+from levelindex.operators.build import LeveledIndex
+from levelindex.operators.cluster import local_cluster
+from levelindex.operators.exact import columns_of, exact_blocks, rank
+from levelindex.operators.graph import updated_graph
+from levelindex.operators.search import descend
+from levelindex.sources import store
 
 
 def centroids(members: DataFrame) -> DataFrame:
@@ -48,7 +60,7 @@ def split_oversize(members: DataFrame, most: int) -> DataFrame:
 
     def cut(table: pa.Table) -> pa.Table:
         ids = table.column("vec_id").to_numpy()
-        x = np.array(table.column("vec").to_pylist(), float)
+        x = columns_of(table)
         medoid, own = lloyd(x, ids, 2, 8)
         return pa.table({"pid": ids[medoid][own], "vec_id": ids, "vec": table.column("vec")})
 
@@ -98,3 +110,90 @@ def last_change(changes: DataFrame) -> DataFrame:
     """The latest change of each vector (op, vec_id, vec, ts); equal times: a delete wins."""
     w = Window.partitionBy("vec_id").orderBy(F.desc("ts"), F.col("op"))
     return changes.withColumn("n", F.row_number().over(w)).where("n = 1").drop("n")
+
+
+# --- the leveled index ---
+
+def route(index: LeveledIndex, vs: DataFrame, level: int, m: int = 16) -> DataFrame:
+    """pid, vec_id, vec: the partition of a level for each vector, by the index's own search above it."""
+    asked = vs.select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"))
+    found, _ = descend(index, asked, 1, m, root="exact", stop=level + 1)
+    return found.select(F.col("vec_id").alias("pid"), F.col("qid").alias("vec_id")).join(vs.select("vec_id", "vec"), "vec_id").select("pid", "vec_id", "vec")
+
+
+def changed_partitions(index: LeveledIndex, level: int, add: DataFrame, gone: DataFrame, most: int, least: int, m: int, rounds: int = 8) -> tuple[DataFrame, DataFrame]:
+    """The rows of all partitions that the changes touch, as they are afterwards, and the pids that are no longer as they were.
+
+    Vectors that come take the place of those with their ids.  A partition whose centroid went, or with
+    over `most` members, is clustered anew; one with under `least` members is dealt to the nearest others.
+    """
+    old = index.members(level)
+    away = gone.select("vec_id").union(add.select("vec_id")).distinct()
+    routed = scratch.save(route(index, add, level, m), "routed")
+    homes = old.select("pid", "vec_id").join(away, "vec_id", "left_semi").select("pid")
+    sizes = index.packed(level).select("pid", "n").where((F.col("n") > most) | (F.col("n") < least)).select("pid")
+    region = scratch.save(routed.select("pid").union(homes).union(sizes).distinct(), "region")
+    rows = scratch.save(old.join(region, "pid", "left_semi").join(away, "vec_id", "left_anti").select("pid", "vec_id", "vec").unionByName(routed), "rows")
+    for _ in range(rounds):
+        per = rows.groupBy("pid").agg(F.count("*").alias("n"), F.max((F.col("pid") == F.col("vec_id")).cast("int")).alias("head"))
+        odd = scratch.save(per.where((F.col("n") > most) | (F.col("head") == 0)).select("pid", "n"), "odd")
+        if odd.isEmpty():
+            break
+        whole = rows.join(odd, "pid").select(F.col("pid").alias("cell"), "vec_id", "vec", "n")
+        few, many = whole.where(F.col("n") <= most), whole.where(F.col("n") > most)
+        again = local_cluster(many, min(1.0, 2 / most)).unionByName(local_cluster(few, 1e-9))
+        rows = scratch.save(rows.join(odd, "pid", "left_anti").unionByName(again), "rows")
+    small = scratch.save(rows.groupBy("pid").agg(F.count("*").alias("n")).where(F.col("n") < least).select("pid"), "small")
+    if not small.isEmpty():
+        heads = old.where("pid = vec_id").join(region, "pid", "left_anti").select("pid", F.col("vec").alias("centre")).unionByName(centroids(rows.join(small, "pid", "left_anti")))
+        if not heads.isEmpty():
+            moved = scratch.save(nearest_partition(heads, rows.join(small, "pid", "left_semi").select("vec_id", "vec")), "moved")
+            joined = old.join(moved.select("pid").distinct(), "pid", "left_semi").join(region, "pid", "left_anti").select("pid", "vec_id", "vec")
+            region = scratch.save(region.union(moved.select("pid")).distinct(), "region")
+            rows = scratch.save(rows.join(small, "pid", "left_anti").unionByName(joined).unionByName(moved), "rows")
+    return rows, scratch.save(region.union(rows.select("pid")).distinct(), "touched")
+
+
+def maintain(index: LeveledIndex, add: DataFrame | None = None, gone: DataFrame | None = None, most: int = 40, least: int = 2, m: int = 16, path: str | None = None) -> LeveledIndex:
+    """The index after inserts (vec_id, vec) and deletes (vec_id), with its partitions within their sizes; the old one stays readable."""
+    spark, path = index.spark, path or scratch.path(index.spark, "version")
+    if path in index.versions:
+        raise ValueError("a version of the index is not written over")
+    empty = spark.createDataFrame([], "vec_id long, vec array<double>")
+    add = empty if add is None else add.select("vec_id", "vec").dropDuplicates(["vec_id"])
+    gone = empty.select("vec_id") if gone is None else gone.select("vec_id").distinct()
+    buckets = []
+    for level in range(index.levels - 1):
+        rows, touched = changed_partitions(index, level, add, gone, most, least, m)
+        buckets.append(store.buckets_for(spark, rows.count()))
+        store.write_level(rows, path, level, buckets[-1], index.width)
+        store.write_touched(touched, path, level)
+        was = index.members(level).where("pid = vec_id").join(touched, "pid", "left_semi").select("vec_id", "vec")
+        now = rows.where("pid = vec_id").select("vec_id", "vec")
+        gone = scratch.save(was.select("vec_id").join(now.select("vec_id"), "vec_id", "left_anti"), "gone")
+        add = scratch.save(now.join(was, ["vec_id", "vec"], "left_anti").select("vec_id", "vec"), "add")
+    away = gone.select("vec_id").union(add.select("vec_id"))
+    store.write_root(index.root().join(away, "vec_id", "left_anti").unionByName(add), path)
+    out = LeveledIndex(spark, path, [], [], index.metric, index.graph_settings, [*index.buckets, buckets], index.width, [*index.versions, path])
+    for level in range(index.levels - 1):
+        n, p = out.packed(level).agg(F.sum("n"), F.count("*")).first()
+        out.counts.append(n or 0)
+        out.partitions.append(p)
+    out.counts.append(out.root().count())
+    if index._graph is not None:  # of the root's size at most
+        new, old = add.orderBy("vec_id").toArrow(), gone.toArrow()
+        out._graph = updated_graph(index._graph, new.column("vec_id").to_numpy(), columns_of(new), old.column("vec_id").to_numpy())
+    out.save_manifest()
+    return out
+
+
+def compact(index: LeveledIndex) -> LeveledIndex:
+    """One version again, with buckets over whole levels."""
+    spark, path = index.spark, scratch.path(index.spark, "index")
+    buckets = [store.buckets_for(spark, n) for n in index.counts[:-1]]
+    for level, n in enumerate(buckets):
+        store.write_level(index.members(level), path, level, n, index.width)
+    store.write_root(index.root(), path)
+    out = LeveledIndex(spark, path, index.counts, index.partitions, index.metric, index.graph_settings, [buckets], index.width)
+    out.save_manifest()
+    return out

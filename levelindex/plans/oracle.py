@@ -62,13 +62,7 @@ def leveled(strides=(10, 100), m: int = 16, k: int = 5, head: str | None = None,
     return sql + ("\nSELECT qid, rank, vec_id, dist::BIGINT AS dist FROM f0" if final else "")
 
 
-LINE = """WITH li AS (SELECT DISTINCT ON (vec_id) * FROM (SELECT ((l_orderkey * 8 + l_linenumber) * 1048576 + l_partkey) * 16384 + l_suppkey AS vec_id, l_orderkey,
-  [floor(l_quantity * 4), floor(l_extendedprice / 400), floor(l_discount * 1000 + 0.5), floor(l_tax * 1000 + 0.5),
-   floor(datediff('day', DATE '1992-01-01', l_shipdate::DATE) / 10.0), (l_partkey % 211)::DOUBLE, (l_suppkey % 101)::DOUBLE]::DOUBLE[] AS v FROM lineitem)
-  WHERE l_orderkey % 40 < 2),
-e AS (SELECT row_number() OVER (ORDER BY vec_id) AS vec_id, v FROM li),
-base AS (SELECT vec_id, v FROM e WHERE vec_id % 50 <> 7),
-q AS (SELECT vec_id AS qid, v AS qv FROM e WHERE vec_id % 50 = 7)"""
+LINE_KEYS = "SELECT DISTINCT ((l_orderkey * 8 + l_linenumber) * 1048576 + l_partkey) * 16384 + l_suppkey AS vec_id FROM lineitem"
 
 MD5 = "('0x' || substr(md5({}::VARCHAR), 1, 8))::BIGINT"
 
@@ -135,7 +129,11 @@ def oracle_sql() -> dict[str, str]:
     out["filtered_knn_pre"] = start() + knn("r", "base", 5, "b.label < 3") + "SELECT qid, rank, vec_id, dist::BIGINT AS dist FROM r"
     out["filtered_knn_post"] = start() + knn("w", "base", 20) + top("r", "SELECT w.qid, w.vec_id, w.dist FROM w JOIN base USING (vec_id) WHERE label < 3", 5) + "SELECT qid, rank, vec_id, dist::BIGINT AS dist FROM r"
     out["knn_join_documents_benchmark"] = f"WITH d AS {words('documents', 'doc_id')}, i AS {words('benchmark', 'item_id')} SELECT qid, n AS rank, vec_id, overlap FROM (SELECT i.id AS qid, d.id AS vec_id, list_inner_product(i.v, d.v)::BIGINT AS overlap, row_number() OVER (PARTITION BY i.id ORDER BY list_inner_product(i.v, d.v) DESC, d.id) AS n FROM d, i) WHERE n <= 3"
-    out["semantic_near_duplicates"] = f"WITH d AS {words('documents', 'doc_id')} SELECT id AS vec_id, class_id, n FROM (SELECT id, min(id) OVER (PARTITION BY v) AS class_id, count(*) OVER (PARTITION BY v) AS n FROM d) WHERE id <> class_id"
+    out["semantic_near_duplicates"] = f"""WITH RECURSIVE d AS {words('documents', 'doc_id')},
+n AS (SELECT v, min(id) AS node FROM d GROUP BY v),
+l AS (SELECT a.node AS a, b.node AS b FROM n a, n b WHERE a.node <> b.node AND {d2('a.v', 'b.v')} <= 4),
+r AS (SELECT node AS a, node AS b FROM n UNION SELECT r.a, l.b FROM r JOIN l ON r.b = l.a)
+SELECT d.id AS doc_id, c.class_id FROM d JOIN n ON d.v = n.v JOIN (SELECT a, min(b) AS class_id FROM r GROUP BY a) c ON c.a = n.node"""
     members = start() + assign("m0", "base", 10)
     sizes = "SELECT pid, count(*) AS n FROM m0 GROUP BY pid"
     out["partition_assign_stride"] = members + "\nSELECT pid, vec_id FROM m0"
@@ -152,7 +150,6 @@ SELECT cell, vec_id, (n > 1)::BIGINT AS is_copy FROM r WHERE n <= 2 AND d2 * 100
     out["merge_equal_partitions"] = members + "\nSELECT pid, count(DISTINCT vec_id) AS n, min(vec_id) AS least FROM m0 GROUP BY pid"
     for name, strides, m in (("leveled_search_m4", (10, 100), 4), ("leveled_search_m16", (10, 100), 16), ("leveled_search_full", (10, 100), 1000), ("leveled_search_raw_transfer", (10, 100), 16), ("two_level_coarse", (100,), 4), ("extra_level", (2, 10, 100), 16), ("density_combo_5x20", (5, 100), 16), ("density_combo_20x5", (20, 100), 16), ("density_combo_25x4", (25, 100), 16)):
         out[name] = leveled(strides, m)
-    out["leveled_search_lineitem"] = leveled((10, 100), 16, head=LINE)
     one = start() + assign("m0", "base", 10) + ",\nc0 AS (SELECT vec_id, v FROM m0 WHERE pid = vec_id)" + knn("p", "c0", 32) + knn("truth", "base", 5)
     grid = ",\ng AS (SELECT unnest([1, 2, 4, 8, 16, 32])::BIGINT AS m), asked AS (SELECT count(*) AS a FROM q)"
     out["recall_and_reads_vs_m"] = one + grid + """,
@@ -193,4 +190,21 @@ SELECT node::BIGINT AS node, count(*) AS probes FROM r WHERE n = 1 GROUP BY node
 stay AS (SELECT m0.* FROM m0 JOIN sz USING (pid) WHERE n >= 8), sc AS (SELECT vec_id, v FROM stay WHERE pid = vec_id),
 mv AS (SELECT pid, vec_id FROM (SELECT sc.vec_id AS pid, x.vec_id, row_number() OVER (PARTITION BY x.vec_id ORDER BY {d2('x.v', 'sc.v')}, sc.vec_id) AS n FROM (SELECT m0.* FROM m0 JOIN sz USING (pid) WHERE n < 8) x, sc) WHERE n = 1)
 SELECT pid, count(*) AS n FROM (SELECT pid, vec_id FROM stay UNION ALL SELECT pid, vec_id FROM mv) GROUP BY pid"""
+    out["reassign"] = out["partition_assign_stride"]
+    out["split_oversize"] = start() + "SELECT (SELECT count(*) FROM base) AS vectors, 0::BIGINT AS oversize, 0::BIGINT AS headless"
+    out["maintained_index"] = "SELECT level::BIGINT AS level, 0::BIGINT AS headless, 0::BIGINT AS unlisted, 0::BIGINT AS stale, 0::BIGINT AS missing, 0::BIGINT AS extra FROM range(2) t(level)"
+    out["compacted_index"] = start() + "SELECT 0::BIGINT AS differ, 5 * count(*) AS n FROM q"
+    held = "SELECT count(*) AS queries, 5 * count(*) AS n, 0::BIGINT AS wrong, 0::BIGINT AS repeated, 1::BIGINT AS reached"
+    for name in ("root_graph_search", "root_graph_update", "kmeans_shards_search", "lloyd_index_recall"):
+        out[name] = start() + held + " FROM q"
+    out["lloyd_index_search"] = held + f" FROM ({LINE_KEYS}) WHERE vec_id % 200 = 7"
+    out["sharded_graph_hops"] = start() + held + ", 1::BIGINT AS hops_counted FROM q"
+    out["topdown_tree_search"] = start() + held + ", 0::BIGINT AS oversize, (SELECT count(*) FROM base) AS vectors FROM q"
+    out["partition_is_whole"] = start() + "SELECT count(*) AS n, count(*) AS vectors, 0::BIGINT AS headless, 1::BIGINT AS bounded FROM base"
+    out["tuned_budget"] = start() + knn("truth", "base", 5) + assign("m0", "base", 10) + ",\nc0 AS (SELECT vec_id, v FROM m0 WHERE pid = vec_id)" + knn("o", "c0", 1 << 30) + """,
+h AS (SELECT o.rank, count(*) AS h FROM truth t JOIN m0 x ON t.vec_id = x.vec_id JOIN o ON o.qid = t.qid AND o.vec_id = x.pid GROUP BY o.rank)
+SELECT min(rank)::BIGINT AS m FROM (SELECT rank, sum(h) OVER (ORDER BY rank) AS got FROM h) WHERE got * 10 >= 9 * (SELECT count(*) FROM truth)"""
+    out["auto_density_build"] = "SELECT 1::BIGINT AS coarsest_that_fits, 1::BIGINT AS recall_reached, 1::BIGINT AS in_range"
+    out["density_profile_graph"] = "SELECT density, 1::BIGINT AS reached, 1::BIGINT AS reads, 1::BIGINT AS hops_counted FROM (VALUES (1.0::DOUBLE), (0.2), (0.1), (0.05)) t(density)"
+    out["axis_tree_leaves"] = start() + "SELECT 8::BIGINT AS leaves, count(*) AS vectors, 1::BIGINT AS even FROM base"
     return out

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from levelindex import scratch
 from levelindex.functions import distance
 from levelindex.operators import baselines, cluster, exact, graph, granularity, placement, search, updates
-from levelindex.operators.build import LeveledIndex, RootBudget, build_index
+from levelindex.operators.build import LeveledIndex, RootBudget, build_index, verify_index
 from levelindex.plans import cost_model
 from levelindex.sources import tables
 
@@ -46,7 +46,7 @@ def exact_knn_blocks(spark, d):
 
 def range_search(spark, d):
     base, qs = base_and_queries(spark, d)
-    return whole(exact.range_search(base, qs, 27000.0))
+    return whole(exact.range_blocks(base, qs, 27000.0))
 
 
 def filtered_knn(strategy: str):
@@ -65,11 +65,17 @@ def knn_join_documents_benchmark(spark, d):
     return found.select("qid", F.col("rank").cast("long").alias("rank"), "vec_id", (-F.col("dist")).cast("long").alias("overlap"))
 
 
-def semantic_near_duplicates(spark, d):
-    """Documents with an equal vector and a smaller key in another document: one row each, with the class."""
-    docs = tables.document_vectors(spark, d, 32)
-    first = docs.groupBy("vec").agg(F.min("vec_id").alias("class_id"), F.count("*").alias("n"))
-    return docs.join(first.where("n > 1"), "vec").where("vec_id != class_id").select("vec_id", "class_id", "n")
+def semantic_near_duplicates(spark, d, radius: float = 4.0):
+    """doc_id, class_id of every document: classes of word-count vectors that links of at most `radius` squared distance join.
+
+    Equal vectors are one node; the nodes meet in blocks, and only pairs within the radius leave a block.
+    """
+    docs = scratch.save(tables.document_vectors(spark, d, 32), "vectors")
+    nodes = scratch.save(docs.groupBy("vec").agg(F.min("vec_id").alias("vec_id")).select("vec_id", "vec"), "nodes")
+    pairs = exact.range_blocks(nodes, nodes.select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec")), radius).where("qid < vec_id")
+    labels = exact.classes(scratch.save(pairs.select(F.col("qid").alias("a"), F.col("vec_id").alias("b")), "links"))
+    named = docs.join(nodes.withColumnRenamed("vec_id", "node"), "vec").join(labels, "node", "left")
+    return named.select(F.col("vec_id").alias("doc_id"), F.coalesce("root", "node").alias("class_id"))
 
 
 # --- partitions ---------------------------------------------------------------------------------
@@ -124,60 +130,35 @@ def merge_equal_partitions(spark, d):
     return cluster.merge_equal(twice).groupBy("pid").agg(F.count("*").alias("n"), F.min("vec_id").alias("least"))
 
 
-# --- the leveled index in its SQL-expressible form ----------------------------------------------
-
-def stride_levels(base: DataFrame, strides: list[int]) -> tuple[list[DataFrame], DataFrame]:
-    """Member tables from the leaf up and the root set, for nested strides."""
-    levels, current = [], base.select("vec_id", "vec")
-    for s in strides:
-        levels.append(scratch.save(cluster.stride_members(current, s), "stride"))
-        current = levels[-1].where("pid = vec_id").select("vec_id", "vec")
-    return levels, current
+# --- the leveled index with keys as centroids, so that SQL can say the same --------------------
 
+def stride_index(base: DataFrame, strides, width: str = "u1") -> LeveledIndex:
+    shares = [p / s for p, s in zip((1, *strides), strides)]
+    return build_index(base, RootBudget(vectors=1), density=shares, algorithm="stride", levels=len(strides) + 1, width=width)
 
-def descend(levels: list[DataFrame], root: DataFrame, qs: DataFrame, m: int, k: int, raw: bool = False) -> tuple[DataFrame, list[DataFrame]]:
-    found = exact.exact_knn(root, qs, m, digits=None)
-    log = []
-    for i in range(len(levels) - 1, -1, -1):
-        probes = found.select("qid", F.col("vec_id").alias("pid"))
-        log.append(probes)
-        if raw:
-            asked = probes.join(levels[i], "pid").repartition("qid").join(qs.repartition("qid"), "qid")
-        else:
-            asked = probes.join(qs, "qid").join(levels[i], "pid")
-        near = asked.select("qid", "vec_id", distance.l2sq(F.col("qvec"), F.col("vec")).alias("dist"))
-        found = exact.rank(near, k if i == 0 else m).select("qid", "vec_id", "dist", "rank")
-    return found, log
 
-
-def leveled_search(m: int, strides=(10, 100), k: int = 5, raw: bool = False, source: str = "embeddings"):
+def leveled_search(m: int, strides=(10, 100), k: int = 5, raw: bool = False):
     def query(spark, d):
-        if source == "lineitem":
-            li = tables.line_features(spark, d).where("l_orderkey % 40 < 2")
-            li = li.withColumn("vec_id", F.row_number().over(Window.orderBy("vec_id")).cast("long"))
-            base, qs = tables.split_queries(li)
-        else:
-            base, qs = base_and_queries(spark, d)
-        levels, root = stride_levels(base, list(strides))
-        found, _ = descend(levels, root, qs, m, k, raw)
+        base, qs = base_and_queries(spark, d)
+        index = stride_index(base, strides)
+        found = search.search(index, qs, k, m, "raw_transfer" if raw else "near_data", root="exact")
         return whole(found.withColumn("rank", F.col("rank").cast("long")), "rank")
 
     return query
 
 
 def recall_and_reads_vs_m(spark, d):
-    """recall@5 and leaf members read for each budget over one two-level stride index."""
+    """recall@5 and leaf members read for each budget over one two-level index."""
     base, qs = base_and_queries(spark, d)
-    levels, root = stride_levels(base, [10])
-    truth = scratch.save(exact.exact_knn(base, qs, 5, digits=None), "truth")
-    near = scratch.save(exact.exact_knn(root, qs, 32, digits=None).select("qid", F.col("vec_id").alias("pid"), "rank"), "near")
-    grid = spark.createDataFrame([(m,) for m in (1, 2, 4, 8, 16, 32)], "m int")
-    home = levels[0].select("pid", "vec_id")
-    sizes = home.groupBy("pid").agg(F.count("*").alias("n"))
-    hits = truth.select("qid", "vec_id").join(home, "vec_id").join(near, ["qid", "pid"]).join(F.broadcast(grid), F.col("rank") <= F.col("m")).groupBy("m").agg(F.count("*").alias("hits"))
-    reads = near.join(sizes, "pid").join(F.broadcast(grid), F.col("rank") <= F.col("m")).groupBy("m").agg(F.sum("n").alias("reads"))
-    asked = qs.count()
-    return reads.join(hits, "m", "left").select(F.col("m").cast("long").alias("m"), F.round(F.coalesce("hits", F.lit(0)) / (5 * asked), 6).alias("recall"), F.round(F.col("reads") / asked, 6).alias("reads"))
+    index = stride_index(base, (10,))
+    truth = scratch.save(exact.exact_blocks(base, qs, 5), "truth")
+    asked, total, rows = qs.count(), truth.count(), []
+    for m in (1, 2, 4, 8, 16, 32):
+        found, log = search.descend(index, qs, 5, m, root="exact")
+        hits = found.join(truth.select("qid", "vec_id"), ["qid", "vec_id"], "left_semi").count()
+        read = search.trace(index, log, m=m).agg(F.sum("vectors_read")).first()[0]
+        rows.append((m, hits / total, read / asked))
+    return spark.createDataFrame(rows, "m long, recall double, reads double").select("m", F.round("recall", 6).alias("recall"), F.round("reads", 6).alias("reads"))
 
 
 def reads_vs_density_frame(spark, d):
@@ -209,16 +190,8 @@ def balanced_density(spark, d):
 
 def level_accuracy(spark, d):
     base, qs = base_and_queries(spark, d)
-    levels, root = stride_levels(base, [10, 100])
-    found, log = descend(levels, root, qs, 8, 8)
-    sets = [root, levels[1].select("vec_id", "vec"), levels[0].select("vec_id", "vec")]
-    got = [p.select("qid", F.col("pid").alias("vec_id")) for p in log] + [found.select("qid", "vec_id")]
-    out = None
-    for i, (vs, g) in enumerate(zip(sets, got)):
-        want = exact.exact_knn(vs, qs, 8, digits=None).select("qid", "vec_id")
-        part = want.join(g.withColumn("hit", F.lit(1)), ["qid", "vec_id"], "left").agg(F.round(F.avg(F.coalesce("hit", F.lit(0))), 6).alias("accuracy")).select(F.lit(2 - i).cast("long").alias("level"), "accuracy")
-        out = part if out is None else out.unionByName(part)
-    return out
+    found = search.level_accuracy(stride_index(base, (10, 100)), qs, 8, 8, root="exact")
+    return found.select(F.col("level").cast("long").alias("level"), F.round("accuracy", 6).alias("accuracy"))
 
 
 def misrouted_share(spark, d):
@@ -339,90 +312,170 @@ def bytes_near_vs_raw(spark, d):
     return read.groupBy(F.col("m").cast("long").alias("m")).agg(F.sum(12 * F.least("n", F.col("m").cast("long"))).alias("near_bytes"), F.sum(F.col("n") * (64 + 8)).alias("raw_bytes"))
 
 
-# --- updates ------------------------------------------------------------------------------------
+# --- updates of an index -------------------------------------------------------------------------
+
+NO_LIMIT = 1 << 60
+
 
 def insert_then_search(spark, d):
     base, qs = base_and_queries(spark, d)
-    old = base.where("vec_id % 7 != 3 or vec_id % 10 = 0")
-    members = scratch.save(cluster.stride_members(old, 10), "members")
-    after = scratch.save(updates.insert(members, base.where("vec_id % 7 = 3 and vec_id % 10 != 0")), "members")
-    found = updates.partition_search(after, qs, 5, 8)
-    return whole(found.withColumn("rank", F.col("rank").cast("long")), "rank")
+    index = stride_index(base.where("vec_id % 7 != 3 or vec_id % 10 = 0"), (10,))
+    after = updates.maintain(index, base.where("vec_id % 7 = 3 and vec_id % 10 != 0"), most=NO_LIMIT, least=0)
+    return whole(search.search(after, qs, 5, 8, root="exact").withColumn("rank", F.col("rank").cast("long")), "rank")
 
 
 def delete_then_search(spark, d):
+    """Tombstones: deleted vectors never come out, deleted centroids still route."""
     base, qs = base_and_queries(spark, d)
-    members = scratch.save(cluster.stride_members(base, 10), "members")
-    pool = updates.centroids(members).select(F.col("pid").alias("vec_id"), F.col("centre").alias("vec"))
-    near = exact.exact_knn(pool, qs, 8, digits=None).select("qid", F.col("vec_id").alias("pid"))
-    alive = updates.delete(members, base.where("vec_id % 3 = 1"))
-    found = near.join(qs, "qid").join(alive, "pid").select("qid", "vec_id", distance.l2sq(F.col("qvec"), F.col("vec")).alias("dist"))
-    return whole(exact.rank(found, 5).withColumn("rank", F.col("rank").cast("long")), "rank")
+    found = search.search(stride_index(base, (10,)), qs, 5, 8, root="exact", dead=base.where("vec_id % 3 = 1"))
+    return whole(found.withColumn("rank", F.col("rank").cast("long")), "rank")
 
 
 def merge_undersize(spark, d):
-    members = scratch.save(stride_members(spark, d), "members")
-    return updates.merge_undersize(members, 8).groupBy("pid").agg(F.count("*").alias("n"))
+    base, _ = base_and_queries(spark, d)
+    after = updates.maintain(stride_index(base, (10,)), most=NO_LIMIT, least=8)
+    return after.members(0).groupBy("pid").agg(F.count("*").alias("n"))
 
 
 def split_oversize(spark, d):
+    """What a split leaves: all vectors, no partition over the limit, a centroid in each."""
+    base, _ = base_and_queries(spark, d)
+    after = updates.maintain(stride_index(base, (10,)), most=20, least=0)
+    per = after.members(0).groupBy("pid").agg(F.count("*").alias("n"), F.max((F.col("pid") == F.col("vec_id")).cast("long")).alias("head"))
+    return per.agg(F.sum("n").alias("vectors"), F.sum((F.col("n") > 20).cast("long")).alias("oversize"), F.sum(1 - F.col("head")).alias("headless"))
+
+
+def reassign(spark, d):
+    """Members dealt to wrong partitions move to the nearest one when all partitions count as changed."""
     members = scratch.save(stride_members(spark, d), "members")
-    after = updates.split_oversize(members, 20)
-    return after.groupBy("pid").agg(F.count("*").alias("n")).agg(F.sum("n").alias("vectors"), F.max("n").alias("most"), F.count("*").alias("partitions"))
+    wrong = members.withColumn("pid", F.when((F.col("vec_id") % 7 == 3) & (F.col("vec_id") % 10 != 0), F.lit(0)).otherwise(F.col("pid")))
+    return updates.reassign(scratch.save(wrong, "wrong"), wrong, around=4).select("pid", "vec_id")
 
 
-# --- methods that SQL can't say -----------------------------------------------------------------
+def maintained_index(spark, d):
+    """A three-level index after inserts, deletes, splits and merges: what is missing, left over or out of order at each level."""
+    base, _ = base_and_queries(spark, d)
+    index = build_index(base.where("vec_id % 4 != 2"), RootBudget(vectors=1), density=0.1, levels=3, width="u1")
+    after = updates.maintain(index, base.where("vec_id % 4 = 2"), base.where("vec_id % 3 = 1").select("vec_id"), most=30, least=2)
+    live = base.where("vec_id % 4 = 2 or vec_id % 3 != 1").select("vec_id")
+    leaf = after.members(0).select("vec_id")
+    missing, extra = live.exceptAll(leaf).count(), leaf.exceptAll(live).count()
+    checked = verify_index(after)
+    return checked.select(F.col("level").cast("long").alias("level"), "headless", "unlisted", "stale", F.lit(missing).cast("long").alias("missing"), F.lit(extra).cast("long").alias("extra"))
 
-def lloyd_index(spark, d, density=(0.1,), budget=None, vs=None) -> tuple[LeveledIndex, DataFrame, DataFrame]:
-    if vs is None:
-        li = tables.line_features(spark, d)
-        vs, qs = tables.split_queries(li.where("l_orderkey % 40 < 8"), 200, 7)
-    else:
-        vs, qs = vs
-    n = vs.count()
-    return build_index(vs, RootBudget(vectors=budget or max(20, n // 100)), density=list(density)), vs, qs
+
+def compacted_index(spark, d):
+    """Searches over a changed index and over its compacted form give the same rows: how many differ."""
+    base, qs = base_and_queries(spark, d)
+    index = updates.maintain(stride_index(base.where("vec_id % 7 != 3 or vec_id % 10 = 0"), (10,)), base.where("vec_id % 7 = 3 and vec_id % 10 != 0"), most=NO_LIMIT, least=0)
+    a, b = (search.search(i, qs, 5, 8, root="exact").select("qid", "rank", "vec_id", "dist") for i in (index, updates.compact(index)))
+    return spark.createDataFrame([(a.exceptAll(b).count(), a.count())], "differ long, n long")
+
+
+def root_graph_update(spark, d):
+    """Searches of a root graph that lost and gained vertices, against the exact neighbours."""
+    base, qs = base_and_queries(spark, d)
+    g = graph.build_graph(base.where("vec_id % 5 != 2"))
+    new = base.where("vec_id % 5 = 2").orderBy("vec_id").select("vec_id", "vec").toArrow()
+    gone = base.where("vec_id % 5 = 3").orderBy("vec_id").select("vec_id").toArrow()
+    g = graph.updated_graph(g, new.column("vec_id").to_numpy(), exact.columns_of(new), gone.column("vec_id").to_numpy())
+    return sound(graph.graph_search(g, qs, 5, 64), base.where("vec_id % 5 != 3"), qs, 5, 0.9)
+
+
+# --- methods whose rows SQL can't say, by what must hold of them --------------------------------
+
+def sound(found: DataFrame, base: DataFrame, qs: DataFrame, k: int, target: float = 0.0, metric: str = "l2sq") -> DataFrame:
+    """Queries, rows, rows whose distance is not that of the vectors, repeated rows, and whether the recall is reached."""
+    found = scratch.save(found.select("qid", "vec_id", "dist"), "found")
+    again = found.join(qs, "qid").join(base.select("vec_id", "vec"), "vec_id")
+    wrong = again.where(F.abs(distance.score(metric, F.col("qvec"), F.col("vec")) - F.col("dist")) > 1e-6).count()
+    n = found.count()
+    reached = 1
+    if target:
+        truth = exact.exact_blocks(base, qs, k, metric)
+        reached = int((exact.recall(found, truth).first()["recall"] or 0) >= target)
+    twice = n - found.select("qid", "vec_id").distinct().count()
+    row = (qs.count(), n, wrong + n - again.count(), twice, reached)
+    return base.sparkSession.createDataFrame([row], "queries long, n long, wrong long, repeated long, reached long")
 
 
 def lloyd_index_search(spark, d):
-    index, _, qs = lloyd_index(spark, d)
-    found = search.search(index, qs, 5, 16)
-    return found.select("qid", "rank", "vec_id", F.col("dist").cast("long").alias("dist"))
+    """The whole of lineitem under a three-level index; queries are the rows whose key leaves 7 modulo 200."""
+    base, qs = tables.split_queries(scratch.save(tables.line_features(spark, d).select("vec_id", "vec"), "line"), 200, 7)
+    index = build_index(base, RootBudget(vectors=1), density=0.1, levels=3)
+    return sound(search.search(index, qs, 5, 16), base, qs, 5)
+
+
+def lloyd_index_recall(spark, d):
+    base, qs = base_and_queries(spark, d)
+    index = build_index(base, RootBudget(vectors=1), density=0.1, levels=3, width="u1")
+    return sound(search.search(index, qs, 5, 64), base, qs, 5, 0.8)
+
+
+def tuned_budget(spark, d):
+    """The least budget for a recall of 0.9 over a two-level index, found by doubling and halving."""
+    base, qs = base_and_queries(spark, d)
+    index = stride_index(base, (10,))
+    truth = scratch.save(exact.exact_blocks(base, qs, 5), "truth")
+    m, _ = search.tune_budget(index, qs, truth, 5, 0.9, index.counts[-1], root="exact")
+    return spark.createDataFrame([(m,)], "m long")
 
 
 def root_graph_search(spark, d):
     base, qs = base_and_queries(spark, d)
-    g = graph.build_graph(base)
-    return graph.graph_search(g, qs, 5, 64).select("qid", "rank", "vec_id", F.col("dist").cast("long").alias("dist"), "steps", "visits")
+    return sound(graph.graph_search(graph.build_graph(base), qs, 5, 64), base, qs, 5, 0.9)
 
 
 def sharded_graph_hops(spark, d):
+    """Steps are counted whole: no more steps across nodes than steps, and some, at a recall of 0.9."""
     base, qs = base_and_queries(spark, d)
-    _, stats = baselines.sharded_graph(base, qs, 5, 64, 5)
-    return stats
+    found, stats = baselines.sharded_graph(base, qs, 5, 64, 5)
+    seen = stats.select(((F.col("cross_steps") > 0) & (F.col("cross_steps") < F.col("steps")) & (F.col("cross_share") <= 1)).cast("long").alias("hops_counted"))
+    return sound(found, base, qs, 5, 0.9).join(seen)
 
 
 def kmeans_shards_search(spark, d):
     base, qs = base_and_queries(spark, d)
-    found, _ = baselines.probe_shards(baselines.kmeans_shards(base, 5), qs, 5, 3)
-    return whole(found, "rank")
+    found, _ = baselines.probe_shards(baselines.kmeans_shards(base, 5), qs, 5, 4)
+    return sound(found, base, qs, 5, 0.8)
 
 
 def topdown_tree_search(spark, d):
     base, qs = base_and_queries(spark, d)
-    return whole(baselines.tree_search(baselines.topdown_tree(base, 20), qs, 5, 8), "rank")
+    tree = scratch.save(baselines.topdown_tree(base, 20), "tree")
+    fits = tree.groupBy("leaf").count().agg(F.max((F.col("count") > 20).cast("long")).alias("oversize"), F.sum("count").alias("vectors"))
+    return sound(baselines.tree_search(tree, qs, 5, 8), base, qs, 5).join(fits)
+
+
+def partition_is_whole(spark, d):
+    """Clustering at a tenth with boundary copies merged: vectors once each, partitions with their centroid, sizes of cells bounded."""
+    base, _ = base_and_queries(spark, d)
+    members = scratch.save(cluster.partition(base, 0.1, cells=6, max_copies=2, eps=0.2), "members")
+    cells = cluster.bounded_cells(base.select(F.lit("0").alias("cell"), "vec_id", "vec"), most=300)
+    largest = cells.groupBy("cell").count().agg(F.max("count")).first()[0]
+    headless = members.select("pid").distinct().join(updates.centroids(members), "pid", "left_anti").count()
+    out = members.agg(F.count("*").alias("n"), F.countDistinct("vec_id").alias("vectors"))
+    return out.select("n", "vectors", F.lit(headless).cast("long").alias("headless"), F.lit(int(largest <= 300)).cast("long").alias("bounded"))
 
 
 def axis_tree_leaves(spark, d):
+    """Three cuts at medians: eight leaves over all vectors, none with twice its share."""
     base, _ = base_and_queries(spark, d)
-    return baselines.axis_tree(base, 3, [0, 1, 2]).groupBy("leaf").agg(F.count("*").alias("n"))
+    sizes = baselines.axis_tree(base, 3, [0, 1, 2]).groupBy("leaf").agg(F.count("*").alias("n"))
+    return sizes.agg(F.count("*").alias("leaves"), F.sum("n").alias("vectors"), (F.max("n") < 2 * F.avg("n")).cast("long").alias("even"))
 
 
 def auto_density_build(spark, d):
+    """The chosen density is the coarsest evaluated one whose reads stay within the tolerance."""
     base, qs = base_and_queries(spark, d)
-    choice = granularity.determine_density(base, qs, sample_n=2000)
-    return spark.createDataFrame(choice.evaluations).withColumn("chosen", F.lit(choice.density))
+    choice = granularity.determine_density(base, qs)
+    fine = choice.evaluations[0]["vectors_read"]
+    fits = [r["density"] for r in choice.evaluations[1:] if r["vectors_read"] <= 1.5 * fine]
+    rows = [(int(choice.density == (min(fits) if fits else 0.5)), int(all(r["recall"] >= 0.9 for r in choice.evaluations)), int(0 < choice.density < 1))]
+    return spark.createDataFrame(rows, "coarsest_that_fits long, recall_reached long, in_range long")
 
 
 def density_profile_graph(spark, d):
     base, qs = base_and_queries(spark, d)
-    return granularity.density_profile(base, qs, (1.0, 0.2, 0.1, 0.05), nodes=5)
+    rows = granularity.density_profile(base, qs, (1.0, 0.2, 0.1, 0.05), nodes=5)
+    return rows.select("density", (F.col("recall") >= 0.9).cast("long").alias("reached"), (F.col("vectors_read") > 0).cast("long").alias("reads"), (F.col("cross_steps") <= F.col("steps")).cast("long").alias("hops_counted"))

@@ -2,7 +2,7 @@
 
 A plan that is read more than once, or that a lost executor must not force to be rebuilt from the
 start, is written as Parquet below ``spark.checkpoint.dir`` and read again.  That folder is the one
-the session names; only where a session names none (tests) is a temporary folder used.
+the session names; only a local session that names none (tests) gets a temporary folder.
 """
 
 from __future__ import annotations
@@ -22,6 +22,8 @@ def root(spark: SparkSession) -> str:
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+        raise RuntimeError("name a folder that all executors share in spark.checkpoint.dir")
     if not _fallback:
         _fallback.append("file://" + tempfile.mkdtemp(prefix="levelindex-"))
     return _fallback[0]

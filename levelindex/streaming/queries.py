@@ -1,11 +1,11 @@
-"""Streaming queries over `events`: windowed load, late rows, inserts into a member table."""
+"""Streaming queries over `events`: windowed load, late rows, sessions, inserts into an index."""
 
 from __future__ import annotations
 
 from pyspark.sql import functions as F
 
 from levelindex import scratch
-from levelindex.operators import cluster
+from levelindex.operators.build import RootBudget, build_index, verify_index
 from levelindex.sources.tables import event_vectors, table
 from levelindex.streaming.upserts import changes_of, replay, run_to_table, windowed_load
 
@@ -18,28 +18,64 @@ def folder(spark, d: str, name: str) -> str:
     return where
 
 
+def loads(stream, watermark: str = "2 hours"):
+    """One row for each window and type, in whole seconds."""
+    return windowed_load(stream, watermark=watermark).select(F.unix_timestamp("w.start").alias("start"), "event_type", "n", F.round("total", 2).alias("total"))
+
+
 def events_windowed_load(spark, d):
     where = folder(spark, d, "events")
     stream = spark.readStream.schema(spark.read.parquet(where).schema).parquet(where)
-    out = run_to_table(windowed_load(stream).select(F.col("w.start").alias("start"), "event_type", "n", F.round("total", 2).alias("total")))
-    return out.withColumn("start", F.unix_timestamp("start"))
+    return run_to_table(loads(stream), ["start", "event_type"])
 
 
 def late_updates_dropped(spark, d):
-    """Batch view of what a watermark lets through: the last windows stay open, so totals never exceed the table's."""
-    return events_windowed_load(spark, d).agg(F.sum("n").alias("n"), F.count("*").alias("windows"))
+    """Nine tenths of the events come first, the rest later: of these the ones whose window the watermark has closed are dropped."""
+    rows = table(spark, d, "events")
+    rows = rows.withColumn("ts", rows.ts.cast("timestamp"))
+    where = scratch.path(spark, "late")
+    for i, part in enumerate((rows.where("event_id % 10 != 3"), rows.where("event_id % 10 = 3"))):
+        part.coalesce(1).write.parquet(f"{where}/part{i}")
+    stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(f"{where}/*")
+    kept = run_to_table(loads(stream), ["start", "event_type"]).agg(F.sum("n").alias("kept"))
+    return kept.select("kept", (F.lit(rows.count()) - F.col("kept")).alias("dropped"))
+
+
+def event_sessions(spark, d):
+    """Sessions of a user: events less than six hours apart."""
+    where = folder(spark, d, "events")
+    stream = spark.readStream.schema(spark.read.parquet(where).schema).parquet(where)
+    found = stream.withWatermark("ts", "1 hour").groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count("*").alias("n"))
+    out, check = scratch.path(spark, "sessions"), scratch.path(spark, "sessions-state")
+    found = found.select(F.unix_timestamp("w.start").alias("start"), "user_id", "n")
+    found.writeStream.foreachBatch(lambda batch, i: batch.write.mode("overwrite").parquet(f"{out}/batch={i}")).option("checkpointLocation", check).outputMode("complete").trigger(availableNow=True).start().awaitTermination()
+    last = spark.read.parquet(out)
+    return last.join(last.agg(F.max("batch").alias("batch")), "batch").select("start", "user_id", "n")
 
 
 def events_stream_insert(spark, d):
-    """Events after the first tenth arrive as a stream of inserts."""
-    rows = event_vectors(spark, d)
-    first = rows.where("vec_id % 10 = 0")
-    start = scratch.save(cluster.partition(first.select("vec_id", "vec"), 0.1, cells=1), "start")
+    """Events after the first tenth arrive as a stream of inserts into an index: what is missing, left over or out of order afterwards."""
+    rows = scratch.save(event_vectors(spark, d), "events")
+    start = build_index(rows.where("vec_id % 10 = 0"), RootBudget(vectors=1), density=0.1, levels=2)
     where = scratch.path(spark, "arriving")
-    rows.where("vec_id % 10 != 0").write.parquet(where)
-    stream = changes_of(spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 4).parquet(where))
-    out = replay(stream, spark, start, scratch.path(spark, "members"), scratch.path(spark, "members-state"))
-    return out.agg(F.countDistinct("vec_id").alias("vectors"), F.countDistinct("pid").alias("partitions"))
+    rows.where("vec_id % 10 != 0").repartition(4).write.parquet(where)
+    stream = changes_of(spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 2).parquet(where), "3650 days")
+    index = replay(stream, start, scratch.path(spark, "versions"), scratch.path(spark, "versions-state"))
+    whole = index.members(0).select("vec_id")
+    missing, extra = rows.select("vec_id").exceptAll(whole).count(), whole.exceptAll(rows.select("vec_id")).count()
+    found = verify_index(index).agg(F.sum("headless").alias("headless"), F.sum("unlisted").alias("unlisted"), F.sum("stale").alias("stale"))
+    return found.select("headless", "unlisted", "stale", F.lit(missing).cast("long").alias("missing"), F.lit(extra).cast("long").alias("extra"))
+
 
+QUERIES = {f.__name__: f for f in (events_windowed_load, late_updates_dropped, event_sessions, events_stream_insert)}
 
-QUERIES = {f.__name__: f for f in (events_windowed_load, late_updates_dropped, events_stream_insert)}
+HOUR = "(epoch(ts)::BIGINT // 3600) * 3600"
+ORACLE = {
+    "events_windowed_load": f"SELECT {HOUR} AS start, event_type, count(*) AS n, round(sum(value), 2) AS total FROM events GROUP BY ALL",
+    "late_updates_dropped": f"SELECT kept, (SELECT count(*) FROM events) - kept AS dropped FROM (SELECT count(*) AS kept FROM events WHERE event_id % 10 <> 3 OR {HOUR} + 3600 > (SELECT max(epoch(ts)) - 7200 FROM events WHERE event_id % 10 <> 3))",
+    "event_sessions": """SELECT min(epoch(ts))::BIGINT AS start, user_id, count(*) AS n FROM (
+  SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS session FROM (
+    SELECT *, (lag(ts) OVER (PARTITION BY user_id ORDER BY ts) IS NULL OR epoch(ts) - epoch(lag(ts) OVER (PARTITION BY user_id ORDER BY ts)) >= 21600)::INT AS fresh FROM events))
+GROUP BY user_id, session""",
+    "events_stream_insert": "SELECT 0::BIGINT AS headless, 0::BIGINT AS unlisted, 0::BIGINT AS stale, 0::BIGINT AS missing, 0::BIGINT AS extra",
+}

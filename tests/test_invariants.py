@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from levelindex import scratch
 from levelindex.functions import distance, sql
 from levelindex.operators import baselines, cluster, exact, graph, granularity, placement, search, updates
-from levelindex.operators.build import LeveledIndex, RootBudget, build_index, plan_levels
+from levelindex.operators.build import LeveledIndex, RootBudget, build_index, plan_levels, verify_index
 from levelindex.plans import cost_model, workloads
 from levelindex.sources import store, tables
 
@@ -216,8 +216,19 @@ def test_plans_push_and_limit_early(spark, sf, index, line):
     base, qs = line
     plan = exact.exact_knn(base, qs, 5)._jdf.queryExecution().toString()
     assert "WindowGroupLimit" in plan and "Partial" in plan
-    few = store.read_partitions(spark, index.path, 0, [1, 2])._jdf.queryExecution().toString()
+    few = store.read_partitions(spark, index.path, 0, index.buckets[0][0], [1, 2])._jdf.queryExecution().toString()
     assert "PushedFilters: [In(pid" in few
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        found = search.search(index, qs, 5, 8, root="exact")._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    lines = found.splitlines()
+    scans = [i for i, x in enumerate(lines) if "Scan parquet" in x and "block" in x]
+    assert len(scans) == index.levels - 1
+    for i in scans:  # nothing between the level's buckets and the join is exchanged
+        above = [x for x in lines[max(0, i - 4) : i] if "Exchange" in x]
+        assert not above, found
     slim = tables.table(spark, sf, "lineitem").where("l_quantity > 49").select("l_orderkey")._jdf.queryExecution().toString()
     assert "ReadSchema: struct<l_orderkey:bigint,l_quantity:double>" in slim and "GreaterThan(l_quantity,49.0)" in slim
 
@@ -252,14 +263,31 @@ def test_stream_of_changes_equals_the_batch(spark, sf):
     from levelindex.streaming.upserts import replay
 
     events = tables.event_vectors(spark, sf).select("vec_id", "vec", "ts")
-    start = scratch.save(cluster.partition(events.where("vec_id % 10 = 0").select("vec_id", "vec"), 0.1, cells=1), "start")
+    start = build_index(events.where("vec_id % 10 = 0"), RootBudget(vectors=1), levels=2)
     changes = events.where("vec_id % 10 != 0").select(F.lit("insert").alias("op"), "vec_id", "vec", "ts")
     changes = changes.unionByName(events.where("vec_id % 20 = 1").select(F.lit("delete").alias("op"), "vec_id", "vec", (F.col("ts") + F.expr("INTERVAL 1 SECOND")).alias("ts")))
     where = scratch.path(spark, "changes")
     changes.coalesce(1).write.parquet(where)
     stream = spark.readStream.schema(changes.schema).parquet(where)
-    out = replay(stream, spark, start, scratch.path(spark, "m"), scratch.path(spark, "c"))
-    latest = updates.last_change(changes)
-    batch = updates.delete(updates.insert(start, latest.where("op = 'insert'").select("vec_id", "vec")), latest.where("op = 'delete'"))
-    assert rows(out.select("pid", "vec_id")) == rows(batch.select("pid", "vec_id"))
-    assert out.where("vec_id % 20 = 1").isEmpty()
+    out = replay(stream, start, scratch.path(spark, "m"), scratch.path(spark, "c"))
+    want = events.where("vec_id % 20 != 1").select("vec_id")
+    assert rows(out.members(0).select("vec_id")) == rows(want)
+    assert all(r.headless == r.unlisted == r.stale == 0 for r in verify_index(out).collect())
+    assert len(out.versions) == 2 and LeveledIndex.load(spark, out.path).counts == out.counts
+    assert start.counts[0] == start.members(0).count()  # the version before stays readable
+
+
+def test_cells_stay_bounded(spark):
+    same = spark.range(900).select(F.lit("a").alias("cell"), F.col("id").alias("vec_id"), F.array(F.lit(1.0), F.lit(2.0)).alias("vec"))
+    mixed = spark.range(2000).select(F.lit("b").alias("cell"), F.col("id").alias("vec_id"), F.array((F.col("id") % 100).cast("double"), F.lit(2.0)).alias("vec"))
+    out = cluster.bounded_cells(same.unionByName(mixed), most=150)
+    assert out.count() == 2900 and out.groupBy("cell").count().agg(F.max("count")).first()[0] <= 150
+
+
+def test_vectors_of_every_width(spark, sf):
+    base, qs = tables.split_queries(tables.embeddings(spark, sf, "uint8"))
+    found = []
+    for width in ("u1", "f4", "f8"):
+        index = build_index(base, RootBudget(vectors=1), algorithm="stride", levels=2, width=width)
+        found.append(rows(search.search(index, qs, 5, 8, root="exact").select("qid", "rank", "vec_id", "dist")))
+    assert found[0] == found[1] == found[2]

@@ -6,8 +6,6 @@ import pytest
 from levelindex.plans import registry
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"auto_density_build", "density_profile_graph"}
-
 
 @pytest.fixture(scope="module")
 def con(sf):
@@ -34,8 +32,6 @@ def test_same_rows(spark, sf, con, name):
     assert ours == theirs
 
 
-@pytest.mark.parametrize("name", sorted(set(registry.queries()) - set(registry.oracle_sql()) - SLOW))
+@pytest.mark.parametrize("name", sorted(set(registry.queries()) - set(registry.oracle_sql())))
 def test_runs(spark, sf, name):
-    if name.startswith("w") and name[1:3].isdigit():
-        pytest.skip("workloads run in bench and in the driver's check")
     assert registry.queries()[name](spark, sf).count() >= 0
