@@ -1,7 +1,9 @@
 """The experiments, re-expressed on the given tables: which method wins and how each measure moves.
 
-Recall, reads, partitions, rounds, bytes, hops and imbalance are measured; queries per second and
-latencies come from the cost model, with its assumed hardware.
+Every workload takes whole tables.  Queries are the rows whose key has a stated remainder.  Recall,
+reads, partitions, rounds, bytes, hops, node loads and imbalance are measured.  Latencies are the
+measured probe logs under the cost model's assumed hardware: a round lasts as long as the busiest
+node needs for the query's partitions.
 """
 
 from __future__ import annotations
@@ -18,18 +20,16 @@ from levelindex.sources import tables
 HW = cost_model.Hardware()
 
 
-def line_set(spark: SparkSession, d: str, keep: int = 8, of: int = 40) -> tuple[DataFrame, DataFrame]:
-    """A slice of the lineitem vectors by order, with hold-out queries."""
-    rows = scratch.save(tables.line_features(spark, d).where(F.pmod("l_orderkey", F.lit(of)) < keep).select("vec_id", "vec"), "line")
-    base, qs = tables.split_queries(rows, 100, 7)
-    return base, qs.orderBy("qid").limit(100)
+def line_set(spark: SparkSession, d: str, part: float = 1.0) -> tuple[DataFrame, DataFrame]:
+    """The lineitem vectors; queries leave 7 modulo 500. `part` is for growth curves only: the share of hashes kept."""
+    rows = tables.line_features(spark, d).select("vec_id", "vec")
+    rows = rows if part >= 1 else rows.where((F.col("vec_id") % 500 == 7) | (F.pmod(F.xxhash64("vec_id"), F.lit(1000)) < round(1000 * part)))
+    return tables.split_queries(scratch.save(rows, "line"), 500, 7)
 
 
 def document_set(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     """The skewed set: documents with their copies."""
-    rows = scratch.save(tables.normalised(tables.document_vectors(spark, d, 64)).select("vec_id", "vec"), "docs")
-    base, qs = tables.split_queries(rows, 20, 7)
-    return base, qs.orderBy("qid").limit(100)
+    return tables.split_queries(scratch.save(tables.normalised(tables.document_vectors(spark, d, 64)).select("vec_id", "vec"), "docs"), 20, 7)
 
 
 def embedding_set(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
@@ -72,7 +72,7 @@ def smallest_budget(index: LeveledIndex, qs: DataFrame, truth: DataFrame, k: int
 def w01_sharded_hops(spark, d):
     """Steps and cross-node steps of one graph over five nodes, at two recalls."""
     out = []
-    for name, (base, qs) in (("embeddings", embedding_set(spark, d)), ("lineitem", line_set(spark, d, 2))):
+    for name, (base, qs) in (("embeddings", embedding_set(spark, d)), ("documents", document_set(spark, d))):
         truth = truth_of(base, qs, 5)
         g = graph.build_graph(base)
         place = scratch.save(placement.place_locality(base.select(F.col("vec_id").alias("pid"), "vec"), 5), "nodes")
@@ -101,61 +101,96 @@ def w02_misrouting(spark, d):
 
 def w03_density_sweep(spark, d):
     """Reads and cross-node steps against density at recall 0.9: flat, then steep."""
-    base, qs = line_set(spark, d, 4)
-    return granularity.density_profile(base, qs, (1.0, 0.5, 0.2, 0.1, 0.05, 0.02, 0.01), nodes=5)
+    base, qs = document_set(spark, d)
+    return granularity.density_profile(base, qs, (1.0, 0.5, 0.2, 0.1, 0.05, 0.02, 0.01, 0.001), nodes=5)
 
 
-def w04_scale_comparison(spark, d, ms=64):
-    """The leveled index against random and k-means shards, five, ten and forty-six nodes, at growing size."""
-    out = []
-    for nodes, keep in ((5, 2), (10, 4), (46, 16)):
-        base, qs = line_set(spark, d, keep)
+def busiest(log: DataFrame, sizes: DataFrame, place: DataFrame, asked: int) -> tuple[float, float]:
+    """Vectors that the busiest node reads for one query, and the share of queries that touch the most asked node."""
+    load = scratch.save(placement.node_load(log.select("qid", "pid"), place, sizes), "load")
+    return float(load.agg(F.max("vectors")).first()[0]) / asked, float(load.agg(F.max("queries")).first()[0]) / asked
+
+
+def w04_scale_comparison(spark, d, most=64):
+    """The leveled index against random and k-means shards with an index inside each shard, at growing size and node count, recall at least 0.9.
+
+    The busiest node's reads bound the rate; `scaling` is a method's rate against its own at five nodes.
+    """
+    out, first = [], {}
+    for nodes, part in ((5, 0.125), (10, 0.25), (46, 1.0)):
+        base, qs = line_set(spark, d, part)
         n, asked = base.count(), qs.count()
         truth = truth_of(base, qs, 5)
-        index = build_index(base, RootBudget(vectors=max(20, n // 100)))
-        m, got, read = smallest_budget(index, qs, truth, 5, 0.9, ms)
+        rows = {}
+        index = build_index(base, RootBudget(vectors=1), density=0.1, levels=3)
+        m, got, _ = smallest_budget(index, qs, truth, 5, 0.9, most)
         _, log = search.descend(index, qs, 5, m, root="exact")
-        probes = scratch.save(log[-1].select("qid", "pid"), "probes")
-        place = placement.place_hash(probes.select("pid").distinct(), nodes)
-        rows = {"leveled": (got, read, placement.hottest_share(probes, place).first()[0], index.levels - 1)}
-        # what one shard of an even split reads, through an index of its own
-        one = scratch.save(baselines.random_shards(base, nodes).where("shard = 0").select("vec_id", "vec"), "shard")
-        inside = build_index(one, RootBudget(vectors=max(20, n // 100)))
-        _, _, shard_reads = smallest_budget(inside, qs, truth_of(one, qs, 5), 5, 0.9, ms)
-        rows["random_shards"] = (1.0, shard_reads * nodes, 1.0, 1)
-        placed = baselines.kmeans_shards(base, nodes)
-        p = 1
-        while True:
-            found, routed = baselines.probe_shards(placed, qs, 5, p)
-            share = recall_of(found, truth)
-            if share >= 0.9 or p >= nodes:
-                break
-            p += 1
-        touched = [0] * nodes
-        for shards in routed.values():
-            for s in shards:
-                touched[s] += 1
-        rows["kmeans_shards"] = (share, shard_reads * p, max(touched) / asked, 1)
-        best = nodes / rows["leveled"][1]
-        for method, (r, reads, hottest, rounds) in rows.items():
-            # the busiest node bounds the rate: a node serves 1 / (its share of reads) queries
-            rate = nodes / reads if method == "leveled" else 1 / (shard_reads * hottest)
-            out.append({"method": method, "vectors": n, "nodes": nodes, "recall": r, "reads": float(reads), "hottest_share": float(hottest), "shards_or_budget": p if method == "kmeans_shards" else (nodes if method == "random_shards" else m), "rounds": rounds, "leveled_gain": float(best / rate)})
+        probes = scratch.save(log[-1], "probes")
+        sizes = index.packed(0).select("pid", "n")
+        load, hottest = busiest(probes, sizes, placement.place_hash(sizes.select("pid"), nodes), asked)
+        rows["leveled"] = (got, m, nodes, load, hottest, probes.join(sizes, "pid").agg(F.sum("n")).first()[0] / asked)
+        spread = {"random_shards": (baselines.random_shards(base, nodes), None), "kmeans_shards": (None, baselines.kmeans_shards(base, nodes))}
+        for name, (rows_of, placed) in spread.items():
+            members = scratch.save(baselines.indexed_shards(rows_of if placed is None else placed[0], 0.1), "shards")
+            p = nodes if placed is None else 1
+            while True:
+                chosen = None if placed is None else baselines.chosen_shards(placed, qs, p)
+                m = 4
+                while True:
+                    found, log = baselines.indexed_search(members, qs, 5, m, chosen)
+                    got = recall_of(scratch.save(found, "found"), truth)
+                    if got >= 0.9 or m >= most:
+                        break
+                    m *= 4
+                if got >= 0.9 or p >= nodes:
+                    break
+                p += 1
+            log, sizes = scratch.save(log, "probes"), members.groupBy("pid").agg(F.count("*").alias("n"))
+            home = members.select("pid", F.col("shard").alias("node")).distinct()
+            load, hottest = busiest(log, sizes, home, asked)
+            rows[name] = (got, m, p, load, hottest, log.join(sizes, "pid").agg(F.sum("n")).first()[0] / asked)
+        for method, (recall, m, shards, load, hottest, reads) in rows.items():
+            first.setdefault(method, load)
+            out.append({"method": method, "vectors": n, "nodes": nodes, "recall": recall, "budget": m, "shards": shards, "reads": float(reads), "busiest_reads": load, "hottest_share": hottest, "touched": shards / nodes if method != "leveled" else hottest, "leveled_gain": load / rows["leveled"][3], "scaling": first[method] / load})
     return frame(spark, out)
 
 
+def modelled(index: LeveledIndex, qs: DataFrame, m: int, nodes: int, k: int = 5) -> DataFrame:
+    """Per query the microseconds of network, reading and computing: each round waits for the node with most of the query's partitions."""
+    _, log = search.descend(index, qs, k, m, root="exact")
+    out = None
+    for probes in log:
+        level = int(probes.select("level").first()["level"])
+        sizes = index.packed(level).select("pid", "n")
+        per = probes.join(sizes, "pid").groupBy("qid", F.pmod(F.xxhash64("pid"), F.lit(nodes)).alias("node")).agg(F.count("*").alias("p"), F.sum("n").alias("n"))
+        part = per.groupBy("qid").agg((F.max("p") * HW.io_us).alias("disk_us"), (F.max("n") * 1e6 / HW.distances_per_core_s).alias("compute_us"), F.lit(HW.rtt_us).alias("network_us"))
+        out = part if out is None else out.unionByName(part)
+    return out.groupBy("qid").agg(*[F.sum(c).alias(c) for c in ("network_us", "disk_us", "compute_us")]).withColumn("latency_us", F.col("network_us") + F.col("disk_us") + F.col("compute_us") + HW.rtt_us)
+
+
 def w05_latency_at_peak(spark, d):
-    """Modelled mean and tail latency by node count and level count."""
-    grid = spark.createDataFrame([(s, n, 4_000_000_000, 10, 256, b) for s, n in ((10**9, 5), (2 * 10**9, 10), (8 * 10**9, 46)) for b in (10, 12)], "vectors long, nodes long, budget_bytes long, per_hundred int, m int, beta_tenths int")
-    out = cost_model.simulate(grid)
-    return out.select("vectors", "nodes", "beta_tenths", "levels", F.col("latency_us").alias("mean_us"), F.round(F.col("latency_us") * 1.28, 1).alias("p90_us"), F.round(F.col("latency_us") * 1.9, 1).alias("p99_us"), "qps")
+    """Mean and tail latency of the measured probes by number of nodes and of levels."""
+    base, qs = line_set(spark, d)
+    out = None
+    for levels in (3, 4):
+        index = build_index(base, RootBudget(vectors=1), density=0.1, levels=levels)
+        for nodes in (5, 10, 46):
+            per = modelled(index, qs, 64, nodes)
+            part = per.agg(F.avg("latency_us").alias("mean_us"), *[F.percentile("latency_us", q).alias(n) for n, q in (("p50_us", 0.5), ("p90_us", 0.9), ("p99_us", 0.99))])
+            part = part.select(F.lit(levels).alias("levels"), F.lit(nodes).alias("nodes"), "*")
+            out = part if out is None else out.unionByName(part)
+    return out
 
 
 def w06_latency_breakdown(spark, d):
-    """Rounds, waits for reads and computing by number of levels."""
-    below = F.col("levels") - 1
-    parts = {"network_us": (below + 1) * HW.rtt_us, "disk_us": below * F.ceil(F.lit(256 / 5)) * HW.io_us, "compute_us": F.round(below * 2560 * 1e6 / HW.distances_per_core_s, 1)}
-    return spark.range(2, 7).select(F.col("id").alias("levels")).select("levels", *[c.alias(n) for n, c in parts.items()])
+    """Rounds, waits for reads and computing by number of levels, over the measured probes."""
+    base, qs = line_set(spark, d)
+    out = None
+    for levels in (2, 3, 4):
+        index = build_index(base, RootBudget(vectors=1), density=0.1, levels=levels)
+        part = modelled(index, qs, 64, 5).agg(*[F.avg(c).alias(c) for c in ("network_us", "disk_us", "compute_us", "latency_us")]).withColumn("levels", F.lit(levels))
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 def w07_extreme_scale(spark, d):
@@ -163,17 +198,21 @@ def w07_extreme_scale(spark, d):
 
 
 def w08_granularity_everywhere(spark, d):
-    """Reads at three densities for each set, and for the centroids of a set."""
-    sets = {"documents": document_set(spark, d), "embeddings": embedding_set(spark, d), "lineitem": line_set(spark, d, 2)}
-    pages = scratch.save(tables.normalised(tables.page_vectors(spark, d)), "pages")
-    turns = scratch.save(tables.normalised(tables.turn_vectors(spark, d)), "turns")
-    sets |= {"pages": tables.split_queries(pages, 20, 7), "conversations": tables.split_queries(turns, 20, 7)}
-    base, qs = sets["lineitem"]
-    members = scratch.save(cluster.partition(base, 0.1), "members")
-    sets["lineitem_level_1"] = (members.where("pid = vec_id").select("vec_id", "vec"), qs)
+    """Reads by density for each set and metric, for the centroids of two levels, and for samples of one set."""
+    line = line_set(spark, d)
+    sets = {"lineitem": (*line, "l2sq"), "embeddings": (*embedding_set(spark, d), "l2sq")}
+    for name, rows, metric in (("documents", tables.document_vectors(spark, d, 64), "cosine"), ("pages", tables.page_vectors(spark, d), "cosine"), ("conversations", tables.turn_vectors(spark, d), "l2sq"), ("embeddings_ip", tables.normalised(tables.embeddings(spark, d)), "ip")):
+        vs = scratch.save((rows if metric == "ip" else tables.normalised(rows)).select("vec_id", "vec"), name)
+        sets[name] = (*tables.split_queries(vs, 20, 7), metric)
+    index = build_index(line[0], RootBudget(vectors=1), density=0.1, levels=3)
+    sets["lineitem_level_1"] = (index.members(1).select("vec_id", "vec"), line[1], "l2sq")
+    sets["lineitem_level_2"] = (index.root(), line[1], "l2sq")
+    base, qs, _ = sets["documents"]
+    for share in (10, 30):
+        sets[f"documents_{share}_percent"] = (base.where(F.pmod(F.xxhash64("vec_id"), F.lit(100)) < share), qs, "cosine")
     out = None
-    for name, (b, q) in sets.items():
-        part = granularity.density_profile(b.select("vec_id", "vec"), q, (1.0, 0.1, 0.02)).withColumn("set", F.lit(name))
+    for name, (b, q, metric) in sets.items():
+        part = granularity.density_profile(b.select("vec_id", "vec"), q, (0.5, 0.1, 0.02), metric=metric).withColumn("set", F.lit(name)).withColumn("metric", F.lit(metric))
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -192,28 +231,44 @@ def w09_density_combinations(spark, d):
     return frame(spark, out)
 
 
-def w10_hierarchy_variants(spark, d, ks=(1, 10), targets=(0.9, 0.95)):
+def recall_curve(answers, truth: DataFrame, ks, target: float, most: int) -> list[tuple[int, float, dict]]:
+    """(m, reads, recall by k) for growing budgets until every k has the target; one search a budget serves all k."""
+    out, m = [], 4
+    total = {k: truth.where(F.col("rank") <= k).count() for k in ks}
+    while True:
+        found, reads = answers(m)
+        both = scratch.save(found.select("qid", "vec_id", F.col("rank").alias("place")).join(truth.select("qid", "vec_id", "rank"), ["qid", "vec_id"]), "hits")
+        hits = both.agg(*[F.sum(((F.col("place") <= k) & (F.col("rank") <= k)).cast("long")).alias(f"k{k}") for k in ks]).first()
+        recall = {k: (hits[f"k{k}"] or 0) / max(total[k], 1) for k in ks}
+        out.append((m, reads, recall))
+        if min(recall.values()) >= target or m >= most:
+            return out
+        m *= 4
+
+
+def w10_hierarchy_variants(spark, d, ks=(1, 5, 10, 50, 100), targets=(0.9, 0.95), most=256):
     """Ours, two levels, an extra level and the top-down tree at the same root size, on a plain and a skewed set."""
     out = []
     for name, (base, qs) in (("lineitem", line_set(spark, d)), ("documents", document_set(spark, d))):
-        n = base.count()
-        budget = RootBudget(vectors=max(12, round(n * 0.0125)))
-        built = {v: build_index(base, budget, density=s) for v, s in (("leveled", [0.1, 0.1]), ("two_level", [0.01]), ("extra_level", [0.5, 0.2, 0.1]))}
-        tree = baselines.topdown_tree(base, max(20, n // 100))
+        n, asked = base.count(), qs.count()
+        truth = truth_of(base, qs, max(ks))
+        curves = {}
+        for v, shares in (("leveled", [0.1, 0.1]), ("two_level", [0.01]), ("extra_level", [0.5, 0.2, 0.1])):
+            index = build_index(base, RootBudget(vectors=1), density=shares, levels=len(shares) + 1)
+
+            def answers(m, index=index):
+                found, _, read = reads_of(index, qs, max(ks), m)
+                return found, read
+
+            curves[v] = (recall_curve(answers, truth, ks, max(targets), most), index.levels - 1)
+        tree = scratch.save(baselines.topdown_tree(base, max(20, n // 100)), "tree")
         leaves = tree.groupBy("leaf").count().agg(F.count("*").alias("n"), F.avg("count").alias("size")).first()
-        for k in ks:
-            truth = truth_of(base, qs, k)
-            for target in targets:
-                for v, index in built.items():
-                    m, got, read = smallest_budget(index, qs, truth, k, target, 128)
-                    out.append({"variant": v, "set": name, "k": k, "target": target, "m": m, "recall": got, "reads": read, "rounds": index.levels - 1})
-                m = 2
-                while True:
-                    got = recall_of(baselines.tree_search(tree, qs, k, m), truth)
-                    if got >= target or m >= leaves["n"]:
-                        break
-                    m *= 2
-                out.append({"variant": "top_down", "set": name, "k": k, "target": target, "m": min(m, leaves["n"]), "recall": got, "reads": float(min(m, leaves["n"]) * leaves["size"] + leaves["n"]), "rounds": 1})
+        curves["top_down"] = (recall_curve(lambda m: (baselines.tree_search(tree, qs, max(ks), m), float(min(m, leaves["n"]) * leaves["size"] + leaves["n"])), truth, ks, max(targets), min(most, leaves["n"])), 1)
+        for v, (curve, rounds) in curves.items():
+            for k in ks:
+                for target in targets:
+                    m, read, recall = next((c for c in curve if c[2][k] >= target), curve[-1])
+                    out.append({"variant": v, "set": name, "queries": asked, "k": k, "target": target, "m": m, "recall": recall[k], "reads": float(read), "rounds": rounds})
     return frame(spark, out)
 
 
@@ -221,8 +276,8 @@ def w11_level_costs(spark, d):
     """Accuracy of each level at one budget: upper levels find more of their exact neighbours."""
     base, qs = line_set(spark, d)
     out = None
-    for levels in (2, 3, 4):
-        index = build_index(base, RootBudget(vectors=max(4, base.count() // 10 ** (levels - 1) + 8)))
+    for levels in (2, 3, 4, 5):
+        index = build_index(base, RootBudget(vectors=1), density=0.1, levels=levels)
         part = search.level_accuracy(index, qs, 16, 5, root="exact").withColumn("levels", F.lit(index.levels))
         out = part if out is None else out.unionByName(part)
     return out
@@ -232,22 +287,23 @@ def w12_footprint(spark, d):
     """Vectors by level and the root's share, for two to four levels."""
     base, _ = line_set(spark, d)
     out = None
-    for levels in (2, 3, 4):
-        index = build_index(base, RootBudget(vectors=max(4, base.count() // 10 ** (levels - 1) + 8)))
+    for levels in (2, 3, 4, 5):
+        index = build_index(base, RootBudget(vectors=1), density=0.1, levels=levels)
         part = footprint(index).withColumn("levels", F.lit(index.levels))
         out = part if out is None else out.unionByName(part)
     return out
 
 
 def w13_memory_budgets(spark, d):
-    """Smaller roots, more levels, one fixed budget of probes: recall falls little, a round is added each time."""
+    """Four root budgets, each a tenth of the one before, one fixed budget of probes: recall falls little, a round is added each time."""
     base, qs = line_set(spark, d)
     truth = truth_of(base, qs, 10)
-    n, out = base.count(), []
-    for part in (10, 100, 1000):
-        index = build_index(base, RootBudget(vectors=max(3, n // part + 8)))
+    out = []
+    for levels in (2, 3, 4, 5):
+        index = build_index(base, RootBudget(vectors=1), density=0.1, levels=levels)
         found, _, read = reads_of(index, qs, 10, 32)
-        out.append({"root_vectors": index.counts[-1], "levels": index.levels, "recall": recall_of(found, truth), "reads": read, "rounds": index.levels - 1, "latency_us": float(HW.rtt_us + (index.levels - 1) * (HW.rtt_us + -(-32 // 5) * HW.io_us))})
+        latency = modelled(index, qs, 32, 5, 10).agg(F.avg("latency_us")).first()[0]
+        out.append({"root_vectors": index.counts[-1], "levels": index.levels, "recall": recall_of(found, truth), "reads": read, "rounds": index.levels - 1, "latency_us": float(latency)})
     return frame(spark, out)
 
 
@@ -286,39 +342,31 @@ def w15_placement(spark, d, nodes=5):
 def w16_touch_share(spark, d):
     """Share of shards a query touches and the hottest shard's share, from the scale comparison."""
     rows = scratch.save(w04_scale_comparison(spark, d), "scale")
-    share = F.when(F.col("method") == "leveled", F.col("hottest_share")).otherwise(F.col("shards_or_budget") / F.col("nodes"))
-    return rows.select("method", "nodes", F.round(share, 4).alias("touched"), "hottest_share")
+    return rows.select("method", "nodes", F.round("touched", 4).alias("touched"), "hottest_share")
 
 
 def w17_update_replay(spark, d):
-    """Events inserted in order of time, splits and merges, a user's rows deleted; recall after each step."""
-    rows = scratch.save(tables.event_vectors(spark, d).where("vec_id % 5 = 0").select("vec_id", "vec", "ts", "user_id"), "events")
-    qs = rows.where("vec_id % 100 = 5").select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec")).limit(50)
-    cut = rows.approxQuantile("vec_id", [0.5, 0.75], 0.0)
-    live = rows.where(F.col("vec_id") <= cut[0])
-    members = scratch.save(cluster.partition(live.select("vec_id", "vec"), 0.1), "members")
+    """Events inserted in order of time into an index that splits and merges as it goes, then a user group's rows deleted; recall after each step."""
+    rows = scratch.save(tables.event_vectors(spark, d).select("vec_id", "vec", "user_id"), "events")
+    qs = rows.where("vec_id % 100 = 5").select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"))
+    half, rest = rows.approxQuantile("vec_id", [0.5, 0.75], 0.0)
+    live = rows.where(F.col("vec_id") <= half)
+    index = build_index(live, RootBudget(vectors=1), density=0.1, levels=3)
     out = []
 
-    def note(step: str, members: DataFrame, live: DataFrame) -> None:
-        truth = truth_of(live.select("vec_id", "vec"), qs, 5)
-        sizes = members.groupBy("pid").count().agg(F.count("*").alias("p"), F.max("count").alias("most")).first()
-        out.append({"step": step, "vectors": members.select("vec_id").distinct().count(), "partitions": sizes["p"], "largest": sizes["most"], "recall": recall_of(updates.partition_search(members, qs, 5, 16), truth)})
+    def note(step: str) -> None:
+        sizes = index.packed(0).agg(F.count("*").alias("p"), F.max("n").alias("most"), F.sum("n").alias("n")).first()
+        got = recall_of(search.search(index, qs, 5, 32, root="exact"), truth_of(live.select("vec_id", "vec"), qs, 5))
+        out.append({"step": step, "vectors": sizes["n"], "partitions": sizes["p"], "largest": sizes["most"], "root": index.counts[-1], "recall": got})
 
-    note("start", members, live)
-    for name, low, high in (("insert_1", cut[0], cut[1]), ("insert_2", cut[1], float("inf"))):
+    note("start")
+    for name, low, high in (("insert_1", half, rest), ("insert_2", rest, float("inf"))):
         new = rows.where((F.col("vec_id") > low) & (F.col("vec_id") <= high))
-        members = scratch.save(updates.insert(members, new.select("vec_id", "vec")), "members")
-        live = live.unionByName(new)
-        note(name, members, live)
-        members = scratch.save(updates.split_oversize(members, 20), "members")
-        members = scratch.save(updates.merge_undersize(members, 3), "members")
-        note(f"{name}_maintained", members, live)
-    dead = live.where("user_id % 10 = 3 and vec_id % 100 != 5")
-    live = live.join(dead.select("vec_id"), "vec_id", "left_anti")
-    after = scratch.save(updates.delete(members.where("pid != vec_id"), dead).select("pid", "vec_id", "vec").unionByName(members.where("pid = vec_id").select("pid", "vec_id", "vec")), "members")
-    hidden = updates.delete(updates.partition_search(after, qs, 50, 16), dead)
-    truth = truth_of(live.select("vec_id", "vec"), qs, 5)
-    out.append({"step": "delete", "vectors": live.count(), "partitions": after.select("pid").distinct().count(), "largest": 0, "recall": recall_of(exact.rank(hidden.select("qid", "vec_id", "dist"), 5), truth)})
+        index, live = updates.maintain(index, new.select("vec_id", "vec")), live.unionByName(new)
+        note(name)
+    dead = "user_id % 10 = 3 and vec_id % 100 != 5"
+    index, live = updates.maintain(index, gone=live.where(dead).select("vec_id")), live.where(f"not ({dead})")
+    note("delete")
     return frame(spark, out)
 
 

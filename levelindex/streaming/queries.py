@@ -10,6 +10,9 @@ from levelindex.sources.tables import event_vectors, table
 from levelindex.streaming.upserts import changes_of, replay, run_to_table, windowed_load
 
 
+STAMP = "yyyy-MM-dd HH:mm:ss"
+
+
 def folder(spark, d: str, name: str) -> str:
     """A table copied to a folder, which is what a file stream reads."""
     where = scratch.path(spark, name)
@@ -19,8 +22,8 @@ def folder(spark, d: str, name: str) -> str:
 
 
 def loads(stream, watermark: str = "2 hours"):
-    """One row for each window and type, in whole seconds."""
-    return windowed_load(stream, watermark=watermark).select(F.unix_timestamp("w.start").alias("start"), "event_type", "n", F.round("total", 2).alias("total"))
+    """One row for each window and type."""
+    return windowed_load(stream, watermark=watermark).select(F.date_format("w.start", STAMP).alias("start"), "event_type", "n", F.round("total", 2).alias("total"))
 
 
 def events_windowed_load(spark, d):
@@ -30,12 +33,12 @@ def events_windowed_load(spark, d):
 
 
 def late_updates_dropped(spark, d):
-    """Nine tenths of the events come first, the rest later: of these the ones whose window the watermark has closed are dropped."""
+    """Events in three batches: the third meets the watermark that the first one set, so its rows in closed windows are dropped."""
     rows = table(spark, d, "events")
     rows = rows.withColumn("ts", rows.ts.cast("timestamp"))
     where = scratch.path(spark, "late")
-    for i, part in enumerate((rows.where("event_id % 10 != 3"), rows.where("event_id % 10 = 3"))):
-        part.coalesce(1).write.parquet(f"{where}/part{i}")
+    for i, part in enumerate(("event_id % 10 != 3", "event_id % 20 = 3", "event_id % 20 = 13")):
+        rows.where(part).coalesce(1).write.parquet(f"{where}/part{i}")
     stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(f"{where}/*")
     kept = run_to_table(loads(stream), ["start", "event_type"]).agg(F.sum("n").alias("kept"))
     return kept.select("kept", (F.lit(rows.count()) - F.col("kept")).alias("dropped"))
@@ -47,7 +50,7 @@ def event_sessions(spark, d):
     stream = spark.readStream.schema(spark.read.parquet(where).schema).parquet(where)
     found = stream.withWatermark("ts", "1 hour").groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count("*").alias("n"))
     out, check = scratch.path(spark, "sessions"), scratch.path(spark, "sessions-state")
-    found = found.select(F.unix_timestamp("w.start").alias("start"), "user_id", "n")
+    found = found.select(F.date_format("w.start", STAMP).alias("start"), "user_id", "n")
     found.writeStream.foreachBatch(lambda batch, i: batch.write.mode("overwrite").parquet(f"{out}/batch={i}")).option("checkpointLocation", check).outputMode("complete").trigger(availableNow=True).start().awaitTermination()
     last = spark.read.parquet(out)
     return last.join(last.agg(F.max("batch").alias("batch")), "batch").select("start", "user_id", "n")
@@ -69,13 +72,13 @@ def events_stream_insert(spark, d):
 
 QUERIES = {f.__name__: f for f in (events_windowed_load, late_updates_dropped, event_sessions, events_stream_insert)}
 
-HOUR = "(epoch(ts)::BIGINT // 3600) * 3600"
+WALL = "'%Y-%m-%d %H:%M:%S'"
 ORACLE = {
-    "events_windowed_load": f"SELECT {HOUR} AS start, event_type, count(*) AS n, round(sum(value), 2) AS total FROM events GROUP BY ALL",
-    "late_updates_dropped": f"SELECT kept, (SELECT count(*) FROM events) - kept AS dropped FROM (SELECT count(*) AS kept FROM events WHERE event_id % 10 <> 3 OR {HOUR} + 3600 > (SELECT max(epoch(ts)) - 7200 FROM events WHERE event_id % 10 <> 3))",
-    "event_sessions": """SELECT min(epoch(ts))::BIGINT AS start, user_id, count(*) AS n FROM (
+    "events_windowed_load": f"SELECT strftime(date_trunc('hour', ts), {WALL}) AS start, event_type, count(*) AS n, round(sum(value), 2) AS total FROM events GROUP BY 1, 2",
+    "late_updates_dropped": "SELECT kept, (SELECT count(*) FROM events) - kept AS dropped FROM (SELECT count(*) AS kept FROM events WHERE event_id % 20 <> 13 OR date_trunc('hour', ts) + INTERVAL 1 HOUR > (SELECT max(ts) - INTERVAL 2 HOUR FROM events WHERE event_id % 10 <> 3))",
+    "event_sessions": f"""SELECT strftime(min(ts), {WALL}) AS start, user_id, count(*) AS n FROM (
   SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS session FROM (
-    SELECT *, (lag(ts) OVER (PARTITION BY user_id ORDER BY ts) IS NULL OR epoch(ts) - epoch(lag(ts) OVER (PARTITION BY user_id ORDER BY ts)) >= 21600)::INT AS fresh FROM events))
+    SELECT *, coalesce((ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) >= INTERVAL 6 HOUR)::INT, 1) AS fresh FROM events))
 GROUP BY user_id, session""",
     "events_stream_insert": "SELECT 0::BIGINT AS headless, 0::BIGINT AS unlisted, 0::BIGINT AS stale, 0::BIGINT AS missing, 0::BIGINT AS extra",
 }
