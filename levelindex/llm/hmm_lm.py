@@ -48,7 +48,7 @@ class HmmSettings:
     warm_documents: int = 2000
     warm_rounds: int = 12
     rounds: int = 3
-    train_run: int = 512
+    train_run: int = 2048
     smoothing: float = 1000.0
     seed: int = 7
 
