@@ -180,6 +180,7 @@ SELECT node::BIGINT AS node, count(*) AS probes FROM r WHERE n = 1 GROUP BY node
     planned = "(SELECT min(n) FROM range(1, 12) t(n) WHERE vectors * pow(0.1::DOUBLE, n - 1) * 100 <= budget)"
     out["level_plan"] = f"SELECT budget, vectors, stated, {planned} AS planned, (stated = {planned})::BIGINT AS match FROM (VALUES {rows}) t(budget, vectors, stated)"
     out["simulate_scale"] = simulate()
+    out["w18_level_table"], out["w07_extreme_scale"] = out["level_plan"], out["simulate_scale"]
     out["storage_by_levels"] = start() + "SELECT n AS levels, i AS level, round((SELECT count(*) FROM base) * pow(0.1::DOUBLE, i), 3) AS vectors FROM range(2, 6) a(n), range(0, 6) b(i) WHERE i < n"
     out["memory_by_levels"] = "SELECT n AS levels, round(pow(0.1::DOUBLE, n - 1), 9) AS root_share FROM range(2, 6) a(n)"
     out["bytes_near_vs_raw"] = probes(32) + ",\ng AS (SELECT unnest([8, 16, 32])::BIGINT AS m), r AS (SELECT m, qid, sum(n)::BIGINT AS n FROM p JOIN sz ON sz.pid = p.vec_id JOIN g ON p.rank <= g.m GROUP BY m, qid)\nSELECT m, sum(12 * least(n, m))::BIGINT AS near_bytes, sum(n * 72)::BIGINT AS raw_bytes FROM r GROUP BY m"

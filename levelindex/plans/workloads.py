@@ -194,7 +194,9 @@ def w06_latency_breakdown(spark, d):
 
 
 def w07_extreme_scale(spark, d):
-    return cost_model.simulate(cost_model.scale_grid(spark))
+    from levelindex.plans.queries import simulate_scale
+
+    return simulate_scale(spark, d)
 
 
 def w08_granularity_everywhere(spark, d):
