@@ -50,6 +50,16 @@ def fast_l2sq(q: np.ndarray, x: np.ndarray) -> np.ndarray:
     return np.maximum((q * q).sum(1)[:, None] - 2 * (q @ x.T) + (x * x).sum(1)[None, :], 0)
 
 
+def nearest_centre(x: np.ndarray, c: np.ndarray, block: int = 2048) -> np.ndarray:
+    """Row of c nearest to each row of x: one product and one minimum a block, since the squares of x decide nothing."""
+    wide = np.concatenate([-2 * c, (c * c).sum(1)[:, None]], axis=1).T.copy()
+    own = np.empty(len(x), np.int64)
+    for at in range(0, len(x), block):
+        part = x[at : at + block]
+        own[at : at + block] = (np.concatenate([part, np.ones((len(part), 1))], axis=1) @ wide).argmin(axis=1)
+    return own
+
+
 def nearest_rows(d: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
     """Per row of d the columns of the k smallest, ties to the smaller id."""
     k = min(k, d.shape[1])

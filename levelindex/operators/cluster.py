@@ -54,7 +54,7 @@ def coarse_kmeans(vs: DataFrame, cells: int, rounds: int = 4, seed: int = 1) ->
             for batch in batches:
                 x = columns_of(batch)
                 if len(x):
-                    own = distance.fast_l2sq(x, c).argmin(axis=1)
+                    own = distance.nearest_centre(x, c)
                     np.add.at(total, own, x)
                     count += np.bincount(own, minlength=len(c))
             at = np.flatnonzero(count)
@@ -98,20 +98,19 @@ def lloyd(x: np.ndarray, ids: np.ndarray, k: int, rounds: int) -> tuple[np.ndarr
     k = max(1, min(k, n))
     pick = np.random.default_rng(n * 31 + k).permutation(n)[:k]
     c = x[np.sort(pick)].copy()
-    nearest = lambda c: np.concatenate([distance.fast_l2sq(x[i : i + 4096], c).argmin(axis=1) for i in range(0, n, 4096)])
     for _ in range(rounds):
-        own = nearest(c)
+        own = distance.nearest_centre(x, c)
         count = np.bincount(own, minlength=len(c))
         total = np.zeros_like(c)
         np.add.at(total, own, x)
         used = count > 0
         c[used] = total[used] / count[used, None]
-    own = nearest(c)
+    own = distance.nearest_centre(x, c)
     d = ((x - c[own]) ** 2).sum(axis=1)
     by = np.lexsort((np.arange(n), d, own))
     first = by[np.concatenate(([True], own[by][1:] != own[by][:-1]))]
     medoid = np.sort(first)
-    own = nearest(x[medoid])
+    own = distance.nearest_centre(x, x[medoid])
     own[medoid] = np.arange(len(medoid))  # a medoid stays in its own partition, equal vectors or not
     back = np.empty(n, np.int64)
     back[order] = own

@@ -31,12 +31,12 @@ def evaluate(vs: DataFrame, qs: DataFrame, truth: DataFrame, share: float, k: in
     graph = build_graph(centres, metric=metric)
     sizes = members.groupBy("pid").agg(F.count("*").alias("n"))
     homes = members.select("vec_id", "pid").dropDuplicates(["vec_id"])
-    asked = qs.count()
-    m, result = max(1, k if share >= 1 else 1), None
-    total = truth.count()
+    want = scratch.save(truth.select("qid", "vec_id").join(homes, "vec_id").select("qid", "pid"), "want")
+    asked, total = qs.count(), truth.count()
+    m = max(k if share >= 1 else 1, first_budget(graph, qs, want, total, k, target))
     while True:
         found = scratch.save(graph_search(graph, qs, m, ef=max(m, k)), "ranked")
-        hit = truth.select("qid", "vec_id").join(homes, "vec_id").join(found.select("qid", F.col("vec_id").alias("pid")), ["qid", "pid"], "left_semi").count()
+        hit = want.join(found.select("qid", F.col("vec_id").alias("pid")), ["qid", "pid"], "left_semi").count()
         recall = hit / max(total, 1)
         if recall >= target or m >= len(graph.ids):
             cost = found.where("rank = 1").agg(F.avg("steps").alias("s"), F.avg("visits").alias("v")).first()
@@ -50,6 +50,23 @@ def evaluate(vs: DataFrame, qs: DataFrame, truth: DataFrame, share: float, k: in
         m = min(len(graph.ids), max(m + 1, math.ceil(m * 1.4)))
 
 
+def first_budget(graph, qs: DataFrame, want: DataFrame, total: int, k: int, target: float) -> int:
+    """Where the search for the least budget starts: the ranks of one wide walk tell what each smaller budget would find at best."""
+    wide = 64
+    while True:
+        wide = min(wide, len(graph.ids))
+        ranked = graph_search(graph, qs, wide, ef=max(wide, k)).select("qid", F.col("vec_id").alias("pid"), "rank")
+        hits = {r["rank"]: r["n"] for r in want.join(ranked, ["qid", "pid"]).groupBy("rank").agg(F.count("*").alias("n")).collect()}  # at most `wide` rows
+        run = 0
+        for place in range(1, wide + 1):
+            run += hits.get(place, 0)
+            if run >= target * total:
+                return place
+        if wide >= len(graph.ids):
+            return max(1, wide)
+        wide *= 4
+
+
 def density_profile(vs: DataFrame, qs: DataFrame, densities=(1.0, 0.5, 0.2, 0.1, 0.05, 0.02, 0.01), k: int = 5, target: float = 0.9, metric: str = "l2sq", nodes: int = 0, algorithm: str = "lloyd") -> DataFrame:
     """One row for each density. The grid is a handful of numbers; each step is a distributed build."""
     truth = scratch.save(exact_blocks(vs, qs, k, metric), "truth")

@@ -7,6 +7,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from levelindex import scratch
 from levelindex.functions import distance
 from levelindex.operators.build import LeveledIndex
 from levelindex.operators.exact import exact_blocks, rank
@@ -98,8 +99,11 @@ def search(index: LeveledIndex, qs: DataFrame, k: int = 10, m=64, mode: str = "n
     return descend(index, qs, k, m, mode, root, where, copies, dead)[0]
 
 
-def descend(index: LeveledIndex, qs: DataFrame, k: int, m, mode: str = "near_data", root: str = "graph", where: Column | None = None, copies: int = 1, dead: DataFrame | None = None, stop: int = 0):
-    """The result, and the probes of each level (qid, pid, level) for the measures; `stop` is the last level that is read."""
+def descend(index: LeveledIndex, qs: DataFrame, k: int, m, mode: str = "near_data", root: str = "graph", where: Column | None = None, copies: int = 1, dead: DataFrame | None = None, stop: int = 0, keep_probes: bool = False):
+    """The result, and the probes of each level (qid, pid, level) for the measures; `stop` is the last level that is read.
+
+    With `keep_probes` each round's probes are written, so that measures read them instead of searching again.
+    """
     below = index.levels - 1
     m = budgets(m, index.levels)
     if below <= stop:
@@ -108,6 +112,7 @@ def descend(index: LeveledIndex, qs: DataFrame, k: int, m, mode: str = "near_dat
     log = []
     for level in range(below - 1, stop - 1, -1):
         probes = found.select("qid", F.col("vec_id").alias("pid"))
+        probes = scratch.save(probes, "probes") if keep_probes else probes
         log.append(probes.withColumn("level", F.lit(level)))
         keep = k if level == stop else m[level]
         found = probe_level(index, probes, qs, level, keep, mode, where if level == 0 else None, copies, dead if level == 0 else None)
@@ -118,11 +123,8 @@ def trace(index: LeveledIndex, log: list[DataFrame], mode: str = "near_data", m:
     """Per query and level: partitions and vectors read, bytes moved. Near the data each partition replies with at most m pairs of id and distance (12 bytes); else whole partitions travel."""
     dim = index.root().select(F.size("vec").alias("d")).first()["d"]
     out = None
-    for probes in log:
-        level = probes.select("level").first()
-        if level is None:
-            continue
-        sizes = index.packed(level["level"]).select("pid", "n")
+    for level, probes in zip(range(index.levels - 2, -1, -1), log):
+        sizes = index.packed(level).select("pid", "n")
         moved = 12 * F.least(F.col("n"), F.lit(m)) if mode == "near_data" else F.col("n") * (WIDTHS[index.width] * dim + 8)
         part = probes.join(sizes, "pid").groupBy("qid", "level").agg(F.count("*").alias("partitions_read"), F.sum("n").alias("vectors_read"), F.sum(moved).alias("bytes"))
         out = part if out is None else out.unionByName(part)

@@ -8,6 +8,9 @@ node needs for the query's partitions.
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+from functools import partial
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,20 +23,32 @@ from levelindex.sources import tables
 HW = cost_model.Hardware()
 
 
+def asked_of(split: tuple[DataFrame, DataFrame]) -> tuple[DataFrame, DataFrame]:
+    """The set with its queries written apart, in as few files as they need."""
+    base, qs = split
+    return base, scratch.save(qs.repartition("qid"), "asked")
+
+
+def side_by_side(steps: list, at_once: int = 4) -> list:
+    """Independent measurements share the cluster: their jobs run side by side, results come in the order of the list."""
+    with ThreadPoolExecutor(at_once) as pool:
+        return list(pool.map(lambda step: step(), steps))
+
+
 def line_set(spark: SparkSession, d: str, part: float = 1.0) -> tuple[DataFrame, DataFrame]:
     """The lineitem vectors; queries leave 7 modulo 500. `part` is for growth curves only: the share of hashes kept."""
     rows = tables.line_features(spark, d).select("vec_id", "vec")
     rows = rows if part >= 1 else rows.where((F.col("vec_id") % 500 == 7) | (F.pmod(F.xxhash64("vec_id"), F.lit(1000)) < round(1000 * part)))
-    return tables.split_queries(scratch.save(rows, "line"), 500, 7)
+    return asked_of(tables.split_queries(scratch.save(rows, "line"), 500, 7))
 
 
 def document_set(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     """The skewed set: documents with their copies."""
-    return tables.split_queries(scratch.save(tables.normalised(tables.document_vectors(spark, d, 64)).select("vec_id", "vec"), "docs"), 20, 7)
+    return asked_of(tables.split_queries(scratch.save(tables.normalised(tables.document_vectors(spark, d, 64)).select("vec_id", "vec"), "docs"), 20, 7))
 
 
 def embedding_set(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
-    base, qs = tables.split_queries(tables.embeddings(spark, d, "uint8"))
+    base, qs = asked_of(tables.split_queries(scratch.save(tables.embeddings(spark, d, "uint8"), "embeddings")))
     return base.select("vec_id", "vec"), qs
 
 
@@ -51,9 +66,9 @@ def truth_of(base: DataFrame, qs: DataFrame, k: int) -> DataFrame:
 
 def reads_of(index: LeveledIndex, qs: DataFrame, k: int, m: int, root: str = "exact") -> tuple[DataFrame, DataFrame, float]:
     """Result, trace and mean vectors read of a query, the root scan included."""
-    found, log = search.descend(index, qs, k, m, root=root)
+    found, log = search.descend(index, qs, k, m, root=root, keep_probes=True)
     found = scratch.save(found, "found")
-    steps = scratch.save(search.trace(index, [scratch.save(p, "probes") for p in log], m=m), "trace") if log else None
+    steps = search.trace(index, log, m=m) if log else None
     asked = max(qs.count(), 1)
     read = index.counts[-1] + ((steps.agg(F.sum("vectors_read")).first()[0] or 0) / asked if steps is not None else 0)
     return found, steps, float(read)
@@ -116,51 +131,43 @@ def w04_scale_comparison(spark, d, most=64):
 
     The busiest node's reads bound the rate; `scaling` is a method's rate against its own at five nodes.
     """
-    out, first = [], {}
-    for nodes, part in ((5, 0.125), (10, 0.25), (46, 1.0)):
+    def of_size(nodes: int, part: float) -> dict:
         base, qs = line_set(spark, d, part)
         n, asked = base.count(), qs.count()
         truth = truth_of(base, qs, 5)
         rows = {}
         index = build_index(base, RootBudget(vectors=1), density=0.1, levels=3)
         m, got, _ = smallest_budget(index, qs, truth, 5, 0.9, most)
-        _, log = search.descend(index, qs, 5, m, root="exact")
-        probes = scratch.save(log[-1], "probes")
+        probes = search.descend(index, qs, 5, m, root="exact", keep_probes=True)[1][-1]
         sizes = index.packed(0).select("pid", "n")
         load, hottest = busiest(probes, sizes, placement.place_hash(sizes.select("pid"), nodes), asked)
         rows["leveled"] = (got, m, nodes, load, hottest, probes.join(sizes, "pid").agg(F.sum("n")).first()[0] / asked)
         spread = {"random_shards": (baselines.random_shards(base, nodes), None), "kmeans_shards": (None, baselines.kmeans_shards(base, nodes))}
         for name, (rows_of, placed) in spread.items():
             members = scratch.save(baselines.indexed_shards(rows_of if placed is None else placed[0], 0.1), "shards")
-            p = nodes if placed is None else 1
-            while True:
-                chosen = None if placed is None else baselines.chosen_shards(placed, qs, p)
-                m = 4
-                while True:
-                    found, log = baselines.indexed_search(members, qs, 5, m, chosen)
-                    got = recall_of(scratch.save(found, "found"), truth)
-                    if got >= 0.9 or m >= most:
-                        break
-                    m *= 4
-                if got >= 0.9 or p >= nodes:
-                    break
-                p += 1
-            log, sizes = scratch.save(log, "probes"), members.groupBy("pid").agg(F.count("*").alias("n"))
+            turns = None if placed is None else scratch.save(baselines.chosen_shards(placed, qs, nodes), "turns")
+            m, p = baselines.least_probes(members, qs, truth, turns, nodes, (4, 16, most), 0.9)
+            found, log = baselines.indexed_search(members, qs, 5, m, None if turns is None else turns.where(F.col("turn") <= p))
+            got = recall_of(found, truth)
+            sizes = members.groupBy("pid").agg(F.count("*").alias("n"))
             home = members.select("pid", F.col("shard").alias("node")).distinct()
             load, hottest = busiest(log, sizes, home, asked)
             rows[name] = (got, m, p, load, hottest, log.join(sizes, "pid").agg(F.sum("n")).first()[0] / asked)
-        for method, (recall, m, shards, load, hottest, reads) in rows.items():
-            first.setdefault(method, load)
-            out.append({"method": method, "vectors": n, "nodes": nodes, "recall": recall, "budget": m, "shards": shards, "reads": float(reads), "busiest_reads": load, "hottest_share": hottest, "touched": shards / nodes if method != "leveled" else hottest, "leveled_gain": load / rows["leveled"][3], "scaling": first[method] / load})
+        return {method: (n, nodes, *row) for method, row in rows.items()}
+
+    measured = side_by_side([partial(of_size, nodes, part) for nodes, part in ((5, 0.125), (10, 0.25), (46, 1.0))])
+    out = []
+    for rows in measured:
+        for method, (n, nodes, recall, m, shards, load, hottest, reads) in rows.items():
+            out.append({"method": method, "vectors": n, "nodes": nodes, "recall": recall, "budget": m, "shards": shards, "reads": float(reads), "busiest_reads": load, "hottest_share": hottest, "touched": shards / nodes if method != "leveled" else hottest, "leveled_gain": load / rows["leveled"][5], "scaling": measured[0][method][5] / load})
     return frame(spark, out)
 
 
 def modelled(index: LeveledIndex, qs: DataFrame, m: int, nodes: int, k: int = 5) -> DataFrame:
     """Per query the microseconds of network, reading and computing: each round waits for the node with most of the query's partitions."""
-    _, log = search.descend(index, qs, k, m, root="exact")
+    _, log = search.descend(index, qs, k, m, root="exact", keep_probes=True)
     out = None
-    for probes in log:
-        level = int(probes.select("level").first()["level"])
+    for level, probes in zip(range(index.levels - 2, -1, -1), log):
         sizes = index.packed(level).select("pid", "n")
         per = probes.join(sizes, "pid").groupBy("qid", F.pmod(F.xxhash64("pid"), F.lit(nodes)).alias("node")).agg(F.count("*").alias("p"), F.sum("n").alias("n"))
         part = per.groupBy("qid").agg((F.max("p") * HW.io_us).alias("disk_us"), (F.max("n") * 1e6 / HW.distances_per_core_s).alias("compute_us"), F.lit(HW.rtt_us).alias("network_us"))
@@ -205,16 +212,19 @@ def w08_granularity_everywhere(spark, d):
     sets = {"lineitem": (*line, "l2sq"), "embeddings": (*embedding_set(spark, d), "l2sq")}
     for name, rows, metric in (("documents", tables.document_vectors(spark, d, 64), "cosine"), ("pages", tables.page_vectors(spark, d), "cosine"), ("conversations", tables.turn_vectors(spark, d), "l2sq"), ("embeddings_ip", tables.normalised(tables.embeddings(spark, d)), "ip")):
         vs = scratch.save((rows if metric == "ip" else tables.normalised(rows)).select("vec_id", "vec"), name)
-        sets[name] = (*tables.split_queries(vs, 20, 7), metric)
+        sets[name] = (*asked_of(tables.split_queries(vs, 20, 7)), metric)
     index = build_index(line[0], RootBudget(vectors=1), density=0.1, levels=3)
     sets["lineitem_level_1"] = (index.members(1).select("vec_id", "vec"), line[1], "l2sq")
     sets["lineitem_level_2"] = (index.root(), line[1], "l2sq")
     base, qs, _ = sets["documents"]
     for share in (10, 30):
         sets[f"documents_{share}_percent"] = (base.where(F.pmod(F.xxhash64("vec_id"), F.lit(100)) < share), qs, "cosine")
+    def profile(name: str) -> DataFrame:
+        b, q, metric = sets[name]
+        return granularity.density_profile(b.select("vec_id", "vec"), q, (0.5, 0.1, 0.02), metric=metric).withColumn("set", F.lit(name)).withColumn("metric", F.lit(metric))
+
     out = None
-    for name, (b, q, metric) in sets.items():
-        part = granularity.density_profile(b.select("vec_id", "vec"), q, (0.5, 0.1, 0.02), metric=metric).withColumn("set", F.lit(name)).withColumn("metric", F.lit(metric))
+    for part in side_by_side([partial(profile, name) for name in sets]):
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -250,27 +260,40 @@ def recall_curve(answers, truth: DataFrame, ks, target: float, most: int) -> lis
 
 def w10_hierarchy_variants(spark, d, ks=(1, 5, 10, 50, 100), targets=(0.9, 0.95), most=256):
     """Ours, two levels, an extra level and the top-down tree at the same root size, on a plain and a skewed set."""
-    out = []
+    sets = {}
     for name, (base, qs) in (("lineitem", line_set(spark, d)), ("documents", document_set(spark, d))):
-        n, asked = base.count(), qs.count()
-        truth = truth_of(base, qs, max(ks))
-        curves = {}
-        for v, shares in (("leveled", [0.1, 0.1]), ("two_level", [0.01]), ("extra_level", [0.5, 0.2, 0.1])):
-            index = build_index(base, RootBudget(vectors=1), density=shares, levels=len(shares) + 1)
+        sets[name] = (base, qs, truth_of(base, qs, max(ks)))
+
+    def leveled(name: str, shares: list[float]):
+        base, qs, truth = sets[name]
+        index = build_index(base, RootBudget(vectors=1), density=shares, levels=len(shares) + 1)
+
+        def answers(m):
+            found, _, read = reads_of(index, qs, max(ks), m)
+            return found, read
 
-            def answers(m, index=index):
-                found, _, read = reads_of(index, qs, max(ks), m)
-                return found, read
+        return recall_curve(answers, truth, ks, max(targets), most), index.levels - 1
 
-            curves[v] = (recall_curve(answers, truth, ks, max(targets), most), index.levels - 1)
-        tree = scratch.save(baselines.topdown_tree(base, max(20, n // 100)), "tree")
+    def top_down(name: str):
+        base, qs, truth = sets[name]
+        tree = scratch.save(baselines.topdown_tree(base, max(20, base.count() // 100)), "tree")
         leaves = tree.groupBy("leaf").count().agg(F.count("*").alias("n"), F.avg("count").alias("size")).first()
-        curves["top_down"] = (recall_curve(lambda m: (baselines.tree_search(tree, qs, max(ks), m), float(min(m, leaves["n"]) * leaves["size"] + leaves["n"])), truth, ks, max(targets), min(most, leaves["n"])), 1)
-        for v, (curve, rounds) in curves.items():
-            for k in ks:
-                for target in targets:
-                    m, read, recall = next((c for c in curve if c[2][k] >= target), curve[-1])
-                    out.append({"variant": v, "set": name, "queries": asked, "k": k, "target": target, "m": m, "recall": recall[k], "reads": float(read), "rounds": rounds})
+
+        def answers(m):
+            return baselines.tree_search(tree, qs, max(ks), m), float(min(m, leaves["n"]) * leaves["size"] + leaves["n"])
+
+        return recall_curve(answers, truth, ks, max(targets), min(most, leaves["n"])), 1
+
+    variants = {"leveled": [0.1, 0.1], "two_level": [0.01], "extra_level": [0.5, 0.2, 0.1], "top_down": None}
+    cases = [(name, v) for name in sets for v in variants]
+    curves = side_by_side([partial(leveled, name, variants[v]) if variants[v] else partial(top_down, name) for name, v in cases])
+    out = []
+    for (name, v), (curve, rounds) in zip(cases, curves):
+        asked = sets[name][1].count()
+        for k in ks:
+            for target in targets:
+                m, read, recall = next((c for c in curve if c[2][k] >= target), curve[-1])
+                out.append({"variant": v, "set": name, "queries": asked, "k": k, "target": target, "m": m, "recall": recall[k], "reads": float(read), "rounds": rounds})
     return frame(spark, out)
 
 
@@ -315,11 +338,10 @@ def w14_near_data(spark, d):
     index = build_index(base, RootBudget(vectors=max(10, base.count() // 80)))
     out = []
     for m in (8, 16, 32):
-        near, log = search.descend(index, qs, 5, m, "near_data", root="exact")
+        near, log = search.descend(index, qs, 5, m, "near_data", root="exact", keep_probes=True)
         raw = search.search(index, qs, 5, m, "raw_transfer", root="exact")
         key = ["qid", "rank", "vec_id"]
         differs = near.select(key).exceptAll(raw.select(key)).count()
-        log = [scratch.save(p, "probes") for p in log]
         sums = {mode: search.trace(index, log, mode, m).agg(F.sum("bytes")).first()[0] for mode in ("near_data", "raw_transfer")}
         out.append({"m": m, "near_bytes": int(sums["near_data"]), "raw_bytes": int(sums["raw_transfer"]), "ratio": sums["raw_transfer"] / sums["near_data"], "rows_that_differ": differs})
     return frame(spark, out)
@@ -334,8 +356,7 @@ def w15_placement(spark, d, nodes=5):
     policies = {"hash": placement.place_hash(centres, nodes), "cluster": scratch.save(placement.place_locality(centres, nodes), "nodes")}
     out = []
     for m in (8, 16, 32):
-        _, log = search.descend(index, qs, 5, m, root="exact")
-        probes = scratch.save(log[-1], "probes")
+        probes = search.descend(index, qs, 5, m, root="exact", keep_probes=True)[1][-1]
         for name, place in policies.items():
             out.append({"m": m, "policy": name, "beta": float(placement.imbalance(placement.node_load(probes, place, sizes)).first()[0]), "hottest_share": float(placement.hottest_share(probes, place).first()[0]), "waits_for": float(placement.slowest_node(probes, place, sizes).first()[0])})
     return frame(spark, out)
