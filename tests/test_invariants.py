@@ -288,3 +288,9 @@ def test_vectors_of_every_width(spark, sf):
         index = build_index(base, RootBudget(vectors=1), algorithm="stride", levels=2, width=width)
         found.append(rows(search.search(index, qs, 5, 8, root="exact").select("qid", "rank", "vec_id", "dist")))
     assert found[0] == found[1] == found[2]
+
+
+def test_nearest_centre_is_the_nearest():
+    rng = np.random.default_rng(3)
+    x, c = rng.normal(size=(5000, 7)), rng.normal(size=(90, 7))
+    assert (distance.nearest_centre(x, c, block=512) == distance.block("l2sq", x, c).argmin(axis=1)).all()
