@@ -3,7 +3,8 @@
 Labels are given for documents only, so token labels come first: in a toxic document the words
 whose form or beginning occurs in toxic documents and practically never in others are labelled
 toxic, all other words are not.  The field has features of a word (its form and
-beginnings) and transition weights; forward-backward marginals give each word's probability.  A document's
+beginnings) and transition weights, all fitted by gradient ascent of the labels' likelihood (observed
+less expected counts); forward-backward marginals give each word's probability.  A document's
 score is a logistic function of the largest marginal, the sum and the mean; offending offsets are
 the words with a marginal of one half or more.
 
@@ -44,6 +45,7 @@ class CrfSettings:
     run: int = 256
     rounds: int = 25
     rate: float = 0.5
+    move_rate: float = 0.1
     decay: float = 1e-6
     train_runs: int = 1800
     least_surprise: float = 4.0
@@ -82,9 +84,14 @@ class Chain:
 
     def marginals(self, emissions: np.ndarray, starts: np.ndarray) -> np.ndarray:
         """Probability of the toxic state for each word of texts laid end to end; `starts` marks first words."""
+        return self.walk(emissions, starts)[0]
+
+    def walk(self, emissions: np.ndarray, starts: np.ndarray, moves: bool = False) -> tuple[np.ndarray, np.ndarray]:
+        """The marginals, and with `moves` the expected number of moves from each state to each within texts."""
         n = len(emissions)
+        expected = np.zeros((2, 2))
         if not n:
-            return np.zeros(0)
+            return np.zeros(0), expected
         rows = -(-n // BLOCK)
         up = np.exp(np.clip(emissions, -40, 40))
         gate = np.stack([np.ones(n), up], axis=1)
@@ -106,16 +113,21 @@ class Chain:
             v = product[i] @ v
             v /= v.sum()
         alpha = np.empty((rows, BLOCK, 2))
+        first = ahead
+        inside = np.concatenate([~starts, np.zeros(rows * BLOCK - n, bool)]).reshape(rows, BLOCK)
         for j in range(BLOCK):
             ahead = np.einsum("ri,rij->rj", ahead, step[:, j])
             ahead /= ahead.sum(axis=1, keepdims=True)
             alpha[:, j] = ahead
         for j in range(BLOCK - 1, -1, -1):
+            if moves:
+                pair = (alpha[:, j - 1] if j else first)[:, :, None] * step[:, j] * behind[:, None, :]
+                expected += (pair / pair.sum(axis=(1, 2), keepdims=True))[inside[:, j]].sum(axis=0)
             alpha[:, j] *= behind
             behind = np.einsum("rij,rj->ri", step[:, j], behind)
             behind /= behind.sum(axis=1, keepdims=True)
         both = alpha.reshape(-1, 2)[:n]
-        return both[:, 1] / both.sum(axis=1)
+        return both[:, 1] / both.sum(axis=1), expected
 
     def evidence(self, texts: list[bytes]) -> tuple[np.ndarray, list[list[bytes]], np.ndarray]:
         """Per text: largest, summed and mean marginal; then its words; then all marginals."""
@@ -206,13 +218,13 @@ def fit(texts: list[bytes], toxic: list[int], settings: CrfSettings) -> Chain |
     seen = np.zeros((2, 2))
     inner = ~starts[1:]
     np.add.at(seen, (y[:-1][inner].astype(int), y[1:][inner].astype(int)), 1)
-    move = (seen + 1) / (seen + 1).sum(axis=1, keepdims=True)
+    move = np.log((seen + 1) / (seen + 1).sum(axis=1, keepdims=True))  # where the fit begins
     start = np.array([1 - y.mean(), y.mean()]) + 1e-4
-    g2 = np.full(len(names), 1e-8)
+    g2, gm = np.full(len(names), 1e-8), np.full((2, 2), 1e-8)
     gb = 1e-8
     for _ in range(settings.rounds):
         by_kind = np.bincount(owner, weights=weights[slot], minlength=len(kinds)) + bias
-        m = Chain({}, bias, move, start, np.zeros(4)).marginals(by_kind[flat], starts)
+        m, expected = Chain({}, bias, np.exp(move), start, np.zeros(4)).walk(by_kind[flat], starts, moves=True)
         gap = np.bincount(flat, weights=y - m, minlength=len(kinds))
         grad = np.bincount(slot, weights=gap[owner], minlength=len(names)) - settings.decay * weights
         g2 += grad * grad
@@ -220,8 +232,11 @@ def fit(texts: list[bytes], toxic: list[int], settings: CrfSettings) -> Chain |
         total = gap.sum()
         gb += total * total
         bias += settings.rate * total / np.sqrt(gb)
+        more = seen - expected
+        gm += more * more
+        move = move + settings.move_rate * more / np.sqrt(gm)
     told = {f: float(weights[i]) for f, i in names.items() if abs(weights[i]) > 0.02}
-    fitted = Chain(told, bias, move, start, np.zeros(4))
+    fitted = Chain(told, bias, np.exp(move), start, np.zeros(4))
     evidence = np.concatenate([fitted.evidence(texts[i : i + 256])[0] for i in range(0, len(texts), 256)])
     fitted.scale = calibrate(evidence, np.array(toxic, float))
     return fitted
