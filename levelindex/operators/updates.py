@@ -121,6 +121,22 @@ def route(index: LeveledIndex, vs: DataFrame, level: int, m: int = 16) -> DataFr
     return found.select(F.col("vec_id").alias("pid"), F.col("qid").alias("vec_id")).join(vs.select("vec_id", "vec"), "vec_id").select("pid", "vec_id", "vec")
 
 
+def even_parts(rows: DataFrame, most: int) -> DataFrame:
+    """Partitions that clustering left over `most` members (equal vectors, mostly) are dealt out in runs of at most that many along their widest component; each run's middle vector is its centroid."""
+    big = rows.groupBy("pid").agg(F.count("*").alias("n")).where(F.col("n") > most).select("pid")
+
+    def cut(table: pa.Table) -> pa.Table:
+        ids, x = table.column("vec_id").to_numpy(), columns_of(table)
+        order = np.lexsort((ids, x[:, int(np.ptp(x, axis=0).argmax())]))
+        pid = np.empty_like(ids)
+        for run in np.array_split(order, -(-len(ids) // most)):
+            pid[run] = ids[run[len(run) // 2]]
+        return pa.table({"pid": pid, "vec_id": ids, "vec": table.column("vec")})
+
+    big = F.broadcast(scratch.save(big, "oversize"))
+    return rows.join(big, "pid", "left_anti").select("pid", "vec_id", "vec").unionByName(rows.join(big, "pid", "left_semi").select("pid", "vec_id", "vec").groupBy("pid").applyInArrow(cut, MEMBERS))
+
+
 def changed_partitions(index: LeveledIndex, level: int, add: DataFrame, gone: DataFrame, most: int, least: int, m: int, rounds: int = 8) -> tuple[DataFrame, DataFrame]:
     """The rows of all partitions that the changes touch, as they are afterwards, and the pids that are no longer as they were.
 
@@ -143,6 +159,8 @@ def changed_partitions(index: LeveledIndex, level: int, add: DataFrame, gone: Da
         few, many = whole.where(F.col("n") <= most), whole.where(F.col("n") > most)
         again = local_cluster(many, min(1.0, 2 / most)).unionByName(local_cluster(few, 1e-9))
         rows = scratch.save(rows.join(odd, "pid", "left_anti").unionByName(again), "rows")
+    else:
+        rows = scratch.save(even_parts(rows, most), "rows")
     small = scratch.save(rows.groupBy("pid").agg(F.count("*").alias("n")).where(F.col("n") < least).select("pid"), "small")
     if not small.isEmpty():
         heads = old.where("pid = vec_id").join(region, "pid", "left_anti").select("pid", F.col("vec").alias("centre")).unionByName(centroids(rows.join(small, "pid", "left_anti")))
