@@ -18,7 +18,7 @@ from levelindex.functions import distance
 from levelindex.operators.cluster import MEMBERS, lloyd
 from levelindex.operators.build import LeveledIndex
 from levelindex.operators.cluster import local_cluster
-from levelindex.operators.exact import columns_of, exact_blocks, rank
+from levelindex.operators.exact import columns_of, exact_blocks, held_nearest, rank
 from levelindex.operators.graph import updated_graph
 from levelindex.operators.search import descend
 from levelindex.sources import store
@@ -33,10 +33,10 @@ def nearest_partition(centres: DataFrame, vs: DataFrame, exclude_self: bool = Fa
     asked = vs.select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"))
     pool = centres.select(F.col("pid").alias("vec_id"), F.col("centre").alias("vec"))
     if exclude_self:
-        found = exact_blocks(pool, asked, 2).where("vec_id != qid").drop("rank")
+        found = held_nearest(pool, asked, 2).where("vec_id != qid").drop("rank")
         found = rank(found, 1)
     else:
-        found = exact_blocks(pool, asked, 1)
+        found = held_nearest(pool, asked, 1)
     return found.select(F.col("vec_id").alias("pid"), F.col("qid").alias("vec_id")).join(vs.select("vec_id", "vec"), "vec_id").select("pid", "vec_id", "vec")
 
 
@@ -121,9 +121,8 @@ def route(index: LeveledIndex, vs: DataFrame, level: int, m: int = 16) -> DataFr
     return found.select(F.col("vec_id").alias("pid"), F.col("qid").alias("vec_id")).join(vs.select("vec_id", "vec"), "vec_id").select("pid", "vec_id", "vec")
 
 
-def even_parts(rows: DataFrame, most: int) -> DataFrame:
-    """Partitions that clustering left over `most` members (equal vectors, mostly) are dealt out in runs of at most that many along their widest component; each run's middle vector is its centroid."""
-    big = rows.groupBy("pid").agg(F.count("*").alias("n")).where(F.col("n") > most).select("pid")
+def dealt_out(rows: DataFrame, most: int) -> DataFrame:
+    """Whole partitions are dealt out in runs of at most `most` along their widest component; each run's middle vector is its centroid."""
 
     def cut(table: pa.Table) -> pa.Table:
         ids, x = table.column("vec_id").to_numpy(), columns_of(table)
@@ -133,8 +132,14 @@ def even_parts(rows: DataFrame, most: int) -> DataFrame:
             pid[run] = ids[run[len(run) // 2]]
         return pa.table({"pid": pid, "vec_id": ids, "vec": table.column("vec")})
 
+    return rows.select("pid", "vec_id", "vec").groupBy("pid").applyInArrow(cut, MEMBERS)
+
+
+def even_parts(rows: DataFrame, most: int) -> DataFrame:
+    """Partitions that clustering left over `most` members are dealt out, the others stay."""
+    big = rows.groupBy("pid").agg(F.count("*").alias("n")).where(F.col("n") > most).select("pid")
     big = F.broadcast(scratch.save(big, "oversize"))
-    return rows.join(big, "pid", "left_anti").select("pid", "vec_id", "vec").unionByName(rows.join(big, "pid", "left_semi").select("pid", "vec_id", "vec").groupBy("pid").applyInArrow(cut, MEMBERS))
+    return rows.join(big, "pid", "left_anti").select("pid", "vec_id", "vec").unionByName(dealt_out(rows.join(big, "pid", "left_semi"), most))
 
 
 def changed_partitions(index: LeveledIndex, level: int, add: DataFrame, gone: DataFrame, most: int, least: int, m: int, rounds: int = 8) -> tuple[DataFrame, DataFrame]:
@@ -142,6 +147,7 @@ def changed_partitions(index: LeveledIndex, level: int, add: DataFrame, gone: Da
 
     Vectors that come take the place of those with their ids.  A partition whose centroid went, or with
     over `most` members, is clustered anew; one with under `least` members is dealt to the nearest others.
+    Equal vectors can't be clustered, so a partition over `most` with nothing else is dealt out at once.
     """
     old = index.members(level)
     away = gone.select("vec_id").union(add.select("vec_id")).distinct()
@@ -150,17 +156,22 @@ def changed_partitions(index: LeveledIndex, level: int, add: DataFrame, gone: Da
     sizes = index.packed(level).select("pid", "n").where((F.col("n") > most) | (F.col("n") < least)).select("pid")
     region = scratch.save(routed.select("pid").union(homes).union(sizes).distinct(), "region")
     rows = scratch.save(old.join(region, "pid", "left_semi").join(away, "vec_id", "left_anti").select("pid", "vec_id", "vec").unionByName(routed), "rows")
+    settled = []
     for _ in range(rounds):
-        per = rows.groupBy("pid").agg(F.count("*").alias("n"), F.max((F.col("pid") == F.col("vec_id")).cast("int")).alias("head"))
-        odd = scratch.save(per.where((F.col("n") > most) | (F.col("head") == 0)).select("pid", "n"), "odd")
+        look = F.xxhash64("vec")
+        per = rows.groupBy("pid").agg(F.count("*").alias("n"), F.max((F.col("pid") == F.col("vec_id")).cast("int")).alias("head"), (F.min(look) == F.max(look)).alias("equal"))
+        odd = scratch.save(per.where((F.col("n") > most) | (F.col("head") == 0)).select("pid", "n", "equal"), "odd")
         if odd.isEmpty():
             break
-        whole = rows.join(odd, "pid").select(F.col("pid").alias("cell"), "vec_id", "vec", "n")
-        few, many = whole.where(F.col("n") <= most), whole.where(F.col("n") > most)
-        again = local_cluster(many, min(1.0, 2 / most)).unionByName(local_cluster(few, 1e-9))
-        rows = scratch.save(rows.join(odd, "pid", "left_anti").unionByName(again), "rows")
+        settled.append(scratch.save(rows.join(odd, "pid", "left_anti"), "settled"))
+        whole = scratch.save(rows.join(odd, "pid").select(F.col("pid").alias("cell"), "vec_id", "vec", "n", "equal"), "odd-rows")
+        few, many, equal = whole.where(F.col("n") <= most), whole.where((F.col("n") > most) & ~F.col("equal")), whole.where((F.col("n") > most) & F.col("equal"))
+        again = local_cluster(many, min(1.0, 2 / most)).unionByName(local_cluster(few, 1e-9)).unionByName(dealt_out(equal.withColumnRenamed("cell", "pid"), most))
+        rows = scratch.save(again, "rows")
     else:
         rows = scratch.save(even_parts(rows, most), "rows")
+    for part in settled:
+        rows = rows.unionByName(part)
     small = scratch.save(rows.groupBy("pid").agg(F.count("*").alias("n")).where(F.col("n") < least).select("pid"), "small")
     if not small.isEmpty():
         heads = old.where("pid = vec_id").join(region, "pid", "left_anti").select("pid", F.col("vec").alias("centre")).unionByName(centroids(rows.join(small, "pid", "left_anti")))
